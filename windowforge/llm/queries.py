@@ -8,7 +8,9 @@ from pyspark.sql import functions as F
 from .bpe import bpe_round_trip
 from .common import table
 from .exact_dedup import exact_groups
+from .licenses import PHRASES, TEMPLATES, license_scan, template_pattern
 from .packing import pack
+from .quality import classify
 from .token_counts import token_counts
 from .warc import BASE32, warc_round_trip
 
@@ -25,6 +27,10 @@ def op5_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe_round_trip(table(spark, sf_dir, "documents"))
 
 
+def op6_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op7_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_groups(table(spark, sf_dir, "documents"), keep="max")
 
@@ -33,12 +39,36 @@ def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack(table(spark, sf_dir, "documents"))
 
 
+def op10_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_scan(table(spark, sf_dir, "documents"))
+
+
+def license_sql() -> str:
+    """The scan by regular expressions over the words instead of automata."""
+    phrase = lambda p: " AND ".join(f"w[i + {k + 1}] = '{x}'" for k, x in enumerate(p.split()))
+    base = " UNION ALL ".join(f"SELECT '{label}' AS label, list_filter(range(len(w)), lambda i: {phrase(p)}) AS hits, doc_id FROM t" for p, label in PHRASES.items())
+    own = " UNION ALL ".join(f"SELECT doc_id, '{label}' AS label FROM t WHERE " + " OR ".join(f"regexp_matches(joined, '{template_pattern(x)}')" for x in templates) for label, templates in TEMPLATES.items())
+    return f"""
+        WITH l AS (SELECT doc_id, {LOWERED} AS n FROM documents),
+             t AS (SELECT doc_id, regexp_extract_all(n, '[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+') AS w, ' ' || array_to_string(w, ' ') || ' ' AS joined FROM l),
+             b AS ({base}),
+             f AS (SELECT doc_id, label, unnest(hits) AS i FROM b),
+             g AS (SELECT doc_id, count(*) AS n_base, min(i) AS first_word, max(i) AS last_word, string_agg(DISTINCT label, ',' ORDER BY label) AS base_labels FROM f GROUP BY doc_id),
+             o AS ({own}),
+             a AS (SELECT doc_id, string_agg(DISTINCT label, ',' ORDER BY label) AS labels FROM (SELECT * FROM o UNION SELECT doc_id, label FROM f) GROUP BY doc_id)
+        SELECT t.doc_id, len(w) AS n_words, coalesce(n_base, 0) AS n_base, first_word, last_word, coalesce(base_labels, '') AS base_labels, coalesce(labels, '') AS labels,
+               CASE WHEN t.doc_id IN (SELECT doc_id FROM o) THEN 1.0::DOUBLE WHEN n_base > 0 THEN 0.5 ELSE 0 END AS score
+        FROM t LEFT JOIN g USING (doc_id) LEFT JOIN a USING (doc_id)"""
+
+
 QUERIES = {
     "op1_warc": op1_warc,
     "op3_token_counts": op3_token_counts,
     "op5_bpe_round_trip": op5_bpe_round_trip,
+    "op6_quality": op6_quality,
     "op7_exact_dedup": op7_exact_dedup,
     "op8_packing": op8_packing,
+    "op10_licenses": op10_licenses,
 }
 
 LOWERED = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
@@ -59,3 +89,5 @@ ORACLE_SQL = {
                doc_id = max(doc_id) OVER (PARTITION BY n) AS kept, sha256(n) AS text_sha256
         FROM t""",
 }
+
+ORACLE_SQL["op10_licenses"] = license_sql()
