@@ -11,6 +11,7 @@ from .exact_dedup import exact_groups
 from .licenses import PHRASES, TEMPLATES, license_scan, template_pattern
 from .packing import pack
 from .quality import classify
+from .secret_scan import secret_scan
 from .token_counts import token_counts
 from .warc import BASE32, warc_round_trip
 
@@ -39,6 +40,10 @@ def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack(table(spark, sf_dir, "documents"))
 
 
+def op9_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secret_scan(table(spark, sf_dir, "documents"))
+
+
 def op10_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_scan(table(spark, sf_dir, "documents"))
 
@@ -68,6 +73,7 @@ QUERIES = {
     "op6_quality": op6_quality,
     "op7_exact_dedup": op7_exact_dedup,
     "op8_packing": op8_packing,
+    "op9_secrets": op9_secrets,
     "op10_licenses": op10_licenses,
 }
 
