@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from .bpe import bpe_round_trip
 from .common import table
 from .exact_dedup import exact_groups
+from .jaccard import jaccard_groups
 from .licenses import PHRASES, TEMPLATES, license_scan, template_pattern
 from .packing import pack
 from .quality import classify
@@ -20,6 +21,10 @@ def op1_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return warc_round_trip(table(spark, sf_dir, "pages"))
 
 
+def op2_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard_groups(table(spark, sf_dir, "documents"))
+
+
 def op3_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts(table(spark, sf_dir, "documents"))
 
@@ -68,6 +73,7 @@ def license_sql() -> str:
 
 QUERIES = {
     "op1_warc": op1_warc,
+    "op2_jaccard": op2_jaccard,
     "op3_token_counts": op3_token_counts,
     "op5_bpe_round_trip": op5_bpe_round_trip,
     "op6_quality": op6_quality,
