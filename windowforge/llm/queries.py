@@ -10,6 +10,7 @@ from .common import table
 from .exact_dedup import exact_groups
 from .jaccard import jaccard_groups
 from .licenses import PHRASES, TEMPLATES, license_scan, template_pattern
+from .nndescent import nearest
 from .packing import pack
 from .quality import classify
 from .secret_scan import secret_scan
@@ -29,6 +30,10 @@ def op3_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts(table(spark, sf_dir, "documents"))
 
 
+def op4_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return nearest(table(spark, sf_dir, "embeddings"))
+
+
 def op5_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe_round_trip(table(spark, sf_dir, "documents"))
 
@@ -75,6 +80,7 @@ QUERIES = {
     "op1_warc": op1_warc,
     "op2_jaccard": op2_jaccard,
     "op3_token_counts": op3_token_counts,
+    "op4_nearest": op4_nearest,
     "op5_bpe_round_trip": op5_bpe_round_trip,
     "op6_quality": op6_quality,
     "op7_exact_dedup": op7_exact_dedup,
