@@ -7,7 +7,10 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import ascii_lower
+from .common import ascii_lower, materialize
+
+#: Ids that are broadcast at most.
+BROADCAST_IDS = 500_000
 
 
 def content_hash(text: Column) -> Column:
@@ -31,7 +34,8 @@ def exact_groups(
     rows, in a join whose large partitions AQE splits.
 
     ``keep`` is "min" (smallest stable id) or "max". Null texts count as empty, empty texts are one group, repeated
-    rows count each and share one fate, an empty table gives an empty result, other columns are ignored.
+    rows count each and share one fate, a row without an id is kept only where its whole group has none, an empty table
+    gives an empty result, other columns are ignored.
     """
     if keep not in ("min", "max"):
         raise ValueError("keep is 'min' or 'max'")
@@ -47,7 +51,7 @@ def exact_groups(
         F.col("_id").alias(id_col),
         "keep_id",
         "group_size",
-        (F.col("_id") == F.col("keep_id")).alias("kept"),
+        F.col("_id").eqNullSafe(F.col("keep_id")).alias("kept"),
         F.lower(F.hex("_sha")).alias("text_sha256"),
     )
 
@@ -55,19 +59,26 @@ def exact_groups(
 def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "min", **options) -> DataFrame:
     """The rows of ``docs`` that stay, every column as it was; of repeated rows with one id, one stays.
 
-    A row with a null id has no stable id: it never displaces another and stays only if its whole group has none.
+    A row without an id never displaces another and stays, once, only if its whole group has none. Texts move only where
+    ids repeat or are missing; else the ids that go are taken out of the scan.
     """
-    rows = docs.withColumn("_wf_n", normalise_of(options)(F.col(text_col)))
-    hashed = options.get("hashed", content_hash)
-    best = {"min": F.min, "max": F.max}[keep]
-    others = [c for c in docs.columns if c not in (id_col, text_col)]
-    payload = F.struct(F.col(id_col), F.col(text_col), *others)
+    groups = materialize(exact_groups(docs, id_col, text_col, keep, **options), "exact-groups")
+    unsure = groups.groupBy(id_col).agg(F.count(F.lit(1)).alias("rows")).filter(F.col(id_col).isNull() | (F.col("rows") > 1))
+    if not unsure.isEmpty():
+        return one_row_each(docs, id_col, text_col, keep, **options)
+    return without(docs, groups.filter(~F.col("kept")), id_col)
+
+
+def without(docs: DataFrame, gone: DataFrame, id_col: str) -> DataFrame:
+    """Rows whose id is not among those that go; these are broadcast only up to a bound."""
+    ids = gone.select(id_col)
+    return docs.join(F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids, id_col, "left_anti").select(*docs.columns)
+
+
+def one_row_each(docs: DataFrame, id_col: str, text_col: str, keep: str, normalise=ascii_lower, hashed=content_hash) -> DataFrame:
+    """The row that stays of each group, by one aggregation that carries whole rows."""
+    rows = docs.withColumn("_wf_n", normalise(F.col(text_col)))
     order = F.struct(F.col(id_col).isNull() if keep == "min" else F.col(id_col).isNotNull(), F.col(id_col))
     pick = {"min": F.min_by, "max": F.max_by}[keep]
-    del best
-    chosen = rows.groupBy(hashed(F.col("_wf_n")).alias("_wf_h"), "_wf_n").agg(pick(payload, order).alias("_wf_row"))
+    chosen = rows.groupBy(hashed(F.col("_wf_n")).alias("_wf_h"), "_wf_n").agg(pick(F.struct(*docs.columns), order).alias("_wf_row"))
     return chosen.select(*[F.col("_wf_row").getField(c).alias(c) for c in docs.columns])
-
-
-def normalise_of(options: dict) -> Callable[[Column], Column]:
-    return options.get("normalise", ascii_lower)

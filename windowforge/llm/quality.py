@@ -109,3 +109,8 @@ def score(docs: DataFrame, model: Trees, keep: bool = False) -> DataFrame:
 
 def classify(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
     return score(docs, train(docs, labels, **options))
+
+
+def keep_good(docs: DataFrame, labels: DataFrame, threshold: float = 0.5, **options) -> DataFrame:
+    """The rows that the classifier accepts, all columns as they were."""
+    return score(docs, train(docs, labels, **options), keep=True).filter(F.col("_score") >= threshold).drop("_score")
