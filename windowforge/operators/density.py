@@ -41,7 +41,8 @@ def vector_sums(df: DataFrame, by: str, vec: str = "vec", unit: bool = True) ->
             if len(held) > 20_000:
                 yield out(held)
                 held = {}
-        yield out(held)
+        if held:
+            yield out(held)
 
     def out(held: dict) -> pd.DataFrame:
         return pd.DataFrame({"g": list(held), "vec": [list(s) for s, _, _ in held.values()], "n": [n for _, n, _ in held.values()], "nonzero": [z for _, _, z in held.values()]})
