@@ -18,6 +18,7 @@ from windowforge.config import Config
 from windowforge.functions import vec as V
 from windowforge.operators import assign as A
 from windowforge.operators.density import initial_clusters, vector_sums
+from windowforge.schema import VECTORS, require
 from windowforge.session import settled
 
 #: Centres that may be merged by pairs on one machine; beyond, near pairs are sought within coarse cells.
@@ -180,7 +181,7 @@ def one_round(docs: DataFrame, cents: DataFrame, config: Config, last: bool, lab
 def fit(docs: DataFrame, config: Config = Config()) -> Clustering:
     """Rounds until the centres rest or ``rounds`` are done; memberships and the list of far documents begin anew in each."""
     spark = docs.sparkSession
-    docs = settled(docs.select("seg_id", "vec"), "vectors")
+    docs = settled(require(docs, VECTORS, "vectors"), "vectors")
     k = config.n_clusters or initial_clusters(docs, config.n_subsets, config.density, config.seed).first()["n_clusters"]
     cents, rows = settled(seed(docs, k, config.seed), "centres-0"), []
     membership = None
