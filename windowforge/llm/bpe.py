@@ -21,7 +21,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ship
+from .common import ship, tidily
 
 #: Entries kept of pieces met before; longer pieces are encoded anew each time.
 CACHED_PIECES, CACHED_LENGTH = 300_000, 48
@@ -199,4 +199,4 @@ def bpe_round_trip(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
             out.insert(0, id_col, batch["_i"].to_numpy())
             yield out
 
-    return docs.select(F.col(id_col).alias("_i"), F.coalesce(text_col, F.lit("")).alias("_t")).mapInPandas(run, schema)
+    return docs.select(F.col(id_col).alias("_i"), F.coalesce(text_col, F.lit("")).alias("_t")).mapInPandas(tidily(run), schema)

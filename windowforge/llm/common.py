@@ -2,12 +2,17 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 import os
 import tempfile
 import uuid
 import zipfile
+from collections.abc import Callable, Iterator
 from pathlib import Path
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -45,9 +50,15 @@ def materialize(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Rows that reach a Python worker at once: whole texts are long, and workers share an executor's memory.
+ROWS_AT_ONCE = 2_000
+
+
 def ship(spark: SparkSession) -> None:
-    """Gives executors this package's source, once for each Spark context."""
+    """Gives executors this package's source, once for each Spark context, and bounds the rows that workers get at once."""
     sc = spark.sparkContext
+    if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > ROWS_AT_ONCE:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(ROWS_AT_ONCE))
     if getattr(sc, "_windowforge_shipped", False):
         return
     target = os.path.join(tempfile.mkdtemp(prefix="windowforge-src-"), "windowforge_src.zip")
@@ -61,3 +72,16 @@ def ship(spark: SparkSession) -> None:
 def ascii_lower(text: Column) -> Column:
     """Lower-cases A-Z and leaves every other character alone; null becomes the empty text."""
     return F.translate(F.coalesce(text, F.lit("")), UPPER, LOWER)
+
+
+def tidily(run: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterator]:
+    """The same function over batches, which at its end gives back what the worker's allocators still hold; workers live on for other stages."""
+
+    def wrapped(batches: Iterator) -> Iterator:
+        yield from run(batches)
+        gc.collect()
+        pa.default_memory_pool().release_unused()
+        with contextlib.suppress(OSError, AttributeError):
+            ctypes.CDLL("libc.so.6").malloc_trim(0)
+
+    return wrapped

@@ -10,7 +10,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ship
+from .common import ship, tidily
 
 #: Phrases and their labels.
 PHRASES = {"mit license": "mit", "apache license": "apache", "general public license": "gpl"}
@@ -157,7 +157,7 @@ def license_scan(docs: DataFrame) -> DataFrame:
             out.insert(0, "doc_id", batch["_i"].to_numpy())
             yield out
 
-    return docs.select(F.col("doc_id").alias("_i"), F.coalesce("text", F.lit("")).alias("_t")).mapInPandas(run, f"doc_id {kind}, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double")
+    return docs.select(F.col("doc_id").alias("_i"), F.coalesce("text", F.lit("")).alias("_t")).mapInPandas(tidily(run), f"doc_id {kind}, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double")
 
 
 def template_pattern(template: str) -> str:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import json
 import math
 import zlib
 from collections.abc import Iterator
@@ -10,11 +11,13 @@ from functools import lru_cache
 
 import numpy as np
 import pandas as pd
+import regex
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .bpe import encoder, vocabulary
-from .common import materialize, ship
+from .bpe import PIECES as SPLIT
+from .bpe import visible_bytes, vocabulary
+from .common import materialize, ship, tidily
 
 ROWS_IN_BUCKET = 5_000
 BUCKET_SHIFT = 40
@@ -24,20 +27,24 @@ PIECES = "start long, length long, ids_crc32 long, doc_tokens long, sequence_id
 
 @lru_cache(maxsize=1)
 def rank_encoder(path: str):
-    """tiktoken over the vocabulary of a byte-level tokenizers file; gives the same ids, in less time."""
+    """tiktoken over the vocabulary of a byte-level tokenizers file, which gives the same ids in less time, and the special strings."""
     import tiktoken
 
-    bpe = encoder(path)
-    ranks = {part: i for part, i in bpe.ids.items()}
-    return tiktoken.Encoding("own", pat_str=bpe.pattern.pattern, mergeable_ranks=ranks, special_tokens={}), bpe
+    with open(path, encoding="utf-8") as f:
+        spec = json.load(f)
+    byte = visible_bytes()
+    ranks = {bytes(byte[c] for c in s): i for s, i in spec["model"]["vocab"].items()}
+    special = {t["content"]: t["id"] for t in spec.get("added_tokens", [])}
+    return tiktoken.Encoding("own", pat_str=SPLIT, mergeable_ranks={k: i for k, i in ranks.items() if i not in special.values()}, special_tokens={}), special
 
 
 def ids_of(path: str, text: str) -> np.ndarray:
-    fast, bpe = rank_encoder(path)
-    if bpe.splitter is None or not any(s in text for s in bpe.special):
+    """Ids as the tokenizers library gives them; special strings inside the text become their ids."""
+    fast, special = rank_encoder(path)
+    if not any(s in text for s in special):
         return np.asarray(fast.encode_ordinary(text), dtype="<u4")
-    parts = [[bpe.special[p]] if k % 2 else fast.encode_ordinary(p) for k, p in enumerate(bpe.splitter.split(text))]
-    return np.concatenate([np.asarray(p, dtype="<u4") for p in parts])
+    cut = regex.split("(" + "|".join(regex.escape(s) for s in sorted(special, key=len, reverse=True)) + ")", text)
+    return np.concatenate([np.asarray([special[p]] if k % 2 else fast.encode_ordinary(p), dtype="<u4") for k, p in enumerate(cut)])
 
 
 def combinations(lengths: np.ndarray, window: int, depth: int = 3) -> np.ndarray:
@@ -171,7 +178,7 @@ def tokenised(docs: DataFrame, id_col: str, text_col: str, window: int, name: st
             out.insert(0, "_i", batch["_i"].to_numpy())
             yield out
 
-    return docs.select(F.col(id_col).alias("_i"), F.coalesce(text_col, F.lit("")).alias("_t")).mapInPandas(run, schema)
+    return docs.select(F.col(id_col).alias("_i"), F.coalesce(text_col, F.lit("")).alias("_t")).mapInPandas(tidily(run), schema)
 
 
 def unpacked(tail: bytes) -> np.ndarray:

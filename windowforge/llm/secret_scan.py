@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .boosting import Trees, forest
-from .common import ship
+from .common import ship, tidily
 
 #: Common words and endings of four languages, from which dictionary coverage and letter transitions are taken.
 WORDS = (
@@ -213,7 +213,7 @@ def secret_scan(docs: DataFrame, model: Trees | None = None, threshold: float =
             out.insert(0, "doc_id", batch["_i"].to_numpy())
             yield out
 
-    return docs.select(F.col("doc_id").alias("_i"), F.coalesce("text", F.lit("")).alias("_t")).mapInPandas(run, f"doc_id {kind}, n_candidates long, n_secrets long, max_score double, spans string")
+    return docs.select(F.col("doc_id").alias("_i"), F.coalesce("text", F.lit("")).alias("_t")).mapInPandas(tidily(run), f"doc_id {kind}, n_candidates long, n_secrets long, max_score double, spans string")
 
 
 def redact(docs: DataFrame, model: Trees | None = None, threshold: float = 0.5, mark: str = "[SECRET]") -> DataFrame:

@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bpe import vocabulary
-from .common import ship
+from .common import ship, tidily
 
 #: Bytes of a chunk and of the overlap at first.
 CHUNK, OVERLAP = 262_144, 2_048
@@ -109,5 +109,5 @@ def token_counts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
             yield pd.DataFrame({"_i": batch["_i"], "n_bytes": batch["n_bytes"], "n_tokens": counts})
 
     text = F.coalesce(F.col(text_col), F.lit(""))
-    counted = docs.select(F.col(id_col).alias("_i"), text.alias("_t"), F.octet_length(text).cast("long").alias("n_bytes")).mapInPandas(run, f"_i {kind}, n_bytes long, n_tokens long")
+    counted = docs.select(F.col(id_col).alias("_i"), text.alias("_t"), F.octet_length(text).cast("long").alias("n_bytes")).mapInPandas(tidily(run), f"_i {kind}, n_bytes long, n_tokens long")
     return counted.select(F.col("_i").alias(id_col), "n_bytes", "n_tokens", (F.col("n_tokens") > limit).alias("over_limit"))
