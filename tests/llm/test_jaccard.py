@@ -55,7 +55,7 @@ def check(spark, rows):
 def test_against_brute_force(spark, monkeypatch):
     check(spark, corpus(1))
     monkeypatch.setattr(jaccard, "PIVOTS", 1)
-    monkeypatch.setattr(jaccard, "FREQUENT_FROM", 3)
+    monkeypatch.setattr(jaccard, "COUNTED", 0.9)
     monkeypatch.setattr(jaccard, "BROADCAST_IDS", 0)
     check(spark, corpus(2))
 

@@ -1,19 +1,21 @@
 """Exact Jaccard join of documents' shingle sets in their metric space, and the groups that its links make.
 
-1 - Jaccard is a metric. The join works in four moves.
+1 - Jaccard is a metric. Equal sets are one class from the start. The classes are joined in four moves.
 
-*Regions.* Shingles have one order, rare ones first. Two sets within the distance share one of the first
-``n - ceil(0.75 n) + 1`` shingles of each, so the documents that have a shingle among their first ones form a region, and
-every link lies inside some region. Regions of one document vanish.
+*Lone sets.* A link shares so much that it leaves out fewer than ``p = n - ceil(0.75 n) + 1`` shingles of a set of n. Counted
+over all texts, the shingles of one third of the hash range show which of them stand in one class alone; a class with p of
+these has no link to anything and is done.
 
-*Pivots.* In each region a pivot is compared with all others. Those within the distance are its cell: they are linked to
-it. The next pivots come from the documents that are in no cell yet, and so on until none is left.
+*Regions.* The shingles of the others have one order, rare ones first. Two linked sets share one of the first p of each, so
+the sets that have a shingle among their first ones form a region, and every link lies inside some region.
 
-*Windows.* With the first pivot's distances known, the triangle inequality rules out further pivots' comparisons. A link
-between the cells of two pivots a and b has one end within the distance r of b, hence the other within 2r: only documents
-in that ring of b are replicated to b's cell, and only those whose distances to b differ by at most r are compared.
+*Pivots.* In each region a pivot, the member with the smallest share of shingles of its own, is compared with all others. Those
+within the distance are its cell: they are linked to it. Cells that share a document grow together.
 
-*Copies.* Equal sets are one class from the start. Rows of a class in one task are folded before anything is shuffled.
+*Windows.* What is left to find are links between different components of a region. Each member outside the region's largest
+component becomes a pivot in turn and is compared with the members of other components, if they can be near: the distances
+to the first pivot must not differ by more than the links' distance (triangle inequality), and the shingles that are not
+their own must suffice. Regions that have become one component are done.
 """
 
 from __future__ import annotations
@@ -26,67 +28,67 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import materialize, ship
+from .common import materialize, ship, tidily
 from .shingles import shingles
 
-#: Shingles whose frequency the order knows at most, the most frequent ones, and the least frequency. Others count as rare: any order gives exact results.
-FREQUENT, FREQUENT_FROM = 1 << 18, 32
-#: Pivots that a large region gets in one round; regions with at most that many open documents are done in one.
-PIVOTS = 32
+#: Share of the hash range whose shingles are counted over all texts. Any share gives exact results.
+COUNTED = 1 / 3
+#: Pivots that a region gets in its second round; four times as many in each later one.
+PIVOTS = 512
 #: Documents whose ids are broadcast at most to pick their texts; beyond, the ids are joined.
 BROADCAST_IDS = 500_000
 
 
-def frequent_shingles(docs: DataFrame, text_col: str, size: int) -> tuple[np.ndarray, np.ndarray]:
-    """Frequent shingles, ascending, with their counts. A batch reports the shingles that several of its documents hold; the sums are lower bounds."""
+def links_leave(n: int, percent: int) -> int:
+    """Of that many shingles of a set, any link's other end has one."""
+    return n - -(-percent * n // 100) + 1
+
+
+def leave(n, percent: int):
+    """The same as a column."""
+    return (n - F.ceil(F.lit(percent) * n / 100) + 1).cast("long")
+
+
+def digest_of(s: np.ndarray) -> bytes | None:
+    return xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None
+
+
+def classes_of_rows(docs: DataFrame, id_col: str, text_col: str, size: int) -> DataFrame:
+    """Per row: id, n, class of equal sets (null for the empty set)."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
-            if len(batch):
-                s, n = np.unique(np.concatenate([shingles(t, size) for t in batch["_t"]]), return_counts=True)
-                often = n >= 3
-                yield pd.DataFrame({"s": s[often].astype(np.int64), "n": n[often].astype(np.int64)})
-
-    found = docs.select(F.col(text_col).alias("_t")).mapInPandas(run, "s long, n long").groupBy("s").agg(F.sum("n").alias("n")).filter(F.col("n") >= FREQUENT_FROM)
-    top = found.orderBy(F.desc("n"), "s").limit(FREQUENT).toPandas()
-    s = top["s"].to_numpy(dtype=np.int64).astype(np.uint64)
-    order = np.argsort(s)
-    return s[order], top["n"].to_numpy(dtype=np.int64)[order]
-
-
-def first_shingles(s: np.ndarray, frequent: tuple[np.ndarray, np.ndarray], percent: int) -> np.ndarray:
-    """The shingles of which two linked sets share one: all but what a link must have in common, plus one."""
-    n = len(s)
-    keep = n - -(-percent * n // 100) + 1
-    known, counts = frequent
-    if len(known) and n:
-        at = np.minimum(np.searchsorted(known, s), len(known) - 1)
-        weight = np.where(known[at] == s, counts[at], 0)
-        s = s[np.lexsort((s, weight))]
-    return s[:keep]
-
-
-def sketch(docs: DataFrame, id_col: str, text_col: str, frequent, percent: int, size: int) -> DataFrame:
-    """Per row: id, n_shingles, class of equal sets, first shingles (for the first row of a class in its task alone)."""
-    known = docs.sparkSession.sparkContext.broadcast(frequent)  # bounded by FREQUENT
+            rows = [(len(s), digest_of(s)) for s in (shingles(t, size) for t in batch["_t"])]
+            yield pd.DataFrame({"id": batch["_i"], "n": [n for n, _ in rows], "class": [c for _, c in rows]})
+
     kind = docs.schema[id_col].dataType.simpleString()
+    return docs.select(F.col(id_col).alias("_i"), F.col(text_col).alias("_t")).mapInPandas(tidily(run), f"id {kind}, n long, class binary")
+
+
+def lone_counts(docs: DataFrame, text_col: str, size: int) -> DataFrame:
+    """(mark, lone): by the class's mark, how many shingles of the counted range stand in that class alone."""
+    limit = np.uint64(int(COUNTED * 2**64) - 1) if COUNTED < 1 else np.uint64(2**64 - 1)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         seen: set[bytes] = set()
         for batch in batches:
-            ns, classes, firsts = [], [], []
+            keys, marks = [], []
             for text in batch["_t"]:
                 s = shingles(text, size)
-                ns.append(len(s))
-                digest = xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None
-                classes.append(digest)
-                fresh = digest is not None and digest not in seen
-                if fresh:
+                digest = digest_of(s)
+                if digest is not None and digest not in seen:  # copies within a task are folded here
                     seen.add(digest)
-                firsts.append(first_shingles(s, known.value, percent).astype(np.int64) if fresh else None)
-            yield pd.DataFrame({"id": batch["_i"], "n": ns, "class": classes, "first": firsts})
+                    part = s[: np.searchsorted(s, limit, side="right")]
+                    keys.append(part)
+                    marks.append(np.full(len(part), int.from_bytes(digest[:8], "big", signed=True), dtype=np.int64))
+            if keys:
+                keys, marks = np.concatenate(keys).astype(np.int64), np.concatenate(marks)
+                for k in range(0, len(keys), 1 << 17):
+                    yield pd.DataFrame({"key": keys[k : k + (1 << 17)], "mark": marks[k : k + (1 << 17)]})
 
-    return docs.select(F.col(id_col).alias("_i"), F.col(text_col).alias("_t")).mapInPandas(run, f"id {kind}, n long, class binary, first array<long>")
+    rows = docs.select(F.col(text_col).alias("_t")).mapInPandas(tidily(run), "key long, mark long")
+    alone = rows.groupBy("key").agg(F.min("mark").alias("mark"), F.max("mark").alias("other")).filter("mark = other")
+    return alone.groupBy("mark").agg(F.count(F.lit(1)).alias("lone"))
 
 
 def sets_of(docs: DataFrame, ids: DataFrame, id_col: str, text_col: str, size: int) -> DataFrame:
@@ -100,7 +102,7 @@ def sets_of(docs: DataFrame, ids: DataFrame, id_col: str, text_col: str, size: i
 
     wanted = F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("_t")).join(wanted, "id", "left_semi")
-    return rows.mapInPandas(run, f"id {docs.schema[id_col].dataType.simpleString()}, set array<long>")
+    return rows.mapInPandas(tidily(run), f"id {docs.schema[id_col].dataType.simpleString()}, set array<long>")
 
 
 def compare(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -132,56 +134,50 @@ def components(edges: DataFrame, most: int = 60) -> DataFrame:
     return stars.select(F.col("v").alias("node"), F.col("r").alias("root"))
 
 
-def links(docs: DataFrame, rows: DataFrame, id_col: str, text_col: str, percent: int, size: int) -> DataFrame:
-    """Enough of the links between different sets to connect all that links connect: (a, b)."""
-    near, ring = 1 - percent / 100, 2 * (1 - percent / 100)
-    first = rows.filter("first is not null and id is not null").select("id", "n", F.explode("first").alias("key"))
-    of_key = Window.partitionBy("key")
-    regions = first.withColumn("p", F.min(F.struct("id", "n")).over(of_key)).withColumn("last", F.max("id").over(of_key))
-    regions = materialize(regions.filter(F.col("p.id") < F.col("last")).select("key", "id", "n", F.col("p.id").alias("pivot"), F.col("p.n").alias("pn")), "regions")
-    sets = materialize(sets_of(docs, regions.select("id").distinct(), id_col, text_col, size), "region-sets")
-    # sets whose sizes differ by more than the ring's distance are outside both cell and ring
-    sizes = F.least("n", "pn") >= (1 - ring) * F.greatest("n", "pn")
-    stars = regions.filter(F.col("id") > F.col("pivot")).filter(sizes).select(F.col("pivot").alias("a"), F.col("id").alias("b")).distinct()
+def links(docs: DataFrame, chosen: DataFrame, id_col: str, text_col: str, percent: int, size: int) -> DataFrame:
+    """Enough of the links between the chosen documents' sets to connect all that links connect: (a, b)."""
+    near = 1 - percent / 100
+    sets = materialize(sets_of(docs, chosen, id_col, text_col, size), "sets")
+    of_key, of_id = Window.partitionBy("key"), Window.partitionBy("id")
+    shared = sets.select("id", F.size("set").cast("long").alias("n"), F.explode("set").alias("key")).withColumn("df", F.count(F.lit(1)).over(of_key)).filter("df > 1")
+    # m: shingles that stand in several sets; the others come first in the order and make no region
+    shared = shared.withColumn("m", F.count(F.lit(1)).over(of_id)).withColumn("left", leave(F.col("n"), percent) - (F.col("n") - F.col("m"))).filter("left > 0")
+    first = shared.withColumn("place", F.row_number().over(of_id.orderBy("df", "key"))).filter(F.col("place") <= F.col("left")).select("key", "id", "n", "m", "place")
+    pivot = F.min(F.struct((1 - F.col("m") / F.col("n")).alias("own"), "id", "n", "m", "place")).over(of_key)
+    regions = first.withColumn("p", pivot).withColumn("several", F.min("id").over(of_key) < F.max("id").over(of_key)).filter("several")
+    regions = materialize(regions.select("key", "id", "n", "m", "place", F.col("p.id").alias("p"), F.col("p.n").alias("pn"), F.col("p.m").alias("pm"), F.col("p.place").alias("pp")), "regions")
+
+    def can(n: str, m: str, place: str, n2: str, m2: str, place2: str):
+        """Whether two sets can link through a shingle that both have, by their sizes n, their shingles m that are not their own, and
+        the shingle's place among these. A link shares ``need`` shingles, so that it has a common one among the first n - need + 1 of
+        each set; and what is common lies, up to this shingle, within the shorter start, beyond it within the shorter rest."""
+        need = F.ceil(F.lit(percent) * (F.col(n) + F.col(n2)) / (100 + percent))
+        start, rest, rest2 = F.least(place, place2), F.col(m) - F.col(place), F.col(m2) - F.col(place2)
+        return (F.least(rest, rest2) + 1 >= need) & (start + F.least(rest, rest2) >= need)
+
+    stars = regions.filter("id <> p").filter(can("n", "m", "place", "pn", "pm", "pp")).select(F.least("id", "p").alias("a"), F.greatest("id", "p").alias("b")).distinct()
     known = materialize(compare(stars, sets, percent), "distances-0")
-    # the regions' members with their distance to the first pivot, where it was near enough to be known
-    to_first = known.select(F.col("a").alias("pivot"), F.col("b").alias("id"), F.col("d").alias("d1"))
-    members = regions.join(to_first, ["pivot", "id"], "left").withColumn("d1", F.when(F.col("id") == F.col("pivot"), 0.0).otherwise(F.coalesce("d1", F.lit(1.0))))
-    open_ = members.filter(F.col("d1") > near)
-    open_ = materialize(open_.select("key", "id", "n", "d1"), "open-0")
-    turn = 0
-    while not open_.isEmpty():
-        turn += 1
-        if turn == 1:
-            # only regions that are not settled go on, with all their members: cells' documents may lie in later pivots' rings
-            members = materialize(members.join(open_.select("key").distinct(), "key", "left_semi").select("key", "id", "n", "d1"), "members")
-        place = F.row_number().over(of_key.orderBy(F.xxhash64("id", "key"), "id"))
-        chosen = open_.withColumn("k", place).filter(F.col("k") <= PIVOTS)
-        pivots = chosen.select("key", F.col("id").alias("a"), F.col("n").alias("pn"), F.col("d1").alias("pd"))
-        # known distances of 1 stand for "not near", so only differences of true distances count
-        window = (F.col("d1") >= 1) | (F.col("pd") >= 1) | (F.abs(F.col("d1") - F.col("pd")) <= ring + 1e-9)
-        pairs = members.join(pivots, "key").filter(F.col("id") != F.col("a")).filter(sizes).filter(window).select("a", F.col("id").alias("b")).distinct()
-        done = known.select("a", "b").unionByName(known.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        once = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct().join(done, ["a", "b"], "left_anti")
-        found = materialize(compare(once, sets, percent), f"distances-{turn}")
-        known = known.unionByName(found)
-        linked = known.filter("linked")
-        linked = linked.select("a", "b").unionByName(linked.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        gone = pivots.select("key", F.col("a").alias("id")).unionByName(pivots.select("key", "a").join(linked, "a").select("key", F.col("b").alias("id"))).distinct()
-        open_ = materialize(open_.join(gone, ["key", "id"], "left_anti"), f"open-{turn}")
-    edges = known.filter("linked").select("a", "b")
-    if turn == 0:
-        return edges
-    # between cells: one end within the distance of a pivot, the other within twice that, in different components so far
-    whole = materialize(components(edges), "roots-so-far")
-    around = known.filter(F.col("d") <= ring + 1e-9).select("a", "b", "d", "linked")
-    around = around.unionByName(around.select(F.col("b").alias("a"), F.col("a").alias("b"), "d", "linked"))
-    rooted = around.join(whole.select(F.col("node").alias("b"), "root"), "b", "left").withColumn("root", F.coalesce("root", "b"))
-    cell = rooted.filter("linked").select("a", F.col("b").alias("x"), F.col("d").alias("dx"), F.col("root").alias("rx"))
-    outer = rooted.filter(~F.col("linked")).select("a", F.col("b").alias("y"), F.col("d").alias("dy"), F.col("root").alias("ry"))
-    across = cell.join(outer, "a").filter(F.col("rx") != F.col("ry")).filter(F.abs(F.col("dx") - F.col("dy")) <= near + 1e-9)
-    across = across.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct().join(known.select("a", "b"), ["a", "b"], "left_anti")
-    return edges.unionByName(compare(across, sets, percent).filter("linked").select("a", "b"))
+    both = known.select("a", "b", "d").unionByName(known.select(F.col("b").alias("a"), F.col("a").alias("b"), "d"))
+    to_first = both.select(F.col("a").alias("p"), F.col("b").alias("id"), F.col("d").alias("d1"))
+    members = regions.join(to_first, ["p", "id"], "left").select("key", "id", "n", "m", "place", F.when(F.col("id") == F.col("p"), 0.0).otherwise(F.col("d1")).alias("d1"))
+    been, turn, pivots = regions.select("key", F.col("p").alias("id")).distinct(), 0, PIVOTS
+    while True:
+        roots = components(known.filter("linked").select("a", "b")).select(F.col("node").alias("id"), "root")
+        rooted = members.join(roots, "id", "left").withColumn("root", F.coalesce("root", "id"))
+        rooted = rooted.withColumn("several", F.min("root").over(of_key) < F.max("root").over(of_key)).filter("several").drop("several")
+        rooted = rooted.withColumn("c", F.count(F.lit(1)).over(Window.partitionBy("key", "root")))
+        rooted = rooted.withColumn("most", F.max(F.struct("c", "root")).over(of_key)["root"])
+        rooted = materialize(rooted.select("key", "id", "n", "m", "place", "d1", "root", (F.col("root") == F.col("most")).alias("largest")), f"members-{turn}")
+        waiting = rooted.filter("not largest").join(been, ["key", "id"], "left_anti").withColumn("k", F.row_number().over(of_key.orderBy((1 - F.col("m") / F.col("n")), "id"))).filter(F.col("k") <= pivots)
+        waiting = materialize(waiting.select("key", F.col("id").alias("a"), F.col("n").alias("an"), F.col("m").alias("am"), F.col("place").alias("ap"), F.col("d1").alias("ad"), F.col("root").alias("ar")), f"pivots-{turn}")
+        if waiting.isEmpty():
+            return known.filter("linked").select("a", "b")
+        turn, pivots = turn + 1, pivots * 4
+        met = rooted.join(waiting, "key").filter("root <> ar").filter(can("n", "m", "place", "an", "am", "ap")).filter(F.coalesce(F.abs(F.col("d1") - F.col("ad")) <= near + 1e-9, F.lit(True)))
+        pairs = met.select(F.least("id", "a").alias("a"), F.greatest("id", "a").alias("b")).distinct().join(known.select("a", "b"), ["a", "b"], "left_anti")
+        known = known.unionByName(materialize(compare(pairs, sets, percent), f"distances-{turn}"))
+        been = been.unionByName(waiting.select("key", F.col("a").alias("id")))
+        members = rooted.select("key", "id", "n", "m", "place", "d1")
 
 
 def jaccard_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = 75, size: int = 5) -> DataFrame:
@@ -193,14 +189,12 @@ def jaccard_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     """
     ship(docs.sparkSession)
     docs = docs.select(id_col, text_col)
-    frequent = frequent_shingles(docs, text_col, size)
-    rows = materialize(sketch(docs, id_col, text_col, frequent, percent, size), "sketch")
-    narrow = rows.select("id", "n", "class")
-    classes = narrow.filter("class is not null").groupBy("class").agg(F.min("id").alias("least"), F.count(F.lit(1)).alias("members"))
-    belongs = materialize(narrow.join(classes, "class", "left").select("id", "n", F.coalesce("least", "id").alias("least"), "members"), "belongs")
-    edges = links(docs, rows, id_col, text_col, percent, size)
-    to = belongs.filter("members > 1").select("id", "least").distinct()
-    for end in ("a", "b"):
-        edges = edges.join(to.select(F.col("id").alias(end), F.col("least").alias("to")), end, "left").withColumn(end, F.coalesce("to", end)).drop("to")
+    rows = materialize(classes_of_rows(docs, id_col, text_col, size), "classes")
+    classes = rows.filter("class is not null").groupBy("class").agg(F.min("id").alias("least"), F.first("n").alias("n"))
+    mark = F.conv(F.hex(F.substring("class", 1, 8)), 16, -10).cast("long")
+    lone = lone_counts(docs, text_col, size)
+    chosen = classes.withColumn("mark", mark).join(lone, "mark", "left").filter(F.col("least").isNotNull() & (F.coalesce("lone", F.lit(0)) < leave(F.col("n"), percent)))
+    edges = links(docs, materialize(chosen.select(F.col("least").alias("id")).distinct(), "not-lone"), id_col, text_col, percent, size)
+    belongs = rows.join(classes.select("class", "least"), "class", "left").select("id", "n", F.coalesce("least", "id").alias("least"))
     roots = components(edges)
     return belongs.join(roots.select(F.col("node").alias("least"), "root"), "least", "left").select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("root", "least").alias("component_id"))

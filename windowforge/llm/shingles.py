@@ -6,7 +6,7 @@ import numpy as np
 import xxhash
 
 WORDS_A_SHINGLE = 5
-KNOWN_WORDS = 400_000
+KNOWN_WORDS = 200_000
 _MULTIPLY, _SHIFT = np.uint64(0x9E3779B97F4A7C15), np.uint64(29)
 
 
