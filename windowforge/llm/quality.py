@@ -35,7 +35,7 @@ _MASK = np.stack([np.isin(np.arange(256), np.frombuffer(c, dtype=np.uint8)) for
 
 
 def statistics(text: str) -> np.ndarray:
-    """One row of features from a whole text; the empty text has zeros."""
+    """One row of features from a whole text; the empty text counts as one empty word."""
     raw = text.encode()
     counts = _MASK @ np.bincount(np.frombuffer(raw, dtype=np.uint8), minlength=256) if raw else np.zeros(len(CLASSES))
     words, lines = raw.split(), [x for x in raw.split(b"\n") if x]

@@ -101,6 +101,17 @@ ORACLE_SQL = {
                CASE WHEN page_id = first THEN 'response' ELSE 'revisit' END AS record_type,
                CASE WHEN page_id = first THEN NULL ELSE first END AS refers_to
         FROM d""",
+    "op2_jaccard": f"""
+        WITH RECURSIVE t AS (SELECT doc_id, regexp_extract_all({LOWERED}, '[^\\x20\\x09-\\x0D]+') AS w FROM documents),
+             s AS (SELECT doc_id, unnest(list_distinct(CASE WHEN len(w) >= 5 THEN list_transform(range(len(w) - 4), lambda i: array_to_string(list_slice(w, i + 1, i + 5), ' '))
+                   WHEN len(w) > 0 THEN [array_to_string(w, ' ')] ELSE [] END)) AS g FROM t),
+             n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY 1),
+             p AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS i FROM s a JOIN s b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY ALL),
+             e AS (SELECT a, b FROM p JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE 100 * i >= 75 * (x.n + y.n - i)),
+             h AS (SELECT a, b FROM e UNION ALL SELECT b, a FROM e),
+             r(node, root) AS (SELECT a, a FROM h UNION SELECT h.b, r.root FROM r JOIN h ON r.node = h.a),
+             c AS (SELECT node, min(root) AS root FROM r GROUP BY 1)
+        SELECT t.doc_id, coalesce(n.n, 0) AS n_shingles, coalesce(c.root, t.doc_id) AS component_id FROM t LEFT JOIN n USING (doc_id) LEFT JOIN c ON c.node = t.doc_id""",
     "op7_exact_dedup": f"""
         WITH t AS (SELECT doc_id, {LOWERED} AS n FROM documents)
         SELECT doc_id, max(doc_id) OVER (PARTITION BY n) AS keep_id, count(*) OVER (PARTITION BY n) AS group_size,

@@ -197,10 +197,11 @@ def read_back(manifest: DataFrame) -> DataFrame:
                         if len(rows) == 5000:
                             yield frame(rows)
                             rows = []
-                yield frame(rows)
+                if rows:
+                    yield frame(rows)
 
     def frame(rows: list[tuple]) -> pd.DataFrame:
-        ids, sizes, digests, kinds, refers = zip(*rows) if rows else ((),) * 5
+        ids, sizes, digests, kinds, refers = zip(*rows)
         return pd.DataFrame({"page_id": pd.array(ids, dtype="Int64"), "payload_bytes": list(sizes), "payload_digest": list(digests), "record_type": list(kinds), "refers_to": pd.array(refers, dtype="Int64")})
 
     spark = manifest.sparkSession
