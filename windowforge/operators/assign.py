@@ -200,7 +200,7 @@ def cells(docs: DataFrame, cents: DataFrame, n_cells: int = 16, n_probe: int = 4
     return d.groupBy("cell", "part").cogroup(c.groupBy("cell", "part")).applyInPandas(run, OUT)
 
 
-def lsh(docs: DataFrame, cents: DataFrame, tables: int = 6, bits: int = 4, seed: int = 7) -> DataFrame:
+def lsh(docs: DataFrame, cents: DataFrame, tables: int = 16, bits: int = 4, seed: int = 7) -> DataFrame:
     """Candidates share a bucket of random hyperplanes in some table; documents that meet no centre take the exact way."""
     ship(docs.sparkSession)
     first = docs.select(F.size("vec")).first()

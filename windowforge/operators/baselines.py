@@ -70,7 +70,7 @@ def _near(left: pd.DataFrame, right: pd.DataFrame, k: int) -> pd.DataFrame:
     return pd.DataFrame({"src": np.repeat(own, real.sum(axis=1)), "dst": names[at[real]], "w": w[real]})
 
 
-def knn_graph(docs: DataFrame, k: int = 20, how: str = "exact", block: int = 2048, n_cells: int = 16, n_probe: int = 4, tables: int = 6, bits: int = 4, seed: int = 7) -> DataFrame:
+def knn_graph(docs: DataFrame, k: int = 20, how: str = "exact", block: int = 2048, n_cells: int = 16, n_probe: int = 4, tables: int = 16, bits: int = 4, seed: int = 7) -> DataFrame:
     """Edges (src, dst, w) to the k nearest documents by cosine, ties to smaller ids.
 
     "exact" compares all blocks with all blocks and keeps k per block pair before anything is merged; "cells" looks into a

@@ -265,11 +265,16 @@ def assign_nested_loop(spark, d):
     return A.exact_sql(e, isodata.seed(e, 20, SEED)).select("seg_id", "cluster_id", r6(F.col("cos"), "cos"))
 
 
+def _text_vectors(spark, d):
+    return settled(embed.hash_embed(segments(spark, d), 256), "text-vectors")
+
+
 def _approximate(how: str):
     def run(spark, d):
-        e, c, truth = _assigned(spark, d, "exact", 64)
-        found = A.assign(e, c, how)
-        return A.recall(found, truth).crossJoin(found.agg(r6(F.avg("evals"), "evals"))).select("documents", r6(F.col("recall"), "recall"), "never_above", "evals")
+        v = _text_vectors(spark, d)
+        c = settled(isodata.seed(v, 64, SEED), "text-centres")
+        found = settled(A.assign(v, c, how), "approximate")
+        return A.recall(found, A.exact(v, c)).crossJoin(found.agg(r6(F.avg("evals"), "evals"))).select("documents", r6(F.col("recall"), "recall"), "never_above", "evals")
 
     run.__name__ = f"assign_{how}"
     query()(run)
@@ -489,8 +494,8 @@ def knn_graph_exact(spark, d):
 
 def _knn(how: str):
     def run(spark, d):
-        e = embeddings(spark, d)
-        truth, found = B.knn_graph(e, 20, "exact"), B.knn_graph(e, 20, how)
+        v = _text_vectors(spark, d)
+        truth, found = B.knn_graph(v, 20, "exact"), B.knn_graph(v, 20, how)
         hit = truth.select("src", "dst").join(found.select("src", "dst", F.lit(1).alias("hit")), ["src", "dst"], "left")
         return hit.agg(F.count(F.lit(1)).alias("edges"), r6(F.avg(F.coalesce("hit", F.lit(0))), "recall"))
 
