@@ -158,6 +158,25 @@ def test_fit_follows_the_plain_version(spark, seed, delta):
     assert sum(len(g) for g in groups.values()) == 60
 
 
+def test_rounds_resume(spark, tmp_path):
+    vec = random_vectors(50, 8, 12)
+    docs, c = vectors(spark, list(vec.items())), Config(delta=0.6, n_clusters=5, rounds=3, assign="exact", epsilon=0.0)
+    whole = isodata.fit(docs, c)
+    sets = lambda done: {frozenset(r.m) for r in done.membership.groupBy("cluster_id").agg(F.collect_set("seg_id").alias("m")).collect()}
+    first = isodata.fit(docs, c, state=f"file://{tmp_path}/s")
+    again = isodata.fit(docs, c, state=f"file://{tmp_path}/s")
+    assert sets(whole) == sets(first) == sets(again) and again.trace.count() == first.trace.count()
+    more = isodata.fit(docs, c.with_(rounds=4), state=f"file://{tmp_path}/s")
+    assert more.trace.count() >= first.trace.count()
+
+
+def test_many_seeds(spark, monkeypatch):
+    docs = vectors(spark, list(random_vectors(60, 4, 2).items()))
+    few = {r.cluster_id for r in isodata.seed(docs, 20, 5).collect()}
+    monkeypatch.setattr(isodata, "SEEDS_AT_ONCE", 5)
+    assert {r.cluster_id for r in isodata.seed(docs, 20, 5).collect()} == few
+
+
 def test_merge_modes(spark):
     rows = [("a", [1.0, 0.0], 1), ("b", [0.9, 0.436], 1), ("c", [0.62, 0.785], 1), ("d", [0.0, -1.0], 4)]
     cents = spark.createDataFrame(rows, "cluster_id string, vec array<double>, n long")

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import hashlib
+
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import udtf
 
@@ -35,8 +37,19 @@ class Needle:
             yield place, word
 
 
+@udtf(returnType="place int, key string, value string, asked boolean")
+class KvExample:
+    """The pairs of a key-value example, a row each, and which one is asked for."""
+
+    def eval(self, example: int, pairs: int, position: int):
+        made = lambda what, i: hashlib.md5(f"{what}:{example}:{pairs}:{i}".encode()).hexdigest()
+        for i in range(1, pairs + 1):
+            yield i, made("k", i), made("v", i), i == position
+
+
 def register_all(spark: SparkSession) -> None:
     for name, (args, result, body) in SCALARS.items():
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}({args}) RETURNS {result} RETURN {body}")
     spark.udtf.register("wf_segments", Segments)
     spark.udtf.register("wf_needle", Needle)
+    spark.udtf.register("wf_kv_example", KvExample)

@@ -11,6 +11,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -18,11 +19,14 @@ from windowforge.config import Config
 from windowforge.functions import vec as V
 from windowforge.operators import assign as A
 from windowforge.operators.density import initial_clusters, vector_sums
+from windowforge.operators.prefix import running
 from windowforge.schema import VECTORS, require
 from windowforge.session import settled
 
 #: Centres that may be merged by pairs on one machine; beyond, near pairs are sought within coarse cells.
 MERGE_EXACT = 20_000
+#: Seeds that are taken by one ordered limit.
+SEEDS_AT_ONCE = 100_000
 
 
 @dataclass
@@ -34,7 +38,11 @@ class Clustering:
 
 def seed(docs: DataFrame, k: int, seed: int = 7) -> DataFrame:
     """k documents in the order of a hash, as centres; the same for any partitioning."""
-    picked = docs.orderBy(F.md5(F.concat(F.lit(f"{seed}:"), "seg_id")), "seg_id").limit(k)
+    order = F.md5(F.concat(F.lit(f"{seed}:"), "seg_id"))
+    if k <= SEEDS_AT_ONCE:
+        picked = docs.orderBy(order, "seg_id").limit(k)
+    else:  # too many for one place: ranks come from sums over ranges of the order
+        picked = running(docs.withColumn("_one", F.lit(1)), order, "_one", ["seg_id"]).filter(F.col("before") < k)
     return picked.select(F.col("seg_id").alias("cluster_id"), F.col("vec").cast("array<double>").alias("vec"), F.lit(0).cast("long").alias("n"))
 
 
@@ -178,22 +186,42 @@ def one_round(docs: DataFrame, cents: DataFrame, config: Config, last: bool, lab
     return settled(members.join(mapping, "cluster_id").select("seg_id", F.col("root").alias("cluster_id"), "cos"), f"{label}-membership"), after, figures
 
 
-def fit(docs: DataFrame, config: Config = Config()) -> Clustering:
-    """Rounds until the centres rest or ``rounds`` are done; memberships and the list of far documents begin anew in each."""
+ROUND = "round int, spawned long, emptied long, merged long, clusters long, shift double, evals long"
+
+
+def fit(docs: DataFrame, config: Config = Config(), state: str | None = None) -> Clustering:
+    """Rounds until the centres rest or ``rounds`` are done; memberships and the list of far documents begin anew in each.
+
+    With ``state``, a folder, every round's tables are kept there and a later call goes on after the last round that is complete.
+    """
     spark = docs.sparkSession
     docs = settled(require(docs, VECTORS, "vectors"), "vectors")
-    k = config.n_clusters or initial_clusters(docs, config.n_subsets, config.density, config.seed).first()["n_clusters"]
-    cents, rows = settled(seed(docs, k, config.seed), "centres-0"), []
-    membership = None
-    for t in range(1, config.rounds + 1):
-        membership, cents, figures = one_round(docs, cents, config, t == config.rounds, f"r{t}")
-        rows.append({"round": t} | figures)
-        if figures["shift"] < config.epsilon:
+    rows, cents, membership = resumed(spark, state) if state else ([], None, None)
+    if cents is None:
+        k = config.n_clusters or initial_clusters(docs, config.n_subsets, config.density, config.seed).first()["n_clusters"]
+        cents = settled(seed(docs, k, config.seed), "centres-0")
+    for t in range(len(rows) + 1, config.rounds + 1):
+        if rows and rows[-1][5] < config.epsilon:
             break
+        membership, cents, figures = one_round(docs, cents, config, t == config.rounds, f"r{t}")
+        rows.append((t, *figures.values()))
+        if state:
+            membership.write.mode("overwrite").parquet(f"{state}/round={t}/membership")
+            cents.write.mode("overwrite").parquet(f"{state}/round={t}/centroids")
+            spark.createDataFrame(rows, ROUND).coalesce(1).write.mode("overwrite").parquet(f"{state}/trace/{t}")  # last: it marks the round as complete
     if config.finalize and rows:
         membership = settled(A.assign(docs, cents, config.assign).select("seg_id", "cluster_id", "cos"), "final")
-    trace = spark.createDataFrame([tuple(r.values()) for r in rows], "round int, spawned long, emptied long, merged long, clusters long, shift double, evals long")
-    return Clustering(membership, cents, trace)
+    return Clustering(membership, cents, spark.createDataFrame(rows, ROUND))
+
+
+def resumed(spark, state: str) -> tuple[list[tuple], DataFrame | None, DataFrame | None]:
+    """Figures, centres and membership of the last complete round of a state folder; nothing if there is none."""
+    try:
+        found = spark.read.option("recursiveFileLookup", "true").parquet(f"{state}/trace").distinct().orderBy("round").collect()
+    except AnalysisException:
+        return [], None, None
+    last = f"{state}/round={found[-1]['round']}"
+    return [tuple(r) for r in found], spark.read.parquet(f"{last}/centroids"), spark.read.parquet(f"{last}/membership")
 
 
 def classic(docs: DataFrame, k: int, rounds: int = 5, min_size: int = 2, max_std: float = 0.05, min_dist: float = 0.3, seed_: int = 7) -> Clustering:
@@ -223,4 +251,4 @@ def classic(docs: DataFrame, k: int, rounds: int = 5, min_size: int = 2, max_std
         now = cents.count()
         rows.append((t, int(split.count() // 2), before - big.count(), grown.count() - now, now, 0.0, members.agg(F.sum("evals")).first()[0] or 0))
     members = settled(A.assign(docs, cents, "exact").select("seg_id", "cluster_id", "cos"), "classic-final")
-    return Clustering(members, cents, spark.createDataFrame(rows, "round int, spawned long, emptied long, merged long, clusters long, shift double, evals long"))
+    return Clustering(members, cents, spark.createDataFrame(rows, ROUND))

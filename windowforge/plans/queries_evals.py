@@ -9,6 +9,7 @@ from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from windowforge.functions import scorers as S
+from windowforge.functions import sql as registered
 from windowforge.functions.tokens import segment, tokenize
 from windowforge.operators import evals as E
 from windowforge.plans.scores import score_rows
@@ -76,6 +77,12 @@ def kv_data_source(spark, d):
     return rows.select("example_id", "question", "answer", F.length("context").cast("long").alias("chars"))
 
 
+@query("SELECT i AS place, md5('k:3:140:' || i) AS key, md5('v:3:140:' || i) AS value, i = 35 AS asked FROM range(1, 141) r(i)")
+def kv_table_function(spark, d):
+    registered.register_all(spark)
+    return spark.sql("SELECT * FROM wf_kv_example(3, 140, 35)")
+
+
 @query(f"SELECT event_id, (props->>'$.k')::BIGINT AS answer, '{{\"' || event_id || '\": ' || (props->>'$.k') || '}}' AS pair FROM events WHERE event_id % 100 = 7")
 def kv_events(spark, d):
     """Pairs from the events' own numbers."""

@@ -657,6 +657,18 @@ def window_report(spark, d):
     return P.compared(docs(spark, d), text_config())
 
 
+def _report(window: int):
+    def run(spark, d):
+        return P.compared(docs(spark, d), text_config(window=window))
+
+    run.__name__ = f"window_report_{window}"
+    query()(run)
+
+
+for _w in (2048, 4096):
+    _report(_w)
+
+
 @query()
 def delta_sweep(spark, d):
     p, out = _text_prepared(spark, d), None
@@ -675,6 +687,14 @@ def cohesion_framework(spark, d):
     return stats.cohesion(p.vectors, isodata.fit(p.vectors, text_config()).centroids)
 
 
+@query()
+def cohesion_graph(spark, d):
+    """The same with the graph's paths as clusters."""
+    p = _text_prepared(spark, d)
+    sums = D.vector_sums(P.graph_paths(p).select("seg_id", F.col("path_id").cast("string").alias("cluster_id")).join(p.vectors, "seg_id"), "cluster_id", unit=False)
+    return stats.cohesion(p.vectors, settled(sums.select("cluster_id", V.scale(F.col("vec"), 1 / F.col("n")).alias("vec"), "n"), "path-centres"))
+
+
 @query()
 def isolation_framework(spark, d):
     done = P.organize(docs(spark, d), text_config())
