@@ -365,7 +365,8 @@ def isodata_classic(spark, d):
 
 
 def text_config(**changes) -> Config:
-    return Config(window=L, delta=0.4, dim=256, rounds=3, assign="exact").with_(**changes)
+    """Hashed text vectors: many seeds, mergers without chains, a last pass that gives every document its nearest centre."""
+    return Config(window=L, delta=0.2, dim=256, rounds=3, assign="exact", merge="mutual_best", n_clusters=30, finalize=True).with_(**changes)
 
 
 def _by_lang(spark, d):
