@@ -583,8 +583,8 @@ WINDOWS = f"{CHOPPED}, pw AS (SELECT window_id, count(*) AS members, sum(used)::
 
 
 @query(
-    f"""WITH {WINDOWS} SELECT count(*) AS windows, round(avg(members), 6) AS members, max(members) AS most_members, round(avg((members = 1)::INT), 6) AS single_share, round(sum(used) / ({L}.0 * count(*)), 6) AS fill,
-    round(avg(1 - sq / (used::DOUBLE * (used + 1))), 6) AS cross_attention, round(sum({L}.0 / members), 6) AS homogeneity, round(count(*) * {L}.0 * {L}, 6) AS attention_padded, round(sum(used::DOUBLE * (used + 1) / 2), 6) AS attention_causal,
+    f"""WITH {WINDOWS} SELECT count(*) AS windows, round(avg(members), 6) AS members, max(members) AS most_members, round(avg((members = 1)::INT), 6) AS single_share, round((sum(used) / ({L}.0 * count(*)))::DOUBLE, 6) AS fill,
+    round(avg(1 - sq / (used::DOUBLE * (used + 1))), 6) AS cross_attention, round(sum({L}.0::DOUBLE / members), 6) AS homogeneity, round((count(*) * {L}.0 * {L})::DOUBLE, 6) AS attention_padded, round(sum(used::DOUBLE * (used + 1) / 2), 6) AS attention_causal,
     round(sum((used::DOUBLE * (used + 1) - sq) / 2), 6) AS attention_across FROM pw"""
 )
 def measures_random(spark, d):
@@ -627,7 +627,7 @@ def violations(spark, d):
     return objective.violations(objective.per_window(m, L), L, 64).select(F.col("window_id").alias("w"), "total", "excess")
 
 
-@query(f"WITH {SEG} SELECT doc_id, round(0.5 * (doc_id % 10) + 2.0 * count(*) + 0.25 * max(n_tokens), 6) AS objective FROM seg GROUP BY 1")
+@query(f"WITH {SEG} SELECT doc_id, round((0.5 * (doc_id % 10) + 2.0 * count(*) + 0.25 * max(n_tokens))::DOUBLE, 6) AS objective FROM seg GROUP BY 1")
 def scalarised(spark, d):
     rows = segments(spark, d).groupBy("doc_id").agg(F.count(F.lit(1)).alias("segments"), F.max("n_tokens").alias("longest")).withColumn("r", F.col("doc_id") % 10)
     return objective.scalarise(rows, {"r": 0.5, "segments": 2.0, "longest": 0.25}).select("doc_id", r6(F.col("objective"), "objective"))
