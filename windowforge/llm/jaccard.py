@@ -106,7 +106,11 @@ def sets_of(docs: DataFrame, ids: DataFrame, id_col: str, text_col: str, size: i
 
 
 def compare(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Distances of pairs (a, b) from their whole sets: a, b, d, linked."""
+    """Distances of pairs (a, b) from their whole sets: a, b, d, linked. Of the sets only those of the pairs move."""
+    pairs = materialize(pairs, "pairs")
+    if pairs.count() <= BROADCAST_IDS:
+        wanted = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
+        sets = sets.join(F.broadcast(wanted), "id", "left_semi")
     both = pairs.join(sets.select(F.col("id").alias("b"), F.col("set").alias("sb")), "b").join(sets.select(F.col("id").alias("a"), F.col("set").alias("sa")), "a")
     shared = both.select("a", "b", F.size("sa").cast("long").alias("na"), F.size("sb").cast("long").alias("nb"), F.size(F.array_intersect("sa", "sb")).cast("long").alias("i"))
     union = F.col("na") + F.col("nb") - F.col("i")
