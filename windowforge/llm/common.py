@@ -74,11 +74,17 @@ def ascii_lower(text: Column) -> Column:
     return F.translate(F.coalesce(text, F.lit("")), UPPER, LOWER)
 
 
+#: What modules want called when a task ends, such as emptying what they remember.
+AT_END: list[Callable[[], None]] = []
+
+
 def tidily(run: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterator]:
     """The same function over batches, which at its end gives back what the worker's allocators still hold; workers live on for other stages."""
 
     def wrapped(batches: Iterator) -> Iterator:
         yield from run(batches)
+        for forget in AT_END:
+            forget()
         gc.collect()
         pa.default_memory_pool().release_unused()
         with contextlib.suppress(OSError, AttributeError):

@@ -11,7 +11,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .boosting import Trees, boost
-from .common import ship
+from .common import ship, tidily
 
 #: Labelled rows that a model is fitted on at most, the first by hash; a score never depends on how many there are beyond them.
 TRAINING_ROWS = 20_000
@@ -82,7 +82,7 @@ def train(docs: DataFrame, labels: DataFrame, target: str = "quality", rows: int
             yield out
 
     rows_of = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("_t")).join(F.broadcast(chosen), "doc_id")  # broadcast: at most ``rows`` rows
-    seen = rows_of.select("doc_id", F.col("_y").cast("double").alias("_y"), "_t").mapInPandas(run, f"doc_id long, _y double, {names}").toPandas()
+    seen = rows_of.select("doc_id", F.col("_y").cast("double").alias("_y"), "_t").mapInPandas(tidily(run), f"doc_id long, _y double, {names}").toPandas()
     seen = seen.sort_values(list(seen.columns), kind="stable")
     return boost(seen.iloc[:, 2:].to_numpy(dtype=np.float64).reshape(-1, len(NAMES)), seen["_y"].to_numpy(dtype=np.float64), **options)
 

@@ -5,6 +5,8 @@ from __future__ import annotations
 import numpy as np
 import xxhash
 
+from .common import AT_END
+
 WORDS_A_SHINGLE = 5
 KNOWN_WORDS = 200_000
 _MULTIPLY, _SHIFT = np.uint64(0x9E3779B97F4A7C15), np.uint64(29)
@@ -21,6 +23,7 @@ class _Words(dict):
 
 
 _words = _Words()
+AT_END.append(_words.clear)
 
 
 def shingles(text: str | None, size: int = WORDS_A_SHINGLE) -> np.ndarray:
