@@ -26,18 +26,28 @@ WORDS = (
     "les des une est que pour dans avec sur pas ment tion elle aux der die und ein den von mit ist auf fur ung lich keit heit schen verei "
     "los las una con para por del que cion mente ado dora aba este como pero mas"
 ).split()
-VENDOR = re.compile(r"AKIA|ASIA|ghp_|gho_|glpat-|xox[abp]-|sk_live_|sk-|AIza|eyJ")
-#: A run of key-like characters that holds a digit or a shape of case that words lack, or any value assigned to a telling name.
+VENDOR = re.compile(r"AKIA|ASIA|gh[opusr]_|github_pat_|glpat-|xox[abprs]-|[sr]k_(?:live|test)_|sk-|AIza|eyJ")
+#: Keys that name their maker, wherever they stand: inside paths, query strings and longer runs too.
+VENDORED = re.compile(
+    r"A[KS]IA[A-Z0-9]{16}|gh[opusr]_[A-Za-z0-9]{16,}|github_pat_\w{20,}|glpat-[\w\-]{16,}|xox[abprs]-[\w\-]{10,}|[sr]k_(?:live|test)_\w{10,}"
+    r"|(?<![A-Za-z0-9])sk-[\w\-]{20,}|AIza[\w\-]{16,}|(?<![A-Za-z0-9])eyJ[\w\-]{8,}(?:\.[\w\-]+){0,2}"
+)
+#: The password of an address; any value behind '=', ':' or an opening bracket with a quote, under any name; or a run of key-like characters that holds
+#: a digit, a capital inside a word or capitals alone. Which of them are secrets is the forest's to say.
 CANDIDATE = re.compile(
-    r"(?:(?<=password=)|(?<=passwd=)|(?<=secret=)|(?<=token=)|(?<=api_key=)|(?<=apikey=)|(?<=key=)|(?<=pwd=))[^\s\"'&;,]{6,}"
-    r"|(?<![A-Za-z0-9+/_\-=])(?:(?=[A-Za-z+/_\-]{0,64}[0-9])[A-Za-z0-9+/_\-]{12,}={0,2}|[A-Z]{16,}(?![a-z])|(?=[A-Za-z]{20})(?:[a-z]*[A-Z]+[a-z]+){4}[A-Za-z+/]*)"
+    r"://[^\s/:@]*+:([^\s/@]{3,}+)(?=@)"
+    r"|(?:=[=>]?|:[:=]?(?!//|[ \t]*+\\?[\"'`]?[\w.\-]{1,64}=[^\s=])|\((?=\s*+\\?[\"'`]))[ \t]*+\\?(?:([\"'`])((?:(?!\2)\S){6,}+)|(?!\w{2,12}://)([^\s\"'`&;,]{6,}+))"
+    r"|(?<![A-Za-z0-9+/_\-])((?:(?=[A-Za-z+/_\-]*+[0-9])[A-Za-z0-9+/_\-]{12,}+|[A-Z]{16,}+(?![a-z])|(?=[A-Za-z+/_\-]{16})(?=(?:[A-Z+/_\-]*+[a-z]++(?![A-Z]))*+[A-Z+/_\-]*+[a-z]++[A-Z])[A-Za-z+/_\-]++)(?:={1,2}+(?![^\s\"'`&;,)\]}<]))?)"
 )
 ABOUT = 40
 TELLING = re.compile(r"(?i)(secret|token|passw|pwd|api.?key|access.?key|auth|credential|private|bearer)")
+NAMED = re.compile(TELLING.pattern + r"[\w.\-]{0,24}[\"'`\]]{0,2}\s*(=[=>]?|:[:=]?|\()\s*\\?[\"'`]?$")
+ADDRESS = re.compile(r"[\w.\-]:$")
 INNOCENT = re.compile(r"(?i)(commit|sha\d*|md5|checksum|digest|uuid|guid|build|revision|etag|order|invoice|isbn|serial|version|image|example)")
 FEATURES = [
     "length", "digits", "upper", "lower", "signs", "entropy", "class_changes", "letter_to_digit", "transition_score", "vowel_gap", "dictionary",
     "hex_only", "uuid_shape", "date_shape", "vendor", "path_marks", "in_path", "assigned", "quoted", "telling", "innocent", "longest_run", "distinct",
+    "named", "in_address", "code_marks",
 ]
 
 
@@ -104,6 +114,9 @@ def describe(candidate: str, before: str, after: str) -> list[float]:
         float(bool(INNOCENT.search(before[-24:]))),
         longest,
         len(counts) / n,
+        float(bool(NAMED.search(before))),
+        float(after[:1] == "@" and bool(ADDRESS.search(before))),
+        sum(candidate.count(c) for c in "()[]{}<>.:"),
     ]
 
 
@@ -125,13 +138,25 @@ def example_findings(n: int = 6_000, seed: int = 11) -> list[Finding]:
     mixed, base32, hexa = lower + upper + digits, upper + "234567", digits + "abcdef"
     word = lambda: "".join(rng.choice(WORDS) for _ in range(rng.randint(1, 3)))
     prose = lambda: " ".join(word() for _ in range(3)) + " "
+    leet = str.maketrans("aeios", "43105")
+
+    def made_up() -> str:
+        """A password as people make them: a word with digits or signs in it or behind it."""
+        w = (word() + rng.choice(WORDS) + rng.choice(WORDS))[: rng.randint(5, 12)]
+        w = rng.choice([w, w.capitalize(), w.translate(leet), w.capitalize().translate(leet)])
+        return w + pick(digits, rng.randint(1, 4)) + rng.choice(["", "x", "!", pick(mixed, 2)])
+
     out = []
     for k in range(n):
         name = rng.choice(["token", "secret", "api_key", "password", "auth_token", "access_key", "client_secret", "passwd"])
         give = rng.choice([f'{name} = "', f"{name}=", f"{name}: ", f"'{name}': '"])
         close = '"' if give.endswith('"') else "'" if give.endswith("'") else rng.choice([" ", "\n", ""])
+        any_name = rng.choice(["", "my", "db_", "aws_", "AWS_", "app.", "user"]) + rng.choice(["token", "secret", "apiKey", "api_key", "password", "accessToken", "access_key", "access_key_id", "secret_access_key", "passwd", "pwd", "privateKey", "auth"])
+        any_name = rng.choice([any_name, any_name.upper(), any_name.capitalize(), any_name.replace("_", "-")])
+        any_give = any_name + rng.choice(["=", ": ", ":", " = ", '="', "='", ' = "', '": "', "':'", " => '", '("'])
+        any_close = any_give[-1] + " " if any_give[-1] in "\"'" else rng.choice([" ", "\n", "&", ", "])
         if k % 2:
-            kind = rng.randrange(6)
+            kind = rng.randrange(10)
             if kind == 0:
                 f = (prose(), "AKIA" + pick(upper + rng.choice([digits, "234567"]), 16), " " + word())
             elif kind == 1:
@@ -142,10 +167,19 @@ def example_findings(n: int = 6_000, seed: int = 11) -> list[Finding]:
                 f = (prose(), rng.choice(["ghp_", "gho_"]) + pick(mixed, 36), " " + word())
             elif kind == 4:
                 f = (prose(), rng.choice(["xoxb-", "sk_live_", "glpat-", "AIza"]) + pick(mixed, rng.randint(20, 36)), rng.choice([" ", ".", "\n"]))
-            else:
+            elif kind == 5:
                 f = (prose() + rng.choice(["password=", "passwd=", "pwd="]), pick(mixed + "!$%", rng.randint(8, 20)), " " + word())
+            elif kind == 6:
+                f = (prose() + any_give, made_up(), any_close + word())
+            elif kind == 7:
+                f = (prose() + any_give, pick(rng.choice([hexa, mixed, mixed + "+/", mixed + "_-"]), rng.randint(16, 64)), any_close + word())
+            elif kind == 8:
+                f = (prose() + rng.choice(["", "https://", "postgres://", "mysql://", "ftp://", "amqp://"]) + rng.choice(["user", "root", "admin", word()[:10]]) + ":", rng.choice([made_up(), pick(mixed, rng.randint(8, 24))]), "@" + rng.choice(["host", "localhost:5432/", "db.example.org/"]) + word())
+            else:
+                before = rng.choice([any_give, "https://" + word() + ".org/" + word() + "?" + rng.choice(["code", "q", "key", word()]) + "=", word() + "/", word() + "=", word() + ": "])
+                f = (prose() + before, rng.choice(["AKIA" + pick(upper + "234567", 16), "ghp_" + pick(mixed, 36), "glpat-" + pick(mixed, 20), "xoxb-" + pick(digits, 11) + "-" + pick(mixed, 24), "eyJ" + pick(mixed, 20) + ".eyJ" + pick(mixed, 30) + "." + pick(mixed + "_-", 43)]), rng.choice(["&", " ", '"']) + word())
         else:
-            kind = rng.randrange(10)
+            kind = rng.randrange(20)
             if kind == 0:
                 f = (prose() + rng.choice(["commit ", "sha1 ", "md5: ", "checksum = ", "revision "]), pick(hexa, rng.choice([32, 40, 64])), " " + word())
             elif kind == 1:
@@ -164,8 +198,26 @@ def example_findings(n: int = 6_000, seed: int = 11) -> list[Finding]:
                 f = (prose() + rng.choice(["password=", "token=", "secret="]), rng.choice(["changeme", "example", "yourpassword", "your_token_here", "placeholder", "redacted", "xxxxxxxx", "********"]), " ")
             elif kind == 8:
                 f = (prose(), "-".join(word() for _ in range(3)) + "-" + pick(digits, rng.randint(1, 3)), rng.choice(["@", ".example", " "]))
-            else:
+            elif kind == 9:
                 f = (prose() + rng.choice(["image:", "src=", "build "]), word() + "_" + pick(digits, rng.randint(2, 8)) + "_" + word(), rng.choice([".png", " "]))
+            elif kind in (10, 11):
+                f = (prose() + rng.choice([word() + ": ", word().capitalize() + ": ", word() + "=", word() + '="', '"' + word() + '": "', word() + "::", word() + '("']), rng.choice([word() + "ing", word().capitalize() + "er", rng.choice(WORDS) + "-" + word(), "https", "utf-8-" + word(), word() + "." + word(), "Bearer"]), rng.choice([" ", ". ", '" ', ", "]) + word())
+            elif kind == 12:
+                f = (prose() + any_give, rng.choice(["changeme", "example", "your_" + word(), "placeholder", "redacted", "xxxxxxxx", "********", "password", "undefined", "[SECRET]", "required"]), any_close + word())
+            elif kind == 13:
+                f = (prose() + any_give.rstrip("\"'`"), rng.choice([f"os.environ[{name.upper()}]", f"process.env.{name.upper()}", f"config.{name}", f"self.{name}", f"${{{name.upper()}}}", f"<{name}>", f"get_{name}()", f"{{{{{name}}}}}", f"settings.{word()}.{name}", f"getenv({word()})"]), rng.choice([" ", "\n", ")"]))
+            elif kind == 14:
+                f = (prose() + any_give.rstrip("\"'`="), rng.choice(WORDS) + rng.choice(WORDS) + "ed", rng.choice([" ", ". ", ", "]) + prose())
+            elif kind == 15:
+                f = (prose() + f"{rng.randint(0, 23):02d}:", f"{rng.randint(0, 59):02d}:{rng.randint(0, 59):02d}" + rng.choice(["Z", "+00:00", "." + pick(digits, 3)]), " " + word())
+            elif kind == 16:
+                f = (prose() + pick(hexa, 2) + ":", ":".join(pick(hexa, 2) for _ in range(5)), " " + word())
+            elif kind == 17:
+                f = (prose() + word() + rng.choice([": ", "=", '="', '": "']), rng.choice([pick(digits, rng.randint(6, 16)), f"{pick(digits, 3)}.{pick(digits, 2)}.{pick(digits, 2)}", f"20{pick(digits, 2)}-{pick('01', 1)}1-{pick('012', 1)}3", pick(digits, 3) + "-" + pick(digits, 4) + "-" + pick(digits, 4)]), rng.choice([" ", '"', ", "]) + word())
+            elif kind == 18:
+                f = (prose() + rng.choice(["href=\"", "src='", "url: ", "path=", "file: "]), rng.choice(["/", "./", "#", "../"]) + "/".join(word() + pick(digits, rng.randint(0, 2)) for _ in range(rng.randint(1, 3))) + rng.choice(["", ".html", ".png"]), rng.choice(['"', "'", " "]) + word())
+            else:
+                f = (prose() + rng.choice(["mailto:", "mail: ", "to:", "contact="]), word() + rng.choice(["", "."]) + word() + "@" + word() + ".org", " " + word())
         out.append(Finding(*f, bool(k % 2)))
     return out
 
@@ -182,7 +234,19 @@ def default_model() -> Trees:
 
 
 def candidates(text: str) -> list[tuple[int, int]]:
-    return [m.span() for m in CANDIDATE.finditer(text)]
+    """Spans from left to right, none within another. A value that ends like an address ("name:value@host") is taken up to the host."""
+    out, at = [], 0
+    for a, b in [*(m.span() for m in VENDORED.finditer(text)), (len(text), len(text))]:
+        for m in CANDIDATE.finditer(text, at, a):
+            start, end = m.span(m.lastindex)
+            if m.lastindex == 4 and text[start - 1] == ":" and "@" in text[start:end] and not TELLING.search(text[max(0, start - 24) : start]):
+                host = text.rindex("@", start, end)
+                end = host if host - start >= 3 else end
+            out.append((start, end))
+        if b > a:
+            out.append((a, b))
+        at = b
+    return out
 
 
 def judge(texts: list[str], model: Trees) -> list[list[tuple[int, int, float]]]:
