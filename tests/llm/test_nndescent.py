@@ -44,3 +44,14 @@ def test_few_rows(spark):
     assert compare(spark, []) == 0
     assert compare(spark, [(0, [1.0, 2.0])]) == 0
     assert compare(spark, [(0, [1.0, 2.0]), (4, [1.0, 2.0]), (5, [-1.0, 0.5])]) == 1
+
+
+def test_clusters_and_lengths(spark, monkeypatch):
+    rng = np.random.default_rng(6)
+    centres = rng.normal(size=(100, 24))
+    rows = [(i, (centres[i % 100] + 0.3 * rng.normal(size=24)).tolist()) for i in range(4000)]  # more than 33 a cluster: the graph is in pieces
+    assert compare(spark, rows, 10, 37) >= 0.95
+    long = rows + [(8001, (1e7 * rng.normal(size=24)).tolist())]  # one long vector leaves the others their numbers
+    assert compare(spark, long, 10, 37) >= 0.95
+    monkeypatch.setattr(nndescent, "SHARD", 1024)
+    assert compare(spark, long, 10, 37) >= 0.95

@@ -3,8 +3,10 @@
 Equal vectors are one node that keeps the smallest ids among its rows, as many as one answer can hold. Nodes are dealt over
 shards of a bounded size. In each round every block of a shard's nodes is joined with the shard's nodes and their neighbours
 (the size of that side is the bound on a shard), and each node keeps the best of its neighbours' neighbours, forward and
-reverse. A query walks the graph of each shard with a beam; what it meets is scored again on the original numbers in double
-precision, and the shards' answers are merged. Graph and walk use numbers of 16 bits, which the last scoring makes harmless.
+reverse. A query walks the graph of each shard with a beam: from its own node and that node's neighbours, from a node of every
+connected piece, and from a share of all nodes; links to random nodes lead out of clusters that keep only each other. What it
+meets is scored again on the original numbers in double precision, and the shards' answers are merged. Graph and walk use
+directions of 16 bits a number with the length kept apart, which the last scoring makes harmless.
 """
 
 from __future__ import annotations
@@ -22,6 +24,8 @@ SHARD, BLOCK, QUERIES = 65_536, 8_192, 512
 #: Neighbours a node keeps, neighbours of each direction that a round looks through, reverse neighbours that a query also walks.
 NEIGHBOURS, THROUGH, REVERSE = 32, 16, 48
 ROUNDS, BEAM, EXPAND, STARTS = 7, 800, 32, 64
+#: One of so many nodes is a start (STARTS at least); random links of a node that a query also walks.
+SHARE, LONG = 16, 8
 GRAPH = "shard long, node long, vector binary, neighbours binary"
 
 
@@ -75,6 +79,14 @@ def reversed_of(neighbours: np.ndarray, most: int, rank: np.ndarray) -> np.ndarr
     return out
 
 
+def packed(v: np.ndarray) -> bytes:
+    """A vector that is not zero: its length in double precision, then its direction in 16 bits a number."""
+    v = np.asarray(v, dtype=np.float64)
+    largest = np.abs(v).max()
+    norm = np.sqrt(((v / largest) ** 2).sum())
+    return np.float64(min(float(largest) * float(norm), np.finfo(np.float64).max)).astype("<f8").tobytes() + (v / largest / norm).astype("<f2").tobytes()
+
+
 class Shard:
     """The nodes of a shard in the order of their ids, with vectors and neighbours by place."""
 
@@ -82,7 +94,10 @@ class Shard:
         frame = frame.sort_values("node", kind="stable")
         self.node = frame["node"].to_numpy(dtype=np.int64)
         self.n = len(self.node)
-        self.x = np.frombuffer(b"".join(frame["vector"]), dtype="<f2").reshape(self.n, -1).astype(np.float32)
+        self.packed = frame["vector"].tolist()
+        raw = np.frombuffer(b"".join(self.packed), dtype=np.uint8).reshape(self.n, -1)
+        length = raw[:, :8].copy().view("<f8")
+        self.x = raw[:, 8:].copy().view("<f2").astype(np.float32) * np.minimum(length / length.max(), 1).astype(np.float32)
         width = max((len(v) // 4 for v in frame["neighbours"]), default=0)
         self.neighbours = np.frombuffer(b"".join(frame["neighbours"]), dtype="<i4").reshape(self.n, width).astype(np.int64) if width else np.zeros((self.n, 0), dtype=np.int64)
 
@@ -114,15 +129,44 @@ def descend(shard: Shard, block: np.ndarray, k: int, through: int, seed: int) ->
     return out
 
 
-def walk(shard: Shard, graph: np.ndarray, queries: np.ndarray, beam: int, expand: int, starts: int, seed: int) -> tuple[np.ndarray, np.ndarray]:
+def pieces(neighbours: np.ndarray) -> np.ndarray:
+    """By row the smallest place of its connected piece, links read in both directions."""
+    label, n = np.arange(len(neighbours)), len(neighbours)
+    while True:
+        wide = np.append(label, n)
+        low = np.minimum(label, wide[neighbours].min(axis=1, initial=n))
+        np.minimum.at(wide, neighbours.ravel(), np.repeat(low, neighbours.shape[1]))
+        low = np.minimum(low, wide[:n])
+        low = low[low]
+        if (low == label).all():
+            return label
+        label = low
+
+
+def entries(shard: Shard, starts: int, share: int, seed: int) -> np.ndarray:
+    """Where every query begins: random places, as many as the shard's size asks for, and one of each connected piece."""
+    drawn = np.random.default_rng(seed).integers(0, shard.n, min(max(starts, shard.n // share), shard.n))
+    return np.unique(np.concatenate([drawn, pieces(shard.neighbours)]))
+
+
+def links_of(shard: Shard, seed: int) -> np.ndarray:
+    """Neighbours, reverse neighbours and random links by place; n stands for none."""
+    back = reversed_of(shard.neighbours, REVERSE, np.tile(np.arange(shard.neighbours.shape[1]), (shard.n, 1)))
+    return np.concatenate([shard.neighbours, back, np.random.default_rng(seed).integers(0, shard.n, (shard.n, LONG))], axis=1)
+
+
+def walk(shard: Shard, graph: np.ndarray, queries: np.ndarray, own: np.ndarray, starts: np.ndarray, beam: int, expand: int) -> tuple[np.ndarray, np.ndarray]:
     """Greedy search for all queries at once: the best nodes of the beam that are not opened yet are opened together, until the beam holds none.
 
-    Returns scores and places, best first; the place n stands for none.
+    A query begins at the starts, at its own place (n for none) and that place's neighbours. Returns scores and places, best first; the place n stands for none.
     """
     n, rows = shard.n, np.arange(len(queries))[:, None]
-    ids = np.tile(np.unique(np.random.default_rng(seed).integers(0, n, min(starts, n))), (len(queries), 1))
-    scores = np.matmul(shard.x[np.minimum(ids, n - 1)], queries[:, :, None])[:, :, 0]
-    scores[ids == n] = -np.inf
+    near = np.concatenate([own[:, None], shard.neighbours[np.minimum(own, n - 1)]], axis=1)
+    near[(own == n)[:, None] | np.isin(near, starts)] = n
+    near = unique_rows(near, n)
+    close = np.matmul(shard.x[np.minimum(near, n - 1)], queries[:, :, None])[:, :, 0]
+    close[near == n] = -np.inf
+    ids, scores = np.concatenate([np.tile(starts, (len(queries), 1)), near], axis=1), np.concatenate([queries @ shard.x[starts].T, close], axis=1)
     seen = np.zeros((len(queries), n + 1), dtype=bool)
     seen[rows, ids] = True
     opened = ids == n
@@ -169,7 +213,7 @@ def build_graph(nodes: DataFrame, blocks: int, rounds: int = ROUNDS, k: int = NE
     return graph
 
 
-def search(graph: DataFrame, nodes: DataFrame, queries: DataFrame, shards: int, k: int, beam: int = BEAM, expand: int = EXPAND, starts: int = STARTS, seed: int = 5) -> DataFrame:
+def search(graph: DataFrame, nodes: DataFrame, queries: DataFrame, shards: int, k: int, beam: int = BEAM, expand: int = EXPAND, starts: int = STARTS, share: int = SHARE, seed: int = 5) -> DataFrame:
     """queries (id, v): each one's k best rows but its own: query_id, rank, vec_id, score. Ties go to smaller ids."""
     dealt = max(1, -(-queries.count() // QUERIES))
     queries = queries.select(F.col("id").alias("query_id"), F.col("v").cast("array<double>").alias("q"))
@@ -182,10 +226,12 @@ def search(graph: DataFrame, nodes: DataFrame, queries: DataFrame, shards: int,
         asks: list[np.ndarray] = []
         if len(ask) and len(whole):
             shard = Shard(whole)
-            links = np.concatenate([shard.neighbours, reversed_of(shard.neighbours, REVERSE, np.tile(np.arange(shard.neighbours.shape[1]), (shard.n, 1)))], axis=1)
-            ids, vectors = ask["query_id"].to_numpy(dtype=np.int64), np.stack(ask["q"]).astype(np.float32)
+            links, begin, place = links_of(shard, seed), entries(shard, starts, share, seed), {v: i for i, v in enumerate(shard.packed)}
+            ids, same = ask["query_id"].to_numpy(dtype=np.int64), [packed(q) for q in ask["q"]]
+            own = np.array([place.get(v, shard.n) for v in same], dtype=np.int64)
+            vectors = np.stack([np.frombuffer(v[8:], dtype="<f2") for v in same]).astype(np.float32)
             for b in range(0, len(ids), 128):
-                _, places = walk(shard, links, vectors[b : b + 128], max(beam, take), expand, starts, seed)
+                _, places = walk(shard, links, vectors[b : b + 128], own[b : b + 128], begin, max(beam, take), expand)
                 places = places[:, :take]
                 real = places < shard.n
                 found.append(shard.node[places[real]])
@@ -211,14 +257,12 @@ def nearest(vectors: DataFrame, k: int = 20, every: int = 20, id_col: str = "vec
     rows = usable(vectors, id_col, vector_col)
 
     @F.pandas_udf("binary")
-    def packed(v: pd.Series) -> pd.Series:
-        """16 bits a number; one scale for all has brought them into range."""
-        return pd.Series([np.asarray(x, dtype="<f2").tobytes() for x in v], dtype=object)
+    def short(vectors: pd.Series) -> pd.Series:
+        return pd.Series([packed(v) for v in vectors], dtype=object)
 
     nodes = materialize(nodes_of(rows, k + 1), "nodes")
-    largest = nodes.agg(F.max(F.array_max(F.transform("v", lambda x: F.abs(x))))).first()[0] or 1.0
     count = nodes.count()
     shards = max(1, -(-count // SHARD))
-    scaled = nodes.select(F.pmod(F.xxhash64("node"), F.lit(shards).cast("long")).alias("shard"), "node", packed(F.transform("v", lambda x: x / largest)).alias("vector"))
+    scaled = nodes.select(F.pmod(F.xxhash64("node"), F.lit(shards).cast("long")).alias("shard"), "node", short("v").alias("vector"))
     graph = build_graph(scaled, max(1, -(-count // (shards * BLOCK))), **options)
     return search(graph, nodes, rows.filter(F.col("id") % every == 0).dropDuplicates(["id"]), shards, k)
