@@ -92,6 +92,43 @@ def test_packing_options(spark):
     assert sum(r.used for r in back) == 50
 
 
+def plain_pack(lengths, vectors, c, n):
+    """Every window scored for every segment."""
+    bins, out = pack.Bins.empty(n, c.window, vectors.shape[1]), []
+    for i, (length, v) in enumerate(zip(lengths.tolist(), vectors)):
+        free = bins.remaining >= 0 if c.eligible == "nonneg" else bins.remaining > 0
+        if not free.any():
+            if c.leftover == "drop":
+                break
+            one = pack.Bins.empty(1, c.window, vectors.shape[1])
+            bins = pack.Bins(c.window, *(np.concatenate([getattr(bins, x), getattr(one, x)]) for x in ("sums", "size", "count", "remaining")))
+            free = np.append(free, True)
+        f = np.where(free, bins.scores(v, length, c), -np.inf)
+        at = int(np.argmax(f))
+        out.append((i, at, int(c.window - bins.remaining[at]), int(bins.count[at]), float(f[at])))
+        bins.put(at, v, length)
+    return out
+
+
+def test_large_clusters_are_packed_whole(spark):
+    n = 20_500
+    frame = spark.range(n).select(F.lit("hot").alias("cluster_id"), F.concat(F.lit("s"), "id").alias("seg_id"), F.col("id").alias("doc_id"), F.lit(0).alias("seg_no"), (F.col("id") % 61 + 1).cast("int").alias("n_tokens"), F.array(F.sin("id"), F.cos("id")).alias("vec"))
+    got = {r.seg_id: (r.cluster_id, r.window_id, r.pos, r.score) for r in pack.pack(frame, Config(window=1024)).collect()}
+    rows = sorted(frame.collect(), key=lambda r: (-r.n_tokens, r.doc_id))
+    lengths = np.array([r.n_tokens for r in rows])
+    want = plain_pack(lengths, np.array([r.vec for r in rows]), Config(window=1024), math.ceil(lengths.sum() / 1024))
+    assert got == {rows[i].seg_id: ("hot", f"hot|{at:06d}", pos, f) for i, at, _, pos, f in want}
+
+
+def test_windows_left_out_of_scoring_would_not_win():
+    rng = np.random.default_rng(8)
+    for c in (Config(window=100), Config(window=100, alpha=0.0), Config(window=100, beta=0.0, lam=0.0), Config(window=100, eligible="positive", empty_cos=0.5), Config(window=100, leftover="drop")):
+        for budget in (None, 7):
+            lengths, vectors = np.sort(rng.integers(0, 101, 500))[::-1], rng.normal(size=(500, 4)).round(1)
+            vectors[::50] = 0
+            assert pack.pack_cluster(lengths, vectors, c, budget) == plain_pack(lengths, vectors, c, budget or math.ceil(lengths.sum() / 100))
+
+
 def test_greedy_against_the_optimum():
     rng = random.Random(2)
     vec = random_vectors(6, 4, 8)

@@ -36,7 +36,7 @@ class Config:
     empty_cos: float = 0.0
     leftover: str = "open_new"  # open_new, drop
     backfill: bool = False
-    max_cluster: int = 20_000
+    max_cluster: int | None = None  # larger clusters are dealt over parts of this size, which changes results; none: packed whole
     # everything random
     seed: int = 7
 

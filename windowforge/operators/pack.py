@@ -1,12 +1,14 @@
 """Packing the segments of a cluster into windows: longest first, each into the window with the best score.
 
 The score adds relevance (cosine with the window's centre), the free share of the window, and a penalty for what would be cut.
-The pass over a cluster is sequential, clusters are independent: a group of rows each, capped in size. Text does not move.
+The pass over a cluster is sequential, clusters are independent. A cluster's rows stream through one task in their order, which
+holds its open windows alone; so clusters of any size are packed whole. Text does not move.
 """
 
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -54,12 +56,6 @@ class Bins:
     def empty(cls, n: int, window: int, dim: int) -> Bins:
         return cls(window, np.zeros((n, dim)), np.zeros(n), np.zeros(n, dtype=np.int64), np.full(n, window, dtype=np.int64))
 
-    def grow(self) -> None:
-        for name in ("sums", "size", "count", "remaining"):
-            a = getattr(self, name)
-            setattr(self, name, np.concatenate([a, np.zeros_like(a[:1]) if len(a) else np.zeros((1, *a.shape[1:]), dtype=a.dtype)]))
-        self.remaining[-1] = self.window
-
     def scores(self, v: np.ndarray, length: int, c: Config) -> np.ndarray:
         norm = float(np.sqrt(v @ v))
         bottom = self.size * norm
@@ -75,30 +71,87 @@ class Bins:
         self.remaining[at] -= length
 
 
+class Filling:
+    """A cluster's windows while its segments come, longest first.
+
+    Empty windows score alike and the first of them is taken, so the used ones are those before it. A cosine is at most 1:
+    only windows that might still beat the best known score get theirs. Closed windows are forgotten.
+    """
+
+    def __init__(self, n: int, dim: int, c: Config):
+        self.n, self.c, self.used = n, c, 0
+        self.bins, self.at, self.open = Bins.empty(64, c.window, dim), np.zeros(64, dtype=np.int64), 0  # the first self.open places hold open windows, in order
+
+    def _room(self) -> None:
+        """Room for one more window: closed ones go, or the arrays double."""
+        b = self.bins
+        keep = np.flatnonzero(self.eligible(b.remaining[: self.open]))
+        size = max(64, 2 * len(keep))
+        new, at = Bins.empty(size, b.window, b.sums.shape[1]), np.zeros(size, dtype=np.int64)
+        for mine, old in ((new.sums, b.sums), (new.size, b.size), (new.count, b.count), (new.remaining, b.remaining), (at, self.at)):
+            mine[: len(keep)] = old[keep]
+        self.bins, self.at, self.open = new, at, len(keep)
+
+    def eligible(self, remaining: np.ndarray) -> np.ndarray:
+        return remaining >= 0 if self.c.eligible == "nonneg" else remaining > 0
+
+    def place(self, v: np.ndarray, length: int) -> tuple[int, int, int, float] | None:
+        """(window, tokens before it, place in the window, score); none where no window is open and leftovers are dropped."""
+        c, k = self.c, self.open
+        remaining = self.bins.remaining[:k]
+        fresh = self.fresh_score(length) if self.used < self.n else -np.inf
+        most = np.where(self.eligible(remaining), c.alpha + c.beta * remaining / c.window + c.lam * c.window / (c.window + np.maximum(length - remaining, 0)), -np.inf)
+        slot, best = -1, fresh
+        if k and np.isfinite(top := most.max()):
+            if not np.isfinite(best):
+                some = np.argpartition(-most, min(64, k) - 1)[: min(64, k)]
+                best = self.scores(some[np.isfinite(most[some])], v, length).max()
+            if top >= best - 1e-9:
+                rows = np.flatnonzero(most >= best - 1e-9)
+                f = self.scores(rows, v, length)
+                i = int(np.argmax(f))
+                if f[i] >= fresh:
+                    slot, best = int(rows[i]), float(f[i])
+        if slot < 0:
+            if self.used >= self.n:
+                if c.leftover == "drop":
+                    return None
+                self.n += 1
+                best = self.fresh_score(length)
+            if self.open == len(self.at):
+                self._room()
+            slot, self.at[self.open] = self.open, self.used
+            self.open, self.used = self.open + 1, self.used + 1
+        placed = (int(self.at[slot]), int(c.window - self.bins.remaining[slot]), int(self.bins.count[slot]), float(best))
+        self.bins.put(slot, v, length)
+        return placed
+
+    def fresh_score(self, length: int) -> float:
+        c = self.c
+        return float(np.round(c.alpha * c.empty_cos + c.beta + c.lam * c.window / (c.window + max(length - c.window, 0)), 12))
+
+    def scores(self, rows: np.ndarray, v: np.ndarray, length: int) -> np.ndarray:
+        b = self.bins
+        return Bins(b.window, b.sums[rows], b.size[rows], b.count[rows], b.remaining[rows]).scores(v, length, self.c)
+
+
 def pack_cluster(lengths: np.ndarray, vectors: np.ndarray, c: Config, n_windows: int | None = None) -> list[tuple[int, int, int, int, float]]:
     """(row, window, tokens before it in the window, place in the window, score) for rows that come longest first.
 
     A window takes segments while its remaining capacity is not negative (or, by option, positive), so it may overflow once; what
     sticks out is cut later. With as many windows as the tokens need, some window is always open.
     """
-    n = n_windows if n_windows is not None else max(1, math.ceil(int(lengths.sum()) / c.window))
-    bins, out = Bins.empty(n, c.window, vectors.shape[1]), []
+    filling = Filling(n_windows if n_windows is not None else max(1, math.ceil(int(lengths.sum()) / c.window)), vectors.shape[1], c)
+    out = []
     for row, (length, v) in enumerate(zip(lengths.tolist(), vectors)):
-        open_ = bins.remaining >= 0 if c.eligible == "nonneg" else bins.remaining > 0
-        if not open_.any():
-            if c.leftover == "drop":
-                break
-            bins.grow()
-            open_ = np.append(open_, True)
-        f = np.where(open_, bins.scores(v, length, c), -np.inf)
-        at = int(np.argmax(f))
-        out.append((row, at, int(c.window - bins.remaining[at]), int(bins.count[at]), float(f[at])))
-        bins.put(at, v, length)
+        if (placed := filling.place(v, length)) is None:
+            break
+        out.append((row, *placed))
     return out
 
 
 def capped(members: DataFrame, most: int) -> DataFrame:
-    """Clusters of more than ``most`` rows are dealt over parts by hash, so that no task holds an unbounded group."""
+    """Clusters of more than ``most`` rows are dealt over parts by hash, each a cluster of its own in the manifest: on request only, as it changes results."""
     sizes = members.groupBy("cluster_id").agg(F.count(F.lit(1)).alias("_size"))
     parts = F.ceil(F.col("_size") / most)
     part = F.when(F.col("_size") > most, F.concat("cluster_id", F.lit("#"), F.pmod(F.xxhash64("seg_id"), parts).cast("string"))).otherwise(F.col("cluster_id"))
@@ -110,18 +163,33 @@ def pack(members: DataFrame, config: Config = Config(), n_windows: int | None =
     ship(members.sparkSession)
     columns = [x.split()[0] for x in MANIFEST.split(", ")]
 
-    def run(group: pd.DataFrame) -> pd.DataFrame:
-        group = group.sort_values(["n_tokens", "doc_id", "seg_no"], ascending=[False, True, True], kind="stable").reset_index(drop=True)
-        vectors = np.stack([np.asarray(v, dtype=np.float64) for v in group["vec"]])
-        rows, cluster = [], group["cluster_id"].iloc[0]
-        for row, at, before, pos, f in pack_cluster(group["n_tokens"].to_numpy(dtype=np.int64), vectors, config, n_windows):
-            length = int(group["n_tokens"].iloc[row])
-            used = min(length, max(0, config.window - before))
-            rows.append((cluster, f"{cluster}|{at:06d}", pos, group["seg_id"].iloc[row], 0, min(before, config.window), length, used, length - used, f))
-        return pd.DataFrame(rows, columns=columns)
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        cluster, filling, dropped = None, None, False
+        for batch in batches:
+            rows = []
+            for name, seg, length, budget, vec in zip(batch["cluster_id"], batch["seg_id"], batch["n_tokens"].tolist(), batch["n_windows"].tolist(), batch["vec"]):
+                v = np.asarray(vec, dtype=np.float64)
+                if filling is None or name != cluster:
+                    cluster, filling, dropped = name, Filling(budget, len(v), config), False
+                placed = None if dropped else filling.place(v, length)
+                if placed is None:
+                    dropped = True
+                    continue
+                at, before, pos, f = placed
+                used = min(length, max(0, config.window - before))
+                rows.append((name, f"{name}|{at:06d}", pos, seg, 0, min(before, config.window), length, used, length - used, f))
+            yield pd.DataFrame(rows, columns=columns)
 
     needed = members.select("cluster_id", "seg_id", "doc_id", "seg_no", "n_tokens", "vec")
-    manifest = capped(needed, config.max_cluster).groupBy("cluster_id").applyInPandas(run, MANIFEST)
+    if config.max_cluster is not None:
+        needed = capped(needed, config.max_cluster)
+    if n_windows is not None:
+        budgeted = needed.withColumn("n_windows", F.lit(n_windows).cast("long"))
+    else:
+        budget = window_budget(needed, config.window).select(F.col("cluster_id").alias("_c"), "n_windows")
+        budgeted = needed.join(budget, F.col("cluster_id").eqNullSafe(F.col("_c"))).drop("_c")
+    inside = ["cluster_id", F.desc("n_tokens"), F.asc_nulls_last("doc_id"), "seg_no"]
+    manifest = budgeted.repartition("cluster_id").sortWithinPartitions(*inside).select("cluster_id", "seg_id", "n_tokens", "n_windows", "vec").mapInPandas(run, MANIFEST)
     return backfill(manifest, config.window) if config.backfill else manifest
 
 
