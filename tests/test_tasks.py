@@ -8,6 +8,7 @@ from windowforge.functions import scorers as S
 from windowforge.functions import sql, vec
 from windowforge.operators import evals as E
 from windowforge.operators import mixture, project, stats
+from windowforge.plans import queries_evals
 from windowforge.plans.scores import score_rows
 from windowforge.sources import corpus as C
 from windowforge.sources import examples
@@ -49,6 +50,13 @@ def test_key_values(spark):
     assert len(rows) == 7 and all(f"{r.question}: {r.answer}" in r.context for r in rows)
 
 
+def test_haystack_reads_on_behind_empty_documents(spark, tmp_path):
+    texts = [(i, None if i % 2 else "") for i in range(2500)] + [(2500 + i, f"a{i} b{i} c{i}") for i in range(40)]
+    spark.createDataFrame(texts, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    tokens = queries_evals._haystack(spark, str(tmp_path), 50).first()["tokens"]
+    assert tokens == [f"{c}{i}" for i in range(17) for c in "abc"]
+
+
 def test_needle_at_the_limit(spark):
     needles = spark.createDataFrame([(1, "n1 n2 n3 n4")], "needle_id long, text string")
     hay = spark.createDataFrame([([f"h{i}" for i in range(100)],)], "tokens array<string>")

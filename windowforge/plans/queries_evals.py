@@ -12,6 +12,7 @@ from windowforge.functions import scorers as S
 from windowforge.functions import sql as registered
 from windowforge.functions.tokens import segment, tokenize
 from windowforge.operators import evals as E
+from windowforge.operators.prefix import running
 from windowforge.plans.scores import score_rows
 from windowforge.sources import examples as source
 from windowforge.sources.corpus import corpus, table
@@ -100,8 +101,8 @@ def _needles(spark, d):
 
 def _haystack(spark, d, length: int = 65_536):
     """The first words of the documents in the order of their numbers, as many as the longest grid needs: a bounded row."""
-    rows = table(spark, d, "documents").select("doc_id", tokenize(F.col("text")).alias("t"), F.size(tokenize(F.col("text"))).alias("n")).orderBy("doc_id").limit(2_000)
-    kept = rows.withColumn("before", F.sum("n").over(Window.orderBy("doc_id").rowsBetween(Window.unboundedPreceding, -1))).filter(F.coalesce("before", F.lit(0)) < length)
+    rows = table(spark, d, "documents").select("doc_id", "text", F.size(tokenize(F.col("text"))).alias("n"))
+    kept = running(rows.filter("n > 0"), F.col("doc_id"), "n", []).filter(F.col("before") < length).select("doc_id", tokenize(F.col("text")).alias("t"))
     return kept.agg(F.flatten(F.sort_array(F.collect_list(F.struct("doc_id", "t")))["t"]).alias("tokens"))
 
 
