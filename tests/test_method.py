@@ -15,6 +15,7 @@ from windowforge.operators import density as D
 from windowforge.operators import embed, isodata, materialize, objective, pack, stats
 from windowforge.operators.prefix import running
 from windowforge.plans import organize as P
+from windowforge.plans import queries_method
 from windowforge.schema import SEGMENTS, require
 
 FOUR = [("A", 7, [1.0, 0.0]), ("B", 6, [0.0, 1.0]), ("C", 4, [1.0, 0.0]), ("D", 3, [0.0, 1.0])]
@@ -120,6 +121,14 @@ def test_large_clusters_are_packed_whole(spark):
     assert got == {rows[i].seg_id: ("hot", f"hot|{at:06d}", pos, f) for i, at, _, pos, f in want}
 
 
+def test_packing_queries_take_every_language(spark):
+    d = "/root/testdata/sf0.001"
+    n = queries_method.segments(spark, d).count()
+    for name in ("pack_without_clusters", "weight_sweep"):
+        for r in queries_method.QUERIES[name](spark, d).collect():
+            assert round(r.windows * r.members, 1) == pytest.approx(n, abs=1), (name, r)
+
+
 def test_windows_left_out_of_scoring_would_not_win():
     rng = np.random.default_rng(8)
     for c in (Config(window=100), Config(window=100, alpha=0.0), Config(window=100, beta=0.0, lam=0.0), Config(window=100, eligible="positive", empty_cos=0.5), Config(window=100, leftover="drop")):

@@ -428,7 +428,7 @@ def _manifest_row(spark, d, label: str, manifest: DataFrame):
 @query()
 def weight_sweep(spark, d):
     """All on or off combinations of the three weights over clusters by language."""
-    m, out = settled(_by_lang(spark, d).filter("cluster_id <> 'en'"), "sweep"), None
+    m, out = settled(_by_lang(spark, d), "sweep"), None
     for a in (0.0, 1.0):
         for b in (0.0, 1.0):
             for c in (0.0, 1.0):
@@ -440,7 +440,7 @@ def weight_sweep(spark, d):
 @query()
 def pack_without_clusters(spark, d):
     """One cluster of everything: what the coarse step saves."""
-    m = _by_lang(spark, d).filter("cluster_id = 'fr'").withColumn("cluster_id", F.lit("all"))
+    m = _by_lang(spark, d).withColumn("cluster_id", F.lit("all"))
     return _manifest_row(spark, d, "one cluster", pack.pack(m, text_config()))
 
 
