@@ -1,4 +1,5 @@
 import math
+import os
 import random
 
 import numpy as np
@@ -6,13 +7,14 @@ import pytest
 from pyspark.sql import functions as F
 
 from tests import reference as R
+from windowforge import session
 from windowforge.config import Config
 from windowforge.functions.schedule import batch, learning_rate
 from windowforge.functions.tokens import segment
 from windowforge.operators import assign as A
 from windowforge.operators import baselines as B
 from windowforge.operators import density as D
-from windowforge.operators import embed, isodata, materialize, objective, pack, stats
+from windowforge.operators import embed, isodata, materialize, mixture, objective, pack, stats
 from windowforge.operators.prefix import running
 from windowforge.plans import organize as P
 from windowforge.plans import queries_method
@@ -252,14 +254,72 @@ def test_assigners(spark):
         got = A.recall(A.assign(docs, cents, how), truth).first()
         assert got.recall >= least and got.never_above == 1 and got.documents == 300
     assert A.choose(10, 64) == "exact" and A.choose(40_000, 1024) == "cells" and A.choose(10_000, 1024) == "hnsw"
-    index = {k: A.Hnsw(A.unit(np.random.default_rng(0).normal(size=(k, 8)))) for k in (200, 2000)}
-    cost = {}
+    index = {k: A.Hnsw(A.unit(np.random.default_rng(0).normal(size=(k, 8)))).seal() for k in (200, 2000)}
+    asked = A.unit(np.random.default_rng(1).normal(size=(50, 8)))
+    cost, hit = {}, {}
     for k, graph in index.items():
-        graph.evals = 0
-        for v in A.unit(np.random.default_rng(1).normal(size=(50, 8))):
-            graph.query(v)
-        cost[k] = graph.evals
-    assert cost[2000] < 5 * cost[200]
+        _, places, evals = graph.search(asked)
+        cost[k], hit[k] = evals.sum(), (places[:, 0] == (asked @ graph.c.T).argmax(axis=1)).mean()
+    assert cost[2000] < 5 * cost[200] and min(hit.values()) > 0.95
+
+
+def test_assigners_with_small_groups(spark, monkeypatch):
+    """Cells and buckets that are dealt over parts give what whole ones give; ties between tables go to the smaller id."""
+    vec = random_vectors(200, 8, 6, groups=10)
+    docs = vectors(spark, [*vec.items(), ("copy-a", vec["d1"] if "d1" in vec else next(iter(vec.values()))), ("none", [0.0] * 8)])
+    cents = isodata.seed(docs, 30, 2)
+    whole = {how: sorted(A.assign(docs, cents, how).select("seg_id", "cluster_id").collect()) for how in ("cells", "lsh")}
+    monkeypatch.setattr(A, "GROUP_ROWS", 7)
+    for how, rows in whole.items():
+        assert sorted(A.assign(docs, cents, how).select("seg_id", "cluster_id").collect()) == rows
+    edges = {how: sorted(B.knn_graph(docs, 4, how).collect()) for how in ("cells", "lsh")}
+    monkeypatch.setattr(A, "GROUP_ROWS", 1000)
+    for how, rows in edges.items():
+        assert sorted(B.knn_graph(docs, 4, how).collect()) == rows
+
+
+def test_components_on_either_side_of_the_bound(spark):
+    vec = random_vectors(120, 6, 8, groups=15)
+    cents = spark.createDataFrame([(i, [float(x) for x in v], 1) for i, v in vec.items()], "cluster_id string, vec array<double>, n long")
+    every = isodata.merge_edges(cents, 0.9)
+    roots = lambda edges, bound: sorted(isodata.components(edges, cents, driver=bound).collect())
+    assert roots(every, 1000) == roots(every, 5) == roots(isodata.merge_edges(cents, 0.9, forest=True), 1000)
+    assert isodata.merge_edges(cents, 0.9, forest=True).count() < 120
+
+
+def test_paths_by_cell_beyond_the_bound(spark, monkeypatch):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    p = P.prepare(docs, Config(dim=64))
+    whole = P.graph_paths(p)
+    assert whole.filter("not exact").isEmpty()
+    monkeypatch.setattr(B, "TRAVERSE_NODES", 50)
+    parts = P.graph_paths(p)
+    assert parts.filter("exact").isEmpty() and parts.count() == whole.count() == parts.select("seg_id").distinct().count()
+
+
+def test_intermediates_go(spark):
+    def build():
+        return session.settled(session.settled(spark.range(10), "a").filter("id > 3"), "b")
+
+    before = set(os.listdir(session.state_dir(spark).removeprefix("file://")))
+    assert session.distilled(spark, "c", build).count() == 6
+    left = set(os.listdir(session.state_dir(spark).removeprefix("file://"))) - before
+    assert [x.split("-")[0] for x in left] == ["c"]
+    with pytest.raises(ValueError):
+        session.distilled(spark, "d", lambda: [session.settled(spark.range(3), "e"), int("x")])
+    assert not {x for x in os.listdir(session.state_dir(spark).removeprefix("file://")) if x.startswith("e-")}
+
+
+def test_null_domains_stay(spark):
+    rows = [(i, " ".join(["w%d" % (i % 7)] * 20), d) for i, d in enumerate(["en", "de", None] * 6)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    found = P.organize_domain(docs, "lang", "en", Config(window=64, dim=32, n_clusters=2, rounds=2))
+    assert {r.seg_id for r in found.collect()} == {f"{i}:0" for i in range(18)}
+    assert found.filter("window_id is null").isEmpty()
+    ratios = mixture.domain_ratios(docs.withColumn("n_tokens", F.lit(20)).withColumn("seg_id", F.col("doc_id").cast("string")), "lang")
+    assert set(ratios) == {"en", "de", None}
+    mixed = mixture.mix(docs.withColumn("n_tokens", F.lit(20)).withColumn("seg_id", F.col("doc_id").cast("string")), "lang", ratios, 10_000)
+    assert mixed.count() == 18
 
 
 # baselines

@@ -7,6 +7,7 @@ Cosines are compared after rounding to 12 digits, so the order of a sum never de
 from __future__ import annotations
 
 import heapq
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -14,10 +15,12 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from windowforge.session import ship
+from windowforge.session import settled, ship
 
 #: Bytes of centres that a broadcast may hold; more of them are searched by cells.
 BROADCAST_BYTES = 256 << 20
+#: Documents that one group of a cell or bucket holds on average at most; hotter ones are dealt over parts.
+GROUP_ROWS = 20_000
 OUT = "seg_id string, cluster_id string, cos double, second double, evals long"
 
 
@@ -132,30 +135,82 @@ class Hnsw:
         if height > self.top:
             self.entry, self.top = i, height
 
-    def query(self, v: np.ndarray) -> list[tuple[float, int]]:
-        start = [self.entry]
-        for layer in range(self.top, 0, -1):
-            start = [self._near(v, start, layer, 1)[0][1]]
-        return self._near(v, start, 0, self.ef)
+    def seal(self) -> Hnsw:
+        """Links as arrays, a row per centre, filled up with the number of centres."""
+        self.links = []
+        for layer in self.layers:
+            width = max((len(x) for x in layer.values()), default=0)
+            table = np.full((len(self.c) + 1, max(width, 1)), len(self.c), dtype=np.int64)
+            for i, near in layer.items():
+                table[i, : len(near)] = near
+            self.links.append(table)
+        self.layers = []
+        return self
+
+    def search(self, x: np.ndarray, expand: int = 4) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """For a block of vectors at once: cosines and places of the best centres, best first, and the comparisons made for each.
+
+        Upper layers are descended greedily, all vectors a step at a time; on the ground the best ``expand`` centres of each vector's
+        list that are not opened yet are opened together, until its ``ef`` best are all open.
+        """
+        n, all_ = len(self.c), np.arange(len(x))
+        wide = np.vstack([self.c, np.zeros((1, self.c.shape[1]))])
+
+        def near(ids: np.ndarray, who: np.ndarray) -> np.ndarray:
+            cos = np.matmul(wide[ids], x[who][:, :, None])[:, :, 0]
+            cos[ids == n] = -np.inf
+            return cos
+
+        here = np.full(len(x), self.entry, dtype=np.int64)
+        cos, evals = x @ self.c[self.entry], np.ones(len(x), dtype=np.int64)
+        for table in self.links[:0:-1]:
+            moving = all_
+            while len(moving):
+                ids = table[here[moving]]
+                found = near(ids, moving)
+                evals[moving] += (ids < n).sum(axis=1)
+                best = found.argmax(axis=1)
+                top = found[np.arange(len(moving)), best]
+                up = top > cos[moving]
+                here[moving[up]], cos[moving[up]] = ids[up, best[up]], top[up]
+                moving = moving[up]
+        ids, scores = here[:, None], cos[:, None]
+        opened, seen = np.zeros((len(x), 1), dtype=bool), np.zeros((len(x), n + 1), dtype=bool)
+        seen[all_, here] = True
+        while True:
+            order = np.argsort(-scores, axis=1, kind="stable")[:, : self.ef]
+            ids, scores, opened = (np.take_along_axis(a, order, 1) for a in (ids, scores, opened))
+            rank = np.where(opened | (ids == n), ids.shape[1], np.arange(ids.shape[1]))
+            pick = np.argsort(rank, axis=1, kind="stable")[:, :expand]
+            fresh = np.take_along_axis(rank, pick, 1) < ids.shape[1]
+            if not fresh.any():
+                return scores, ids, evals
+            np.put_along_axis(opened, pick, True, 1)
+            around = self.links[0][np.where(fresh, np.take_along_axis(ids, pick, 1), n)].reshape(len(x), -1)
+            around = np.sort(np.where(np.take_along_axis(seen, around, 1), n, around), axis=1)
+            around[:, 1:][around[:, 1:] == around[:, :-1]] = n
+            seen[all_[:, None], around] = True
+            evals += (around < n).sum(axis=1)
+            ids, scores = np.concatenate([ids, around], 1), np.concatenate([scores, near(around, all_)], 1)
+            opened = np.concatenate([opened, around == n], 1)
 
 
 def hnsw(docs: DataFrame, cents: DataFrame, m: int = 16, ef: int = 64, seed: int = 7) -> DataFrame:
-    """Through a layered graph that is built once on the driver and broadcast; about log K comparisons a document."""
+    """Through a layered graph that is built once on the driver and broadcast; comparisons a document grow with the logarithm of the centres."""
     ship(docs.sparkSession)
     ids, c = collected(cents)
-    held = docs.sparkSession.sparkContext.broadcast((np.array(ids, dtype=object), Hnsw(c, m, ef, seed)))
+    held = docs.sparkSession.sparkContext.broadcast((np.array(ids, dtype=object), Hnsw(c, m, ef, seed).seal()))
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         names, index = held.value
         for batch in batches:
-            rows = []
-            for v in unit(matrix(batch["vec"])):
-                index.evals = 0
-                found = sorted(((-round(s, 12), i) for s, i in index.query(v)[:8]))
-                rows.append((names[found[0][1]], -found[0][0], -found[1][0] if len(found) > 1 else -1.0, index.evals))
-            out = pd.DataFrame(rows, columns=["cluster_id", "cos", "second", "evals"])
-            out.insert(0, "seg_id", batch["seg_id"].to_numpy())
-            yield out
+            for k in range(0, len(batch), 256):
+                part = batch.iloc[k : k + 256]
+                scores, places, evals = index.search(unit(matrix(part["vec"])))
+                scores = np.where(np.isfinite(scores), np.round(scores, 12), -2.0)
+                first = np.where(scores == scores[:, :1], places, len(names)).min(axis=1)  # of equally near centres the one of smallest id
+                second = scores[:, 1] if scores.shape[1] > 1 else np.full(len(part), -1.0)
+                yield pd.DataFrame({"seg_id": part["seg_id"].to_numpy(), "cluster_id": names[first], "cos": scores[:, 0], "second": np.where(second > -2, second, -1.0), "evals": evals})
 
     return docs.select("seg_id", "vec").mapInPandas(run, OUT)
 
@@ -166,6 +221,11 @@ def coarse_centres(cents: DataFrame, n_cells: int, seed: int = 7) -> np.ndarray:
     return unit(matrix(got["vec"]))
 
 
+def cells_for(k: int, dim: int) -> int:
+    """Coarse cells for k vectors: as many as a cell then holds vectors, 16 at least, and no more than a broadcast may hold."""
+    return int(max(1, min(max(16, math.ceil(math.sqrt(k))), BROADCAST_BYTES // (8 * max(dim, 1)))))
+
+
 def with_cells(df: DataFrame, key: str, cells: np.ndarray, n_probe: int) -> DataFrame:
     """(key, vec, cell): each row once for each of its ``n_probe`` nearest cells."""
 
@@ -178,55 +238,81 @@ def with_cells(df: DataFrame, key: str, cells: np.ndarray, n_probe: int) -> Data
     return df.select(key, F.col("vec").cast("array<double>").alias("vec")).mapInPandas(run, f"{key} string, vec array<double>, cell long")
 
 
-def cells(docs: DataFrame, cents: DataFrame, n_cells: int = 16, n_probe: int = 4, seed: int = 7, salt: int = 8) -> DataFrame:
-    """Documents go to their one cell and stay there, centres are copied to their ``n_probe`` nearest cells and, against hot cells,
-    to ``salt`` parts of each. Both sides move by key: nothing is broadcast but the coarse cells.
+def hyperplanes(k: int, dim: int, tables: int, bits: int | None, seed: int) -> np.ndarray:
+    """Random hyperplanes (tables, bits, dim); bits grow with the number of vectors, so that a bucket holds some hundreds of them."""
+    bits = bits or max(4, min(24, math.ceil(math.log2(max(k, 1) / 256 + 1))))
+    return np.random.default_rng(seed).normal(size=(tables, bits, dim))
 
-    A cell that no centre was copied to gets its documents assigned among the coarse cells' own centres, which are copied
-    everywhere they are needed because each coarse centre is its own cell's nearest.
-    """
-    ship(docs.sparkSession)
-    coarse = coarse_centres(cents, n_cells, seed)
-    d = with_cells(docs, "seg_id", coarse, 1).withColumn("part", F.pmod(F.xxhash64("seg_id"), F.lit(salt)))
-    c = with_cells(cents, "cluster_id", coarse, min(n_probe, len(coarse))).withColumn("part", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(salt - 1).cast("long"))))
 
-    def run(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
-        if not len(left) or not len(right):
-            return pd.DataFrame({"seg_id": [], "cluster_id": [], "cos": [], "second": [], "evals": []}).astype({"seg_id": object, "cluster_id": object, "cos": float, "second": float, "evals": "int64"})
-        right = right.sort_values("cluster_id")
-        at, best, second = top_two(unit(matrix(left["vec"])), unit(matrix(right["vec"])))
-        return pd.DataFrame({"seg_id": left["seg_id"].to_numpy(), "cluster_id": right["cluster_id"].to_numpy()[at], "cos": best, "second": second, "evals": len(right) + len(coarse)})
+def bucketed(df: DataFrame, key: str, planes: np.ndarray) -> DataFrame:
+    """(key, vec, t, code): each row once for each table, with its side of the table's hyperplanes."""
+    tables, bits = planes.shape[:2]
 
-    return d.groupBy("cell", "part").cogroup(c.groupBy("cell", "part")).applyInPandas(run, OUT)
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            x = matrix(batch["vec"])
+            for t in range(tables):
+                code = ((x @ planes[t].T > 0) @ (1 << np.arange(bits))) if len(x) else np.zeros(0, dtype=int)
+                yield pd.DataFrame({key: batch[key].to_numpy(), "vec": batch["vec"], "t": t, "code": code.astype("int64")})
 
+    return df.select(key, F.col("vec").cast("array<double>").alias("vec")).mapInPandas(run, f"{key} string, vec array<double>, t long, code long")
 
-def lsh(docs: DataFrame, cents: DataFrame, tables: int = 16, bits: int = 4, seed: int = 7) -> DataFrame:
-    """Candidates share a bucket of random hyperplanes in some table; documents that meet no centre take the exact way."""
-    ship(docs.sparkSession)
-    first = docs.select(F.size("vec")).first()
-    planes = np.random.default_rng(seed).normal(size=(tables, bits, first[0] if first else 1))
 
-    def bucketed(df: DataFrame, key: str) -> DataFrame:
-        def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-            for batch in batches:
-                x = matrix(batch["vec"])
-                for t in range(tables):
-                    code = ((x @ planes[t].T > 0) @ (1 << np.arange(bits))) if len(x) else np.zeros(0, dtype=int)
-                    yield pd.DataFrame({key: batch[key].to_numpy(), "vec": batch["vec"], "t": t, "code": code.astype("int64")})
+def dealt(left: DataFrame, right: DataFrame, key: str, by: list[str], rows: int | None = None) -> tuple[DataFrame, DataFrame]:
+    """Both sides with a column part: groups of more than ``rows`` rows on the left are dealt over parts by hash, to each of which the
+    right side is copied. The left side is written down to be counted; there is one number for each group that has several parts."""
+    left = settled(left, "dealt")
+    parts = left.groupBy(*by).agg(F.ceil(F.count(F.lit(1)) / (rows or GROUP_ROWS)).cast("long").alias("_parts")).filter("_parts > 1")
+    spread = lambda df: df.join(F.broadcast(parts), by, "left").withColumn("_parts", F.coalesce("_parts", F.lit(1).cast("long")))
+    return (
+        spread(left).withColumn("part", F.pmod(F.xxhash64(key), F.col("_parts"))).drop("_parts"),
+        spread(right).withColumn("part", F.explode(F.sequence(F.lit(0).cast("long"), F.col("_parts") - 1))).drop("_parts"),
+    )
+
 
-        return df.select(key, F.col("vec").cast("array<double>").alias("vec")).mapInPandas(run, f"{key} string, vec array<double>, t long, code long")
+def _within(left: DataFrame, right: DataFrame, keys: list[str], extra: int) -> DataFrame:
+    """The nearest centre of the own group; ``extra`` comparisons were needed to find the group."""
 
-    def run(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
-        if not len(left) or not len(right):
+    def run(docs: pd.DataFrame, cents: pd.DataFrame) -> pd.DataFrame:
+        if not len(docs) or not len(cents):
             return pd.DataFrame({"seg_id": [], "cluster_id": [], "cos": [], "second": [], "evals": []}).astype({"seg_id": object, "cluster_id": object, "cos": float, "second": float, "evals": "int64"})
-        right = right.sort_values("cluster_id")
-        at, best, second = top_two(unit(matrix(left["vec"])), unit(matrix(right["vec"])))
-        return pd.DataFrame({"seg_id": left["seg_id"].to_numpy(), "cluster_id": right["cluster_id"].to_numpy()[at], "cos": best, "second": second, "evals": len(right)})
-
-    met = bucketed(docs, "seg_id").groupBy("t", "code").cogroup(bucketed(cents, "cluster_id").groupBy("t", "code")).applyInPandas(run, OUT)
-    best = met.groupBy("seg_id").agg(F.max_by(F.struct("cluster_id", "cos"), F.struct("cos", F.hex(F.lit("")))).alias("b"), F.max("second").alias("second"), F.sum("evals").alias("evals"))
-    found = best.select("seg_id", F.col("b.cluster_id").alias("cluster_id"), F.col("b.cos").alias("cos"), "second", "evals")
-    return found.unionByName(exact(docs.join(found.select("seg_id"), "seg_id", "left_anti"), cents))
+        cents = cents.sort_values("cluster_id")
+        c, names, out = unit(matrix(cents["vec"])), cents["cluster_id"].to_numpy(), []
+        for b in range(0, len(docs), 2000):
+            part = docs.iloc[b : b + 2000]
+            at, best, second = top_two(unit(matrix(part["vec"])), c)
+            out.append(pd.DataFrame({"seg_id": part["seg_id"].to_numpy(), "cluster_id": names[at], "cos": best, "second": second, "evals": len(cents) + extra}))
+        return pd.concat(out)
+
+    return left.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInPandas(run, OUT)
+
+
+def cells(docs: DataFrame, cents: DataFrame, n_cells: int | None = None, n_probe: int = 4, seed: int = 7) -> DataFrame:
+    """Documents go to their one cell and stay there, centres are copied to their ``n_probe`` nearest cells and to every part of a hot
+    one. Both sides move by key: nothing is broadcast but the coarse cells, about the root of the centres' number, and the parts of
+    hot cells.
+
+    Every coarse centre is a centre and its own cell's nearest, so no cell is without one.
+    """
+    ship(docs.sparkSession)
+    size = cents.agg(F.count(F.lit(1)), F.max(F.size("vec"))).first()
+    coarse = coarse_centres(cents, n_cells or cells_for(size[0], size[1] or 1), seed)
+    d, c = dealt(with_cells(docs, "seg_id", coarse, 1), with_cells(cents, "cluster_id", coarse, min(n_probe, len(coarse))), "seg_id", ["cell"])
+    return _within(d, c, ["cell", "part"], len(coarse))
+
+
+def lsh(docs: DataFrame, cents: DataFrame, tables: int = 16, bits: int | None = None, seed: int = 7) -> DataFrame:
+    """Candidates share a bucket of random hyperplanes in some table; documents that meet no centre take the exact way, or cells
+    where the centres are too many for it. Ties between tables go to the smaller id."""
+    ship(docs.sparkSession)
+    size = cents.agg(F.count(F.lit(1)), F.max(F.size("vec"))).first()
+    planes = hyperplanes(size[0], size[1] or 1, tables, bits, seed)
+    d, c = dealt(bucketed(docs, "seg_id", planes), bucketed(cents, "cluster_id", planes), "seg_id", ["t", "code"])
+    met = _within(d, c, ["t", "code", "part"], 0)
+    best = met.groupBy("seg_id").agg(F.min(F.struct((-F.col("cos")).alias("far"), "cluster_id")).alias("b"), F.max("second").alias("second"), F.sum("evals").alias("evals"))
+    found = best.select("seg_id", F.col("b.cluster_id").alias("cluster_id"), (-F.col("b.far")).alias("cos"), "second", "evals")
+    rest = exact if size[0] * (size[1] or 0) * 8 <= BROADCAST_BYTES else cells
+    return found.unionByName(rest(docs.join(found.select("seg_id"), "seg_id", "left_anti"), cents))
 
 
 def choose(k: int, dim: int) -> str:

@@ -22,14 +22,14 @@ TRAVERSE_NODES = 2_000_000
 def chop(segments: DataFrame, order: Column, window: int, name: str = "w", within: str | None = None) -> DataFrame:
     """Segments laid end to end in an order and cut every ``window`` tokens; a segment over a border becomes pieces. Nothing is lost.
 
-    ``within``: a column of few values whose rows are laid and cut apart from each other.
+    ``within``: a column of few values whose rows are laid and cut apart from each other; null is a value of its own.
     """
     rows = segments.filter("n_tokens > 0").select("seg_id", "n_tokens", *([within] if within else []), order.alias("_key"))
     if within:
         placed = running(rows, F.struct(within, "_key"), "n_tokens", ["seg_id"])
-        first = placed.groupBy(within).agg(F.min("before").alias("first"))
-        placed = placed.join(F.broadcast(first), within).withColumn("before", F.col("before") - F.col("first"))
-        prefix = F.concat(F.lit(f"{name}|"), F.col(within).cast("string"), F.lit("|"))
+        first = placed.groupBy(F.col(within).alias("_within")).agg(F.min("before").alias("first"))
+        placed = placed.join(F.broadcast(first), F.col(within).eqNullSafe(F.col("_within"))).withColumn("before", F.col("before") - F.col("first"))
+        prefix = F.coalesce(F.concat(F.lit(f"{name}|"), F.col(within).cast("string"), F.lit("|")), F.lit(f"{name}-none|"))
     else:
         placed, prefix = running(rows, F.col("_key"), "n_tokens", ["seg_id"]), F.lit(f"{name}|")
     first, last = F.floor(F.col("before") / window), F.floor((F.col("before") + F.col("n_tokens") - 1) / window)
@@ -61,20 +61,25 @@ def _near(left: pd.DataFrame, right: pd.DataFrame, k: int) -> pd.DataFrame:
     if not len(left) or not len(right):
         return pd.DataFrame({"src": [], "dst": [], "w": []}).astype({"src": object, "dst": object, "w": float})
     right = right.sort_values("seg_id")
-    cos = np.round(A.unit(A.matrix(left["vec"])) @ A.unit(A.matrix(right["vec"])).T, 12)
-    own, names = left["seg_id"].to_numpy(), right["seg_id"].to_numpy()
-    cos[own[:, None] == names[None, :]] = -np.inf
-    at = np.argsort(-cos, axis=1, kind="stable")[:, :k]
-    w = np.take_along_axis(cos, at, 1)
-    real = np.isfinite(w)
-    return pd.DataFrame({"src": np.repeat(own, real.sum(axis=1)), "dst": names[at[real]], "w": w[real]})
-
-
-def knn_graph(docs: DataFrame, k: int = 20, how: str = "exact", block: int = 2048, n_cells: int = 16, n_probe: int = 4, tables: int = 16, bits: int = 4, seed: int = 7) -> DataFrame:
+    names, c, out = right["seg_id"].to_numpy(), A.unit(A.matrix(right["vec"])), []
+    for b in range(0, len(left), 1024):
+        part = left.iloc[b : b + 1024]
+        own = part["seg_id"].to_numpy()
+        cos = np.round(A.unit(A.matrix(part["vec"])) @ c.T, 12)
+        cos[own[:, None] == names[None, :]] = -np.inf
+        at = np.argsort(-cos, axis=1, kind="stable")[:, :k]
+        w = np.take_along_axis(cos, at, 1)
+        real = np.isfinite(w)
+        out.append(pd.DataFrame({"src": np.repeat(own, real.sum(axis=1)), "dst": names[at[real]], "w": w[real]}))
+    return pd.concat(out)
+
+
+def knn_graph(docs: DataFrame, k: int = 20, how: str = "exact", block: int = 2048, n_cells: int | None = None, n_probe: int = 4, tables: int = 16, bits: int | None = None, seed: int = 7) -> DataFrame:
     """Edges (src, dst, w) to the k nearest documents by cosine, ties to smaller ids.
 
     "exact" compares all blocks with all blocks and keeps k per block pair before anything is merged; "cells" looks into a
-    document's nearest coarse cell, to which others are copied from their ``n_probe`` nearest; "lsh" into shared buckets.
+    document's nearest coarse cell, to which others are copied from their ``n_probe`` nearest; "lsh" into shared buckets. Cells
+    and bits grow with the documents, and the asking side of a hot cell or bucket is dealt over parts (``assign.dealt``).
     """
     ship(docs.sparkSession)
     rows = docs.select("seg_id", F.col("vec").cast("array<double>").alias("vec"))
@@ -85,21 +90,15 @@ def knn_graph(docs: DataFrame, k: int = 20, how: str = "exact", block: int = 204
         left, right = rows.withColumn("i", own).withColumn("j", every), rows.withColumn("j", own).withColumn("i", every)
         keys = ["i", "j"]
     elif how == "cells":
-        coarse = A.coarse_centres(rows.select(F.col("seg_id").alias("cluster_id"), "vec"), n_cells, seed)
-        left, right, keys = A.with_cells(rows, "seg_id", coarse, 1), A.with_cells(rows, "seg_id", coarse, min(n_probe, len(coarse))), ["cell"]
+        width = rows.agg(F.count(F.lit(1)), F.max(F.size("vec"))).first()
+        coarse = A.coarse_centres(rows.select(F.col("seg_id").alias("cluster_id"), "vec"), n_cells or A.cells_for(width[0], width[1] or 1), seed)
+        left, right = A.dealt(A.with_cells(rows, "seg_id", coarse, 1), A.with_cells(rows, "seg_id", coarse, min(n_probe, len(coarse))), "seg_id", ["cell"])
+        keys = ["cell", "part"]
     elif how == "lsh":
-        first = rows.select(F.size("vec")).first()
-        planes = np.random.default_rng(seed).normal(size=(tables, bits, first[0] if first else 1))
-
-        def run(batches):
-            for batch in batches:
-                x = A.matrix(batch["vec"])
-                for t in range(tables):
-                    code = ((x @ planes[t].T > 0) @ (1 << np.arange(bits))) if len(x) else np.zeros(0, dtype=int)
-                    yield pd.DataFrame({"seg_id": batch["seg_id"], "vec": batch["vec"], "cell": code.astype("int64") + t * (1 << bits)})
-
-        left = right = rows.mapInPandas(run, "seg_id string, vec array<double>, cell long")
-        keys = ["cell"]
+        width = rows.agg(F.count(F.lit(1)), F.max(F.size("vec"))).first()
+        planes = A.hyperplanes(width[0], width[1] or 1, tables, bits, seed)
+        left, right = A.dealt(A.bucketed(rows, "seg_id", planes), A.bucketed(rows, "seg_id", planes), "seg_id", ["t", "code"])
+        keys = ["t", "code", "part"]
     else:
         raise ValueError("how is 'exact', 'cells' or 'lsh'")
     met = left.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInPandas(lambda a, b: _near(a, b, k), "src string, dst string, w double")

@@ -13,6 +13,9 @@ from pyspark.sql import functions as F
 from windowforge.functions import vec as V
 from windowforge.session import ship
 
+#: Sums of a group between its tasks and its total.
+MIDDLE = 256
+
 
 def split(df: DataFrame, n_subsets: int, seed: int = 7, key: str = "seg_id") -> DataFrame:
     """Adds subset_id: near-equal subsets that cover the corpus, drawn by hash."""
@@ -24,7 +27,8 @@ def subset(key: Column, n_subsets: int, seed: int) -> Column:
 
 
 def vector_sums(df: DataFrame, by: str, vec: str = "vec", unit: bool = True) -> DataFrame:
-    """(by, vec, n, nonzero): vector sums by group. Each task sums what it holds first, so a group sends one row per task."""
+    """(by, vec, n, nonzero): vector sums by group. Each task sums what it holds first, so a group sends one row per task; these are
+    added in two steps, so that no row ever gathers more than a MIDDLE-th of them, or MIDDLE."""
     ship(df.sparkSession)
     kind = df.schema[by].dataType.simpleString()
 
@@ -50,7 +54,8 @@ def vector_sums(df: DataFrame, by: str, vec: str = "vec", unit: bool = True) ->
     part = df.select(F.col(by).alias("g"), F.col(vec).alias("v")).mapInPandas(run, f"g {kind}, vec array<double>, n long, nonzero long")
     add = lambda a, x: F.when(F.size(a) == 0, x).otherwise(F.zip_with(a, x, lambda p, q: p + q))
     total = F.aggregate(F.collect_list("vec"), F.array().cast("array<double>"), add)
-    return part.groupBy("g").agg(total.alias("vec"), F.sum("n").alias("n"), F.sum("nonzero").alias("nonzero")).withColumnRenamed("g", by)
+    middle = part.withColumn("_m", F.spark_partition_id() % MIDDLE).groupBy("g", "_m").agg(total.alias("vec"), F.sum("n").alias("n"), F.sum("nonzero").alias("nonzero"))
+    return middle.groupBy("g").agg(total.alias("vec"), F.sum("n").alias("n"), F.sum("nonzero").alias("nonzero")).withColumnRenamed("g", by)
 
 
 def rho(pair_sum: Column, m: Column, mode: str) -> Column:

@@ -1,18 +1,20 @@
 """Clustering in rounds: nearest centre above a threshold, documents that are near to none open clusters, means, merging.
 
 State is three tables a round, written to the state folder, so that a round can be repeated from the one before; the driver sees
-counts alone. Far documents are collected first and opened together after the assignment (``spawn="batch"``), which does not
+counts, and the links of centres up to a bound. Far documents are collected first and opened together after the assignment (``spawn="batch"``), which does not
 depend on their order.
 """
 
 from __future__ import annotations
 
+import time
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
 from pyspark.errors import AnalysisException
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from windowforge.config import Config
@@ -33,7 +35,7 @@ SEEDS_AT_ONCE = 100_000
 class Clustering:
     membership: DataFrame  # seg_id, cluster_id, cos
     centroids: DataFrame  # cluster_id, vec, n
-    trace: DataFrame  # round, spawned, emptied, merged, clusters, shift, evals
+    trace: DataFrame  # round, spawned, emptied, merged, clusters, shift, evals, seconds
 
 
 def seed(docs: DataFrame, k: int, seed: int = 7) -> DataFrame:
@@ -77,38 +79,83 @@ def recenter(members: DataFrame, docs: DataFrame, cents: DataFrame) -> DataFrame
     return means.join(old, "cluster_id", "left").select("cluster_id", "vec", "n", F.coalesce(gap, F.lit(0.0)).alias("shift"))
 
 
-def merge_edges(cents: DataFrame, delta: float, cells: int | None = None) -> DataFrame:
+def _pairs(own: np.ndarray, x: np.ndarray, names: np.ndarray, c: np.ndarray, delta: float, forest: bool, label: np.ndarray) -> Iterator[pd.DataFrame]:
+    """(a, b, cos) with a < b where rows of x and c are nearer than ``delta``, block by block. With ``forest`` only links between what the
+    earlier ones have not connected yet: ``label`` holds the connected parts of the names, which are in order."""
+    for k in range(0, len(x), 1024):
+        cos = np.round(x[k : k + 1024] @ c.T, 12)
+        at = np.searchsorted(names, own[k : k + 1024])
+        i, j = np.nonzero(cos > delta)
+        if forest:
+            keep = []
+            rows, begin = np.unique(i, return_index=True)
+            for row, near in zip(rows, np.split(j, begin[1:])):
+                parts, first = np.unique(label[near], return_index=True)
+                new = parts != label[at[row]]
+                if new.any():
+                    keep += [(row, near[f]) for f in first[new]]
+                    label[np.isin(label, parts)] = label[at[row]]
+            i, j = (np.array(z, dtype=np.int64) for z in zip(*keep)) if keep else (np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int64))
+            low, high = np.minimum(at[i], j), np.maximum(at[i], j)
+        else:
+            upward = at[i] < j
+            i, j = i[upward], j[upward]
+            low, high = at[i], j
+        yield pd.DataFrame({"a": names[low], "b": names[high], "cos": cos[i, j]})
+
+
+def merge_edges(cents: DataFrame, delta: float, cells: int | None = None, forest: bool = False) -> DataFrame:
     """(a, b, cos) with a < b of centres whose cosine is above ``delta``. Exact by broadcast blocks up to MERGE_EXACT centres; beyond, within
-    coarse cells, each centre copied to its nearest ones."""
-    k = cents.count()
-    if k <= MERGE_EXACT and cells is None:
+    coarse cells, each centre copied to its nearest ones. With ``forest`` only as many as connect what all of them connect: a dense
+    group then gives a row per centre and task, not one per pair."""
+    size = cents.agg(F.count(F.lit(1)), F.max(F.size("vec"))).first()
+    if size[0] <= MERGE_EXACT and cells is None:
         ids, c = A.collected(cents)
         held = cents.sparkSession.sparkContext.broadcast((np.array(ids, dtype=object), c))
 
         def run(batches):
             names, c = held.value
+            label = np.arange(len(names))
             for batch in batches:
-                cos = np.round(A.unit(A.matrix(batch["vec"])) @ c.T, 12) if len(batch) else np.zeros((0, len(c)))
-                i, j = np.nonzero(cos > delta)
-                own = batch["cluster_id"].to_numpy()[i]
-                keep = own < names[j]
-                yield pd.DataFrame({"a": own[keep], "b": names[j][keep], "cos": cos[i, j][keep]})
-
-        return cents.select("cluster_id", "vec").repartition(max(1, min(64, k // 500))).mapInPandas(run, "a string, b string, cos double")
-    coarse = A.coarse_centres(cents, cells or max(2, int(k**0.5)))
+                if len(batch):
+                    yield from _pairs(batch["cluster_id"].to_numpy(), A.unit(A.matrix(batch["vec"])), names, c, delta, forest, label)
+
+        return cents.select("cluster_id", "vec").repartition(max(1, min(64, size[0] // 500))).mapInPandas(run, "a string, b string, cos double")
+    coarse = A.coarse_centres(cents, cells or A.cells_for(size[0], size[1] or 1))
     placed = A.with_cells(cents, "cluster_id", coarse, min(4, len(coarse)))
 
     def inside(group: pd.DataFrame) -> pd.DataFrame:
         group = group.sort_values("cluster_id")
         x, names = A.unit(A.matrix(group["vec"])), group["cluster_id"].to_numpy()
-        i, j = np.nonzero(np.triu(np.round(x @ x.T, 12) > delta, 1))
-        return pd.DataFrame({"a": names[i], "b": names[j], "cos": np.round((x[i] * x[j]).sum(axis=1), 12)})
+        return pd.concat(_pairs(names, x, names, x, delta, forest, np.arange(len(names))))
 
     return placed.groupBy("cell").applyInPandas(inside, "a string, b string, cos double").groupBy("a", "b").agg(F.max("cos").alias("cos"))
 
 
-def components(edges: DataFrame, nodes: DataFrame, most: int = 50) -> DataFrame:
-    """(cluster_id, root): smallest id that edges reach, by handing minima along edges and halving paths; every step is written down."""
+def connected(pairs: Iterable[tuple[str, str]], nodes: list[str]) -> dict[str, str]:
+    """By node the smallest node that the pairs connect it with."""
+    root = {n: n for n in nodes}
+
+    def find(n: str) -> str:
+        while root[n] != n:
+            root[n] = root[root[n]]
+            n = root[n]
+        return n
+
+    for a, b in pairs:
+        x, y = sorted((find(a), find(b)))
+        root[y] = x
+    return {n: find(n) for n in nodes}
+
+
+def components(edges: DataFrame, nodes: DataFrame, most: int = 50, driver: int = MERGE_EXACT) -> DataFrame:
+    """(cluster_id, root): smallest id that edges reach. Up to ``driver`` centres on the driver, if the edges are few as well; beyond, by
+    handing minima along edges and halving paths, where every step is written down."""
+    ids = nodes.select("cluster_id").orderBy("cluster_id").limit(driver + 1).toPandas()["cluster_id"].tolist()
+    pairs = edges.select("a", "b").limit(64 * driver + 1).toPandas() if len(ids) <= driver else None
+    if pairs is not None and len(pairs) <= 64 * driver:
+        found = connected(pairs.itertuples(index=False), ids)
+        return nodes.sparkSession.createDataFrame(list(found.items()), "cluster_id string, root string")
     both = settled(edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), "merge-edges")
     label = settled(nodes.select(F.col("cluster_id").alias("a"), F.col("cluster_id").alias("root")), "merge-label")
     for _ in range(most):
@@ -154,7 +201,7 @@ def merge(cents: DataFrame, delta: float, how: str = "components") -> DataFrame:
         rows = cents.select("cluster_id", "vec", "n").orderBy("cluster_id").toPandas()
         found = merged_sequentially(ids, A.matrix(rows["vec"]), rows["n"].tolist(), delta)
         return cents.sparkSession.createDataFrame(list(found.items()), "cluster_id string, root string")
-    edges = merge_edges(cents, delta)
+    edges = merge_edges(cents, delta, forest=how == "components")
     return components(edges, cents) if how == "components" else mutual_best(edges, cents)
 
 
@@ -166,8 +213,8 @@ def unified(cents: DataFrame, mapping: DataFrame) -> DataFrame:
     return sums.join(counts, "root").select(F.col("root").alias("cluster_id"), V.scale(F.col("vec"), 1 / F.greatest(F.col("n"), F.lit(1))).alias("vec"), "n")
 
 
-def one_round(docs: DataFrame, cents: DataFrame, config: Config, last: bool, label: str) -> tuple[DataFrame, DataFrame, dict]:
-    """Assignment, opening, means, merging; (membership, centres, figures)."""
+def one_round(docs: DataFrame, cents: DataFrame, before: int, config: Config, last: bool, label: str) -> tuple[DataFrame, DataFrame, dict]:
+    """Assignment, opening, means, merging; (membership, centres, figures). ``before``: how many centres come in."""
     if config.spawn == "sequential":
         ids, c = A.collected(cents)
         rows = docs.select("seg_id", "vec").orderBy("seg_id").toPandas()
@@ -175,18 +222,20 @@ def one_round(docs: DataFrame, cents: DataFrame, config: Config, last: bool, lab
         members = docs.sparkSession.createDataFrame(found).withColumn("evals", F.lit(len(ids)).cast("long"))
     else:
         members = spawn(A.assign(docs, cents, config.assign), config.delta, last, label)
-    members = settled(members.select("seg_id", "cluster_id", "cos", "spawned", "evals"), f"{label}-members")
-    means = settled(recenter(members, docs, cents), f"{label}-means")
-    mapping = settled(merge(means, config.delta, config.merge), f"{label}-merge")
-    after = settled(unified(means, mapping), f"{label}-centres")
-    told = members.agg(F.sum(F.col("spawned").cast("long")).alias("spawned"), F.sum("evals").alias("evals")).first()
-    moved = means.agg((F.sum("shift") if config.shift == "sum" else F.avg("shift")).alias("shift"), F.count(F.lit(1)).alias("k")).first()
-    before, k = cents.count(), after.count()
-    figures = {"spawned": told["spawned"] or 0, "emptied": before + (told["spawned"] or 0) - moved["k"], "merged": moved["k"] - k, "clusters": k, "shift": float(moved["shift"] or 0.0), "evals": told["evals"] or 0}
-    return settled(members.join(mapping, "cluster_id").select("seg_id", F.col("root").alias("cluster_id"), "cos"), f"{label}-membership"), after, figures
+    opened, moved = Observation(), Observation()  # the figures come with the writes, not from further passes
+    members = settled(members.select("seg_id", "cluster_id", "cos", "spawned", "evals").observe(opened, F.sum(F.col("spawned").cast("long")).alias("spawned"), F.sum("evals").alias("evals")), f"{label}-members")
+    means = settled(recenter(members, docs, cents).observe(moved, (F.sum("shift") if config.shift == "sum" else F.avg("shift")).alias("shift"), F.count(F.lit(1)).alias("k")), f"{label}-means")
+    mapping = merge(means, config.delta, config.merge)
+    if config.merge == "mutual_best" or moved.get["k"] > MERGE_EXACT:
+        mapping = settled(mapping, f"{label}-merge")
+    left = Observation()
+    after = settled(unified(means, mapping).observe(left, F.count(F.lit(1)).alias("k")), f"{label}-centres")
+    spawned, k, now = opened.get["spawned"] or 0, moved.get["k"], left.get["k"]
+    figures = {"spawned": spawned, "emptied": before + spawned - k, "merged": k - now, "clusters": now, "shift": float(moved.get["shift"] or 0.0), "evals": opened.get["evals"] or 0}
+    return members.join(mapping, "cluster_id").select("seg_id", F.col("root").alias("cluster_id"), "cos"), after, figures
 
 
-ROUND = "round int, spawned long, emptied long, merged long, clusters long, shift double, evals long"
+ROUND = "round int, spawned long, emptied long, merged long, clusters long, shift double, evals long, seconds double"
 
 
 def fit(docs: DataFrame, config: Config = Config(), state: str | None = None) -> Clustering:
@@ -203,14 +252,17 @@ def fit(docs: DataFrame, config: Config = Config(), state: str | None = None) ->
     for t in range(len(rows) + 1, config.rounds + 1):
         if rows and rows[-1][5] < config.epsilon:
             break
-        membership, cents, figures = one_round(docs, cents, config, t == config.rounds, f"r{t}")
-        rows.append((t, *figures.values()))
+        began = time.monotonic()
+        membership, cents, figures = one_round(docs, cents, rows[-1][4] if rows else cents.count(), config, t == config.rounds, f"r{t}")
+        rows.append((t, *figures.values(), round(time.monotonic() - began, 3)))
         if state:
             membership.write.mode("overwrite").parquet(f"{state}/round={t}/membership")
             cents.write.mode("overwrite").parquet(f"{state}/round={t}/centroids")
             spark.createDataFrame(rows, ROUND).coalesce(1).write.mode("overwrite").parquet(f"{state}/trace/{t}")  # last: it marks the round as complete
     if config.finalize and rows:
-        membership = settled(A.assign(docs, cents, config.assign).select("seg_id", "cluster_id", "cos"), "final")
+        membership = A.assign(docs, cents, config.assign).select("seg_id", "cluster_id", "cos")
+    if membership is not None:
+        membership = settled(membership, "membership")
     return Clustering(membership, cents, spark.createDataFrame(rows, ROUND))
 
 
@@ -231,7 +283,7 @@ def classic(docs: DataFrame, k: int, rounds: int = 5, min_size: int = 2, max_std
     docs = settled(docs.select("seg_id", "vec"), "vectors")
     cents, rows, members = settled(seed(docs, k, seed_), "classic-0"), [], None
     for t in range(1, rounds + 1):
-        before = cents.count()
+        began, before = time.monotonic(), cents.count()
         members = settled(A.assign(docs, cents, "exact").select("seg_id", "cluster_id", "cos", "evals"), f"classic-{t}")
         sizes = members.groupBy("cluster_id").count()
         big = sizes.filter(F.col("count") >= min_size).select("cluster_id")
@@ -249,6 +301,6 @@ def classic(docs: DataFrame, k: int, rounds: int = 5, min_size: int = 2, max_std
         mapping = settled(mutual_best(merge_edges(grown, 1 - min_dist**2 / 2), grown), f"classic-merge-{t}")
         cents = settled(unified(grown, mapping), f"classic-cents-{t}")
         now = cents.count()
-        rows.append((t, int(split.count() // 2), before - big.count(), grown.count() - now, now, 0.0, members.agg(F.sum("evals")).first()[0] or 0))
+        rows.append((t, int(split.count() // 2), before - big.count(), grown.count() - now, now, 0.0, members.agg(F.sum("evals")).first()[0] or 0, round(time.monotonic() - began, 3)))
     members = settled(A.assign(docs, cents, "exact").select("seg_id", "cluster_id", "cos"), "classic-final")
     return Clustering(members, cents, spark.createDataFrame(rows, ROUND))
