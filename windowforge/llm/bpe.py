@@ -11,17 +11,15 @@ from __future__ import annotations
 
 import hashlib
 import json
-from collections.abc import Iterator
+from collections.abc import Callable
 from functools import lru_cache
 
 import ahocorasick
 import numpy as np
-import pandas as pd
 import regex
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
-from .common import ship, tidily
+from .common import by_text
 
 #: Entries kept of pieces met before; longer pieces are encoded anew each time.
 CACHED_PIECES, CACHED_LENGTH = 300_000, 48
@@ -178,25 +176,24 @@ def bpe_round_trip(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     """Per row: id, n_tokens, ids_sha256, decoded_sha256; with ``keep_ids`` also ids (packed binary) and decoded (string).
 
     Null texts count as empty and give no tokens. Texts are encoded whole, however long. Repeated rows give repeated
-    results, an empty table an empty one, other columns are ignored.
+    results, rows without an id one without it, an empty table an empty one, other columns are ignored.
     """
-    ship(docs.sparkSession)
-    schema = f"`{id_col}` {docs.schema[id_col].dataType.simpleString()}, n_tokens long, ids_sha256 string, decoded_sha256 string" + (", ids binary, decoded string" if keep_ids else "")
+    schema = "n_tokens long, ids_sha256 string, decoded_sha256 string" + (", ids binary, decoded string" if keep_ids else "")
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def both_ways() -> Callable[[list[str]], list[tuple]]:
         bpe = encoder(vocabulary(name))
-        for batch in batches:
+
+        def tell(texts: list[str]) -> list[tuple]:
             rows = []
-            for text in batch["_t"]:
+            for text in texts:
                 ids = bpe.packed(text)
                 back = bpe.decode_bytes(ids)
-                if (text_bytes := text.encode()) != back:
+                if text.encode() != back:
                     back = back.decode("utf-8", "replace").encode()
-                del text_bytes
                 row = (len(ids) // 4, hashlib.sha256(ids).hexdigest(), hashlib.sha256(back).hexdigest())
                 rows.append(row + ((ids, back.decode("utf-8", "replace")) if keep_ids else ()))
-            out = pd.DataFrame(rows, columns=["n_tokens", "ids_sha256", "decoded_sha256", *(["ids", "decoded"] if keep_ids else [])])
-            out.insert(0, id_col, batch["_i"].to_numpy())
-            yield out
+            return rows
+
+        return tell
 
-    return docs.select(F.col(id_col).alias("_i"), F.coalesce(text_col, F.lit("")).alias("_t")).mapInPandas(tidily(run), schema)
+    return by_text(docs, id_col, text_col, schema, both_ways)

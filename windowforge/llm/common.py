@@ -1,72 +1,81 @@
-"""What the operators share: the folder all executors see, materialised stages, shipped code."""
+"""What the operators share: stages in the shared folder, workers that see whole texts, shipped code."""
 
 from __future__ import annotations
 
 import contextlib
 import ctypes
 import gc
-import os
-import tempfile
-import uuid
-import zipfile
-from collections.abc import Callable, Iterator
-from pathlib import Path
+from collections.abc import Callable, Iterable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_type
+from pyspark.sql.types import StructType
 
-PACKAGE = Path(__file__).resolve().parents[1]
+from windowforge.session import distilled, fresh_path, settled, ship as ship_code
+
+__all__ = ["ascii_lower", "by_text", "distilled", "fresh_path", "fresh_name", "materialize", "ship", "table", "tidily"]
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+materialize = settled
+
+#: Rows that reach a Python worker at once: whole texts are long, and workers share an executor's memory.
+ROWS_AT_ONCE = 2_000
+#: Bytes of texts that a worker's function sees at once; one text may be longer.
+BYTES_AT_ONCE = 16 << 20
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The cluster's checkpoint folder; a temporary one only where no cluster names any."""
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        held = spark.sparkContext._jsc.sc().getCheckpointDir()
-        base = held.get() if held.isDefined() else None
-    if not base:
-        if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
-            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
-        base = "file://" + tempfile.mkdtemp(prefix="windowforge-")
-        spark.sparkContext.setCheckpointDir(base)
-    return base.rstrip("/")
-
-
-def fresh_path(spark: SparkSession, label: str) -> str:
-    return f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
-
-
-def materialize(df: DataFrame, label: str) -> DataFrame:
-    """Writes a stage to the shared folder and reads it back: lineage ends there and lost executors cost nothing."""
-    spark = df.sparkSession
-    path = fresh_path(spark, label)
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-#: Rows that reach a Python worker at once: whole texts are long, and workers share an executor's memory.
-ROWS_AT_ONCE = 2_000
-
-
 def ship(spark: SparkSession) -> None:
-    """Gives executors this package's source, once for each Spark context, and bounds the rows that workers get at once."""
-    sc = spark.sparkContext
+    """Gives executors this package's source, and bounds the rows that workers get at once."""
+    ship_code(spark)
     if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > ROWS_AT_ONCE:
         spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(ROWS_AT_ONCE))
-    if getattr(sc, "_windowforge_shipped", False):
-        return
-    target = os.path.join(tempfile.mkdtemp(prefix="windowforge-src-"), "windowforge_src.zip")
-    with zipfile.ZipFile(target, "w") as z:
-        for p in sorted(PACKAGE.rglob("*.py")):
-            z.write(p, p.relative_to(PACKAGE.parent))
-    sc.addPyFile(target)
-    sc._windowforge_shipped = True
+
+
+def fresh_name(df: DataFrame, name: str) -> str:
+    """The name, made longer until no column has it (Spark tells no upper from lower case)."""
+    have = {c.lower() for c in df.columns}
+    while name.lower() in have:
+        name += "_"
+    return name
+
+
+def parts_of(batch: pa.RecordBatch, most: int) -> Iterator[pa.RecordBatch]:
+    """Slices of a batch whose last column, of strings, holds about that many bytes each."""
+    ends, begin, held = batch.column(batch.num_columns - 1), 0, 0
+    for k, size in enumerate(pa.compute.binary_length(ends).to_pylist()):
+        if held and held + size > most:
+            yield batch.slice(begin, k - begin)
+            begin, held = k, 0
+        held += size
+    if begin < batch.num_rows:
+        yield batch.slice(begin)
+
+
+def by_text(docs: DataFrame, id_col: str, text_col: str, schema: str, of: Callable[[], Callable[[list[str]], Iterable[tuple]]]) -> DataFrame:
+    """Per row the id under its name and the fields of ``schema``, which a function tells from whole texts; null texts count as empty.
+
+    ``of`` makes the function, once in each task. It gets the texts of some rows and gives a tuple for each. Ids never leave
+    Arrow, so a null among them changes no other.
+    """
+    ship(docs.sparkSession)
+    rows = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    told = StructType.fromDDL(schema)
+    out = StructType([rows.schema["id"], *told.fields])
+    kinds, most = [to_arrow_type(f.dataType) for f in told.fields], BYTES_AT_ONCE
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tell = of()
+        for batch in batches:
+            for part in parts_of(batch, most):
+                columns = list(zip(*tell(part.column(1).to_pylist()))) or [()] * len(kinds)
+                yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array(c, type=t) for c, t in zip(columns, kinds))], names=out.names)
+
+    return rows.mapInArrow(tidily(run), out).withColumnRenamed("id", id_col)
 
 
 def ascii_lower(text: Column) -> Column:

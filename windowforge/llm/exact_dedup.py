@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import ascii_lower, materialize
+from .common import ascii_lower, fresh_name, materialize
 
 #: Ids that are broadcast at most.
 BROADCAST_IDS = 500_000
@@ -77,8 +77,9 @@ def without(docs: DataFrame, gone: DataFrame, id_col: str) -> DataFrame:
 
 def one_row_each(docs: DataFrame, id_col: str, text_col: str, keep: str, normalise=ascii_lower, hashed=content_hash) -> DataFrame:
     """The row that stays of each group, by one aggregation that carries whole rows."""
-    rows = docs.withColumn("_wf_n", normalise(F.col(text_col)))
+    n = fresh_name(docs, "n")
+    rows = docs.withColumn(n, normalise(F.col(text_col)))
     order = F.struct(F.col(id_col).isNull() if keep == "min" else F.col(id_col).isNotNull(), F.col(id_col))
     pick = {"min": F.min_by, "max": F.max_by}[keep]
-    chosen = rows.groupBy(hashed(F.col("_wf_n")).alias("_wf_h"), "_wf_n").agg(pick(F.struct(*docs.columns), order).alias("_wf_row"))
-    return chosen.select(*[F.col("_wf_row").getField(c).alias(c) for c in docs.columns])
+    chosen = rows.groupBy(hashed(F.col(n)).alias("h"), F.col(n).alias("n")).agg(pick(F.struct(*docs.columns), order).alias("row"))
+    return chosen.select(*[F.col("row").getField(c).alias(c) for c in docs.columns])

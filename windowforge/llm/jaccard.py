@@ -28,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import materialize, ship, tidily
+from .common import by_text, materialize, ship, tidily
 from .shingles import shingles
 
 #: Share of the hash range whose shingles are counted over all texts. Any share gives exact results.
@@ -56,13 +56,7 @@ def digest_of(s: np.ndarray) -> bytes | None:
 def classes_of_rows(docs: DataFrame, id_col: str, text_col: str, size: int) -> DataFrame:
     """Per row: id, n, class of equal sets (null for the empty set)."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for batch in batches:
-            rows = [(len(s), digest_of(s)) for s in (shingles(t, size) for t in batch["_t"])]
-            yield pd.DataFrame({"id": batch["_i"], "n": [n for n, _ in rows], "class": [c for _, c in rows]})
-
-    kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(F.col(id_col).alias("_i"), F.col(text_col).alias("_t")).mapInPandas(tidily(run), f"id {kind}, n long, class binary")
+    return by_text(docs, id_col, text_col, "n long, class binary", lambda: lambda texts: [(len(s), digest_of(s)) for s in (shingles(t, size) for t in texts)]).withColumnRenamed(id_col, "id")
 
 
 def lone_counts(docs: DataFrame, text_col: str, size: int) -> DataFrame:

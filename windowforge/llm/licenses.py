@@ -3,14 +3,11 @@
 from __future__ import annotations
 
 import re
-from collections.abc import Iterator
 from functools import lru_cache
 
-import pandas as pd
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
-from .common import ship, tidily
+from .common import by_text
 
 #: Phrases and their labels.
 PHRASES = {"mit license": "mit", "apache license": "apache", "general public license": "gpl"}
@@ -142,22 +139,16 @@ def license_scan(docs: DataFrame) -> DataFrame:
     score is 1 where a template's whole mandatory wording stands, 0.5 where only a base phrase does, else 0. Null and
     empty texts have no words and empty labels; whole texts are scanned; other columns are ignored.
     """
-    ship(docs.sparkSession)
-    kind = docs.schema["doc_id"].dataType.simpleString()
-
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for batch in batches:
-            rows = []
-            for text in batch["_t"]:
-                n, base, found = scan(text)
-                mine = sorted({label for _, label in base})
-                rows.append((n, len(base), base[0][0] if base else None, base[-1][0] if base else None, ",".join(mine), ",".join(sorted({*mine, *found})), 1.0 if found else 0.5 if base else 0.0))
-            out = pd.DataFrame(rows, columns=["n_words", "n_base", "first_word", "last_word", "base_labels", "labels", "score"])
-            out["first_word"], out["last_word"] = out["first_word"].astype("Int64"), out["last_word"].astype("Int64")
-            out.insert(0, "doc_id", batch["_i"].to_numpy())
-            yield out
-
-    return docs.select(F.col("doc_id").alias("_i"), F.coalesce("text", F.lit("")).alias("_t")).mapInPandas(tidily(run), f"doc_id {kind}, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double")
+
+    def tell(texts: list[str]) -> list[tuple]:
+        rows = []
+        for text in texts:
+            n, base, found = scan(text)
+            mine = sorted({label for _, label in base})
+            rows.append((n, len(base), base[0][0] if base else None, base[-1][0] if base else None, ",".join(mine), ",".join(sorted({*mine, *found})), 1.0 if found else 0.5 if base else 0.0))
+        return rows
+
+    return by_text(docs, "doc_id", "text", "n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double", lambda: tell)
 
 
 def template_pattern(template: str) -> str:

@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
+import itertools
 import json
 import math
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable
 from dataclasses import dataclass
 from functools import lru_cache
 
@@ -17,7 +18,7 @@ from pyspark.sql import functions as F
 
 from .bpe import PIECES as SPLIT
 from .bpe import visible_bytes, vocabulary
-from .common import materialize, ship, tidily
+from .common import by_text, materialize, ship
 
 ROWS_IN_BUCKET = 5_000
 BUCKET_SHIFT = 40
@@ -34,6 +35,9 @@ def rank_encoder(path: str):
         spec = json.load(f)
     byte = visible_bytes()
     ranks = {bytes(byte[c] for c in s): i for s, i in spec["model"]["vocab"].items()}
+    kind, made = spec.get("pre_tokenizer") or {}, [ranks[bytes(byte[c] for c in "".join(m if isinstance(m, list) else m.split(" ")))] for m in spec["model"]["merges"]]
+    if kind.get("type") != "ByteLevel" or kind.get("add_prefix_space") or spec.get("normalizer") or spec["model"]["type"] != "BPE" or any(a >= b for a, b in zip(made, made[1:])):
+        raise ValueError("not a plain byte-level BPE file whose merges make their tokens in the order of ids")
     special = {t["content"]: t["id"] for t in spec.get("added_tokens", [])}
     return tiktoken.Encoding("own", pat_str=SPLIT, mergeable_ranks={k: i for k, i in ranks.items() if i not in special.values()}, special_tokens={}), special
 
@@ -162,23 +166,23 @@ def solve(histogram: np.ndarray, window: int, depth: int = 3) -> Plan:
 
 def tokenised(docs: DataFrame, id_col: str, text_col: str, window: int, name: str, end_id: int, buckets: int) -> DataFrame:
     """Per row: its tokens, checksums of the full windows, and the ids after them, dealt evenly over the buckets whatever its id."""
-    schema = f"_i {docs.schema[id_col].dataType.simpleString()}, bucket long, doc_tokens long, rest int, full array<long>, tail binary"
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        path, k = vocabulary(name), 0
-        for batch in batches:
+    def cut_up() -> Callable[[list[str]], list[tuple]]:
+        path, turn = vocabulary(name), itertools.count()
+
+        def tell(texts: list[str]) -> list[tuple]:
             rows = []
-            for doc, text in zip(batch["_i"], batch["_t"]):
+            for text in texts:
                 ids = np.append(ids_of(path, text), np.uint32(end_id)).astype("<u4")
                 cut = len(ids) // window * window
                 full = [zlib.crc32(ids[s : s + window].tobytes()) for s in range(0, cut, window)]
-                rows.append(((zlib.crc32(str(doc).encode()) + k) % buckets, len(ids), len(ids) - cut, full, zlib.compress(ids[cut:].astype("<u2").tobytes(), 1) if end_id < 65536 and ids.max() < 65536 else b"4" + ids[cut:].tobytes()))
-                k += 1
-            out = pd.DataFrame(rows, columns=["bucket", "doc_tokens", "rest", "full", "tail"])
-            out.insert(0, "_i", batch["_i"].to_numpy())
-            yield out
+                rows.append(((zlib.crc32(ids.tobytes()) + next(turn)) % buckets, len(ids), len(ids) - cut, full, zlib.compress(ids[cut:].astype("<u2").tobytes(), 1) if end_id < 65536 and ids.max() < 65536 else b"4" + ids[cut:].tobytes()))
+            return rows
+
+        return tell
 
-    return docs.select(F.col(id_col).alias("_i"), F.coalesce(text_col, F.lit("")).alias("_t")).mapInPandas(tidily(run), schema)
+    rows = by_text(docs, id_col, text_col, "bucket long, doc_tokens long, rest int, full array<long>, tail binary", cut_up)
+    return rows.select(F.col(id_col).cast("string").alias("_i"), "bucket", "doc_tokens", "rest", "full", "tail")  # as text an id passes through workers unchanged, beside nulls too
 
 
 def unpacked(tail: bytes) -> np.ndarray:
@@ -196,8 +200,9 @@ def pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", window
     rest are chopped from one stream, so that all sequences but the last are full. Ranks come from counts by bucket, so no
     task sees more than a bucket, even if all rows have one id or one length.
 
-    Null texts count as empty and hold the end id alone. Repeated rows are packed once each. An empty table gives an empty
-    result. Further columns are ignored.
+    Null texts count as empty and hold the end id alone. Very long texts are encoded whole; of their full windows only checksums
+    move. Repeated rows are packed once each, rows without an id under none. An empty table gives an empty result. Further
+    columns are ignored.
     """
     spark = docs.sparkSession
     ship(spark)
@@ -209,10 +214,10 @@ def pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", window
         histogram[r["rest"]] = r["n"]
     plan = solve(histogram, window, depth)
     before = F.coalesce(F.sum("n").over(Window.partitionBy("rest").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    ranks = counts.select("bucket", "rest", before.alias("before"))
+    ranks = counts.select(F.col("bucket").alias("of"), F.col("rest").alias("size"), before.alias("before"))  # names of their own: a cogroup takes columns that both sides inherit for one
 
     def place(docs_of: pd.DataFrame, ranks_of: pd.DataFrame) -> pd.DataFrame:
-        rank = dict(zip(ranks_of["rest"], ranks_of["before"]))
+        rank = dict(zip(ranks_of["size"], ranks_of["before"])) if len(ranks_of) else {}
         out, running = [], 0
         for doc, bucket, tokens, rest, full, tail in docs_of.sort_values(["_i", "doc_tokens"], kind="stable")[["_i", "bucket", "doc_tokens", "rest", "full", "tail"]].itertuples(index=False):
             for k, crc in enumerate(full):
@@ -226,5 +231,5 @@ def pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", window
                     out.append((doc, len(full) * window + at, length, zlib.crc32(ids[at : at + length].tobytes()), tokens, sequence, offset))
         return pd.DataFrame(out, columns=[id_col, "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"])
 
-    kind = docs.schema[id_col].dataType.simpleString()
-    return rows.groupBy("bucket").cogroup(ranks.groupBy("bucket")).applyInPandas(place, f"`{id_col}` {kind}, {PIECES}")
+    placed = rows.groupBy("bucket").cogroup(ranks.groupBy("of")).applyInPandas(place, f"`{id_col}` string, {PIECES}")
+    return placed.withColumn(id_col, F.col(id_col).cast(docs.schema[id_col].dataType))

@@ -11,7 +11,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .boosting import Trees, boost
-from .common import ship, tidily
+from .common import fresh_name, ship, tidily
 
 #: Labelled rows that a model is fitted on at most, the first by hash; a score never depends on how many there are beyond them.
 TRAINING_ROWS = 20_000
@@ -87,8 +87,8 @@ def train(docs: DataFrame, labels: DataFrame, target: str = "quality", rows: int
     return boost(seen.iloc[:, 2:].to_numpy(dtype=np.float64).reshape(-1, len(NAMES)), seen["_y"].to_numpy(dtype=np.float64), **options)
 
 
-def score(docs: DataFrame, model: Trees, keep: bool = False) -> DataFrame:
-    """doc_id, held_out, score, predicted; with ``keep`` all columns of ``docs`` and the score under the name _score.
+def score(docs: DataFrame, model: Trees, keep: str | None = None) -> DataFrame:
+    """doc_id, held_out, score, predicted; with ``keep`` all columns of ``docs`` and the score under that name, which none of them may have.
 
     Null texts count as empty and are scored like any other. Repeated rows score alike; an empty table gives an empty
     result.
@@ -103,7 +103,7 @@ def score(docs: DataFrame, model: Trees, keep: bool = False) -> DataFrame:
 
     out = scored(F.coalesce(F.col("text"), F.lit("")))
     if keep:
-        return docs.withColumn("_score", out)
+        return docs.withColumn(keep, out)
     return docs.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), out.alias("score")).withColumn("predicted", (F.col("score") >= 0.5).cast("int"))
 
 
@@ -112,5 +112,9 @@ def classify(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, threshold: float = 0.5, **options) -> DataFrame:
-    """The rows that the classifier accepts, all columns as they were."""
-    return score(docs, train(docs, labels, **options), keep=True).filter(F.col("_score") >= threshold).drop("_score")
+    """The rows that the classifier accepts, all columns as they were, whatever their names.
+
+    Null texts count as empty and are judged like any other; repeated rows stay or go together; an empty table gives an empty result.
+    """
+    name = fresh_name(docs, "score")
+    return score(docs, train(docs, labels, **options), keep=name).filter(F.col(name) >= threshold).drop(name)

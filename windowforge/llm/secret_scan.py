@@ -5,7 +5,7 @@ from __future__ import annotations
 import math
 import random
 import re
-from collections.abc import Iterable, Iterator
+from collections.abc import Iterable
 from dataclasses import dataclass
 from functools import lru_cache
 
@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .boosting import Trees, forest
-from .common import ship, tidily
+from .common import by_text, ship
 
 #: Common words and endings of four languages, from which dictionary coverage and letter transitions are taken.
 WORDS = (
@@ -260,28 +260,26 @@ def judge(texts: list[str], model: Trees) -> list[list[tuple[int, int, float]]]:
 def secret_scan(docs: DataFrame, model: Trees | None = None, threshold: float = 0.5) -> DataFrame:
     """Per row: doc_id, n_candidates, n_secrets, max_score (0 without candidates), spans ("start-end" in characters, by comma).
 
-    Null and empty texts have no candidates. Texts are scanned whole. Repeated rows give repeated results, an empty table
-    an empty one, other columns are ignored.
+    Null and empty texts have no candidates. Texts are scanned whole, in time linear in their length. Repeated rows give
+    repeated results, rows without an id one without it, an empty table an empty one, other columns are ignored.
     """
-    ship(docs.sparkSession)
     model = model or default_model()
-    kind = docs.schema["doc_id"].dataType.simpleString()
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for batch in batches:
-            rows = []
-            for found in judge(batch["_t"].tolist(), model):
-                real = [(a, b) for a, b, s in found if s >= threshold]
-                rows.append((len(found), len(real), max((s for _, _, s in found), default=0.0), ",".join(f"{a}-{b}" for a, b in real)))
-            out = pd.DataFrame(rows, columns=["n_candidates", "n_secrets", "max_score", "spans"])
-            out.insert(0, "doc_id", batch["_i"].to_numpy())
-            yield out
+    def tell(texts: list[str]) -> list[tuple]:
+        rows = []
+        for found in judge(texts, model):
+            real = [(a, b) for a, b, s in found if s >= threshold]
+            rows.append((len(found), len(real), max((s for _, _, s in found), default=0.0), ",".join(f"{a}-{b}" for a, b in real)))
+        return rows
 
-    return docs.select(F.col("doc_id").alias("_i"), F.coalesce("text", F.lit("")).alias("_t")).mapInPandas(tidily(run), f"doc_id {kind}, n_candidates long, n_secrets long, max_score double, spans string")
+    return by_text(docs, "doc_id", "text", "n_candidates long, n_secrets long, max_score double, spans string", lambda: tell)
 
 
 def redact(docs: DataFrame, model: Trees | None = None, threshold: float = 0.5, mark: str = "[SECRET]") -> DataFrame:
-    """All rows and columns, with each secret in ``text`` replaced by the mark; texts without secrets, null ones too, stay as they are."""
+    """All rows and columns, with each secret in ``text`` replaced by the mark; texts without secrets, null ones too, stay as they are.
+
+    Repeated rows are changed alike, an empty table stays empty, and no other column is read or renamed, whatever its name.
+    """
     ship(docs.sparkSession)
     model = model or default_model()
 

@@ -2,15 +2,14 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable, Iterator
+from collections.abc import Callable
 from functools import lru_cache
 
-import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bpe import vocabulary
-from .common import ship, tidily
+from .common import by_text
 
 #: Bytes of a chunk and of the overlap at first.
 CHUNK, OVERLAP = 262_144, 2_048
@@ -91,23 +90,22 @@ def token_counts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     """Per row: id, n_bytes (UTF-8), n_tokens of the whole text, over_limit.
 
     Null texts count as empty: no bytes, no tokens. Texts of up to ``chunk`` bytes are encoded in one go, longer
-    ones in overlapping chunks. Repeated rows, empty tables and further columns need no care.
+    ones in overlapping chunks. Repeated rows give repeated results, rows without an id a result without one, an empty table
+    gives an empty result; further columns are ignored.
     """
-    ship(docs.sparkSession)
-    kind = docs.schema[id_col].dataType.simpleString()
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def counted() -> Callable[[list[str]], list[tuple[int, int]]]:
         sp = model(vocabulary(name))
-        for batch in batches:
-            texts = batch["_t"].tolist()
-            counts = [0] * len(texts)
-            short = [i for i, n in enumerate(batch["n_bytes"]) if n <= chunk]
+
+        def tell(texts: list[str]) -> list[tuple[int, int]]:
+            sizes, counts = [len(t.encode()) for t in texts], [0] * len(texts)
+            short = [i for i, n in enumerate(sizes) if n <= chunk]
             for i, n in zip(short, map(len, sp.encode([texts[i] for i in short], num_threads=1))):
                 counts[i] = n
             for i in set(range(len(texts))) - set(short):
                 counts[i] = count_by_chunks(texts[i], lambda part, base: spans_of(sp, part, base), chunk)
-            yield pd.DataFrame({"_i": batch["_i"], "n_bytes": batch["n_bytes"], "n_tokens": counts})
+            return list(zip(sizes, counts))
+
+        return tell
 
-    text = F.coalesce(F.col(text_col), F.lit(""))
-    counted = docs.select(F.col(id_col).alias("_i"), text.alias("_t"), F.octet_length(text).cast("long").alias("n_bytes")).mapInPandas(tidily(run), f"_i {kind}, n_bytes long, n_tokens long")
-    return counted.select(F.col("_i").alias(id_col), "n_bytes", "n_tokens", (F.col("n_tokens") > limit).alias("over_limit"))
+    return by_text(docs, id_col, text_col, "n_bytes long, n_tokens long", counted).withColumn("over_limit", F.col("n_tokens") > limit)
