@@ -28,8 +28,8 @@ from pyspark.sql import functions as F
 
 from .common import distilled, materialize, ship
 
-#: Nodes of a leaf that are compared with each other at first, of a random bucket, and of a block that one task treats in a round.
-LEAF, BUCKET, BLOCK = 4_096, 256, 8_192
+#: Nodes of a leaf that are compared with each other at first, of a random bucket, and of a block that one task treats in a round; blocks at least.
+LEAF, BUCKET, BLOCK, BLOCKS = 512, 256, 8_192, 8
 #: Edges that a node keeps, edges of each kind and direction that it shows in a round, reverse edges that a query also walks.
 NEIGHBOURS, THROUGH, REVERSE = 64, 24, 16
 #: Candidates that a block offers to a node at most, and a random bucket; the best ones.
@@ -212,7 +212,7 @@ def leaves(points: DataFrame, count: int, size: int, seed: int) -> DataFrame:
 
 def build_graph(points: DataFrame, count: int, rounds: int = ROUNDS, k: int = NEIGHBOURS, through: int = THROUGH, seed: int = 5, leaf: int | None = None, block: int | None = None) -> DataFrame:
     """From (node, vector) a graph (node, vector, other, score): packed ids of each node's best others and their scores. Each round is written down."""
-    blocks, give = max(1, -(-count // (block or BLOCK))), OFFERS
+    blocks, give = max(BLOCKS, -(-count // (block or BLOCK))), OFFERS
     spread = leaves(points, count, leaf or LEAF, seed).groupBy("leaf", "part").applyInPandas(lambda g: inside(g, k), OFFER)
     buckets = F.pmod(F.xxhash64("node", F.lit(seed)), F.lit(max(1, -(-count // BUCKET))).cast("long"))
     offered = spread.unionByName(points.groupBy(buckets.alias("bucket")).applyInPandas(lambda g: inside(g, LOOSE), OFFER))
