@@ -8,6 +8,7 @@ import gc
 from collections.abc import Callable, Iterable, Iterator
 
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_type
@@ -47,7 +48,7 @@ def fresh_name(df: DataFrame, name: str) -> str:
 def parts_of(batch: pa.RecordBatch, most: int) -> Iterator[pa.RecordBatch]:
     """Slices of a batch whose last column, of strings, holds about that many bytes each."""
     ends, begin, held = batch.column(batch.num_columns - 1), 0, 0
-    for k, size in enumerate(pa.compute.binary_length(ends).to_pylist()):
+    for k, size in enumerate(pc.binary_length(ends).to_pylist()):
         if held and held + size > most:
             yield batch.slice(begin, k - begin)
             begin, held = k, 0

@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 from .boosting import Trees, forest
 from .common import by_text, ship
 
-#: Common words and endings of four languages, from which dictionary coverage and letter transitions are taken.
+#: Common words and endings of four languages, which every lexicon holds beside what it learns.
 WORDS = (
     "the and for that with this from have they will would there their what about which when make like time just know take into year your good some "
     "could them other than then look only come over think also back after work first well even want because these give most number name value user "
@@ -51,25 +51,46 @@ FEATURES = [
 ]
 
 
-def _transitions() -> dict[str, float]:
-    counts: dict[str, int] = {}
-    for w in WORDS:
-        for pair in zip(w, w[1:]):
-            counts["".join(pair)] = counts.get("".join(pair), 0) + 1
-    total = sum(counts.values())
-    return {k: math.log(n / total * 676) for k, n in counts.items()}
+#: A learned word has 4 to 12 letters and is at least one in so many of all such words: the dictionary never holds more words than that.
+RARE = 500_000
 
 
-TRANSITIONS, DICTIONARY = _transitions(), frozenset(WORDS)
+@dataclass(frozen=True)
+class Lexicon:
+    """Words, and how much more often than by chance a letter follows another in them (logarithms)."""
+
+    words: frozenset[str]
+    transitions: dict[str, float]
+
+    @classmethod
+    def of(cls, counts: dict[str, int]) -> Lexicon:
+        """From words and how often they occur; the fixed words count once more."""
+        pairs: dict[str, int] = {}
+        for w, n in [*counts.items(), *((w, 1) for w in WORDS)]:
+            for pair in zip(w, w[1:]):
+                pairs["".join(pair)] = pairs.get("".join(pair), 0) + n
+        total = sum(pairs.values())
+        return cls(frozenset([*counts, *WORDS]), {k: math.log(n / total * 676) for k, n in pairs.items()})
+
+    @classmethod
+    def learned(cls, docs: DataFrame, rare: int = RARE) -> Lexicon:
+        """From the words of all whole texts; counts are folded before they move, and only words above the share come to the driver."""
+        words = docs.select(F.explode(F.regexp_extract_all(F.lower(F.coalesce("text", F.lit(""))), F.lit(r"(?<![\p{L}\p{N}_])[a-z]{4,12}(?![\p{L}\p{N}_])"), 0)).alias("w"))
+        counts = words.groupBy("w").agg(F.count(F.lit(1)).alias("n"))
+        kept = counts.crossJoin(F.broadcast(counts.agg(F.sum("n").alias("total")))).filter((F.col("n") * rare >= F.col("total")) & (F.col("n") > 1))
+        return cls.of({r.w: r.n for r in kept.select("w", "n").collect()})
+
+
+PLAIN = Lexicon.of({})
 _CLASS = {**dict.fromkeys("0123456789", 1), **dict.fromkeys("ABCDEFGHIJKLMNOPQRSTUVWXYZ", 2), **dict.fromkeys("abcdefghijklmnopqrstuvwxyz", 3)}
 
 
-def coverage(word: str) -> float:
+def coverage(word: str, dictionary: frozenset[str] = PLAIN.words) -> float:
     """Share of a word's characters that dictionary words cover, longest first from the left."""
     low, at, covered = word.lower(), 0, 0
     while at < len(low):
-        for size in range(min(8, len(low) - at), 2, -1):
-            if low[at : at + size] in DICTIONARY:
+        for size in range(min(12, len(low) - at), 2, -1):
+            if low[at : at + size] in dictionary:
                 covered += size
                 at += size
                 break
@@ -78,7 +99,7 @@ def coverage(word: str) -> float:
     return covered / max(len(low), 1)
 
 
-def describe(candidate: str, before: str, after: str) -> list[float]:
+def describe(candidate: str, before: str, after: str, lexicon: Lexicon = PLAIN) -> list[float]:
     """One row of features: the candidate's length, characters and their transitions, its dictionary coverage, path and neighbouring words."""
     n = len(candidate)
     kinds = [_CLASS.get(c, 0) for c in candidate]
@@ -99,9 +120,9 @@ def describe(candidate: str, before: str, after: str) -> list[float]:
         -sum(c / n * math.log2(c / n) for c in counts),
         sum(a != b for a, b in zip(kinds, kinds[1:])) / n,
         sum({a, b} in ({1, 2}, {1, 3}) for a, b in zip(kinds, kinds[1:])) / n,
-        sum(TRANSITIONS.get(p, -2.0) for p in pairs) / max(len(pairs), 1),
+        sum(lexicon.transitions.get(p, -2.0) for p in pairs) / max(len(pairs), 1),
         gap,
-        coverage(candidate),
+        coverage(candidate, lexicon.words),
         float(bool(re.fullmatch(r"[0-9a-f]+|[0-9A-F]+", candidate))),
         float(bool(re.fullmatch(r"(?i)[0-9a-f]{8}(-[0-9a-f]{4}){3}-[0-9a-f]{12}", candidate))),
         float(bool(re.search(r"(19|20)\d\d[-_/]?[01]\d[-_/]?[0-3]\d", candidate))),
@@ -130,13 +151,21 @@ class Finding:
     secret: bool
 
 
-def example_findings(n: int = 6_000, seed: int = 11) -> list[Finding]:
-    """Labelled findings to begin with: keys, tokens and passwords of usual kinds, and what scanners report by mistake."""
+def findings_of(rows: DataFrame, most: int = 20_000) -> list[Finding]:
+    """Labelled findings from a table (before, candidate, after, secret): at most so many, the first by hash. Rows without a candidate or a label are left out."""
+    known = rows.filter("candidate <> '' AND secret IS NOT NULL").select(F.coalesce("before", F.lit("")).alias("before"), "candidate", F.coalesce("after", F.lit("")).alias("after"), F.col("secret").cast("boolean").alias("secret"))
+    return [Finding(*r) for r in known.orderBy(F.xxhash64("before", "candidate", "after"), "before", "candidate", "after").limit(most).collect()]
+
+
+def example_findings(n: int = 6_000, seed: int = 11, lexicon: Lexicon = PLAIN) -> list[Finding]:
+    """Labelled findings to begin with: keys, tokens and passwords of usual kinds, and what scanners report by mistake, among words of the lexicon."""
     rng = random.Random(seed)
+    known = [*WORDS, *sorted(lexicon.words - PLAIN.words)]
+    known_word = lambda: rng.choice(known if rng.random() < 0.5 else WORDS)
     pick = lambda letters, k: "".join(rng.choice(letters) for _ in range(k))
     lower, upper, digits = "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "0123456789"
     mixed, base32, hexa = lower + upper + digits, upper + "234567", digits + "abcdef"
-    word = lambda: "".join(rng.choice(WORDS) for _ in range(rng.randint(1, 3)))
+    word = lambda: "".join(known_word() for _ in range(rng.randint(1, 3)))
     prose = lambda: " ".join(word() for _ in range(3)) + " "
     leet = str.maketrans("aeios", "43105")
 
@@ -222,17 +251,32 @@ def example_findings(n: int = 6_000, seed: int = 11) -> list[Finding]:
     return out
 
 
-def train(findings: Iterable[Finding], **options) -> Trees:
+@dataclass(frozen=True)
+class Model:
+    """A forest and the lexicon that its features are taken with."""
+
+    trees: Trees
+    lexicon: Lexicon
+
+
+def train(findings: Iterable[Finding], lexicon: Lexicon = PLAIN, **options) -> Model:
     """A forest from labelled findings; any team's own findings serve as well as the examples."""
     rows = list(findings)
-    return forest(np.array([describe(f.candidate, f.before[-ABOUT:], f.after[:ABOUT]) for f in rows], dtype=np.float64), np.array([float(f.secret) for f in rows]), **options)
+    x = np.array([describe(f.candidate, f.before[-ABOUT:], f.after[:ABOUT], lexicon) for f in rows], dtype=np.float64)
+    return Model(forest(x, np.array([float(f.secret) for f in rows]), **options), lexicon)
 
 
 @lru_cache(maxsize=1)
-def default_model() -> Trees:
+def default_model() -> Model:
     return train(example_findings())
 
 
+def model_for(docs: DataFrame, findings: DataFrame | None = None) -> Model:
+    """The lexicon of the documents; the findings of a table, if there is one, beside the examples."""
+    lexicon = Lexicon.learned(docs)
+    return train([*example_findings(lexicon=lexicon), *(findings_of(findings) if findings is not None else [])], lexicon)
+
+
 def candidates(text: str) -> list[tuple[int, int]]:
     """Spans from left to right, none within another. A value that ends like an address ("name:value@host") is taken up to the host."""
     out, at = [], 0
@@ -249,21 +293,22 @@ def candidates(text: str) -> list[tuple[int, int]]:
     return out
 
 
-def judge(texts: list[str], model: Trees) -> list[list[tuple[int, int, float]]]:
+def judge(texts: list[str], model: Model) -> list[list[tuple[int, int, float]]]:
     """Per text its candidates as (start, end, score)."""
     spans = [candidates(t) for t in texts]
-    rows = [describe(t[a:b], t[max(0, a - ABOUT) : a], t[b : b + ABOUT]) for t, found in zip(texts, spans) for a, b in found]
-    scores = iter(model.raw(np.array(rows, dtype=np.float64)) if rows else ())
+    rows = [describe(t[a:b], t[max(0, a - ABOUT) : a], t[b : b + ABOUT], model.lexicon) for t, found in zip(texts, spans) for a, b in found]
+    scores = iter(model.trees.raw(np.array(rows, dtype=np.float64)) if rows else ())
     return [[(a, b, float(next(scores))) for a, b in found] for found in spans]
 
 
-def secret_scan(docs: DataFrame, model: Trees | None = None, threshold: float = 0.5) -> DataFrame:
+def secret_scan(docs: DataFrame, model: Model | None = None, threshold: float = 0.5, findings: DataFrame | None = None) -> DataFrame:
     """Per row: doc_id, n_candidates, n_secrets, max_score (0 without candidates), spans ("start-end" in characters, by comma).
 
     Null and empty texts have no candidates. Texts are scanned whole, in time linear in their length. Repeated rows give
-    repeated results, rows without an id one without it, an empty table an empty one, other columns are ignored.
+    repeated results, rows without an id one without it, an empty table an empty one, other columns are ignored. Without a
+    model, one is trained with the words of the documents and the labelled ``findings``, if any.
     """
-    model = model or default_model()
+    model = model or model_for(docs, findings)
 
     def tell(texts: list[str]) -> list[tuple]:
         rows = []
@@ -275,13 +320,13 @@ def secret_scan(docs: DataFrame, model: Trees | None = None, threshold: float =
     return by_text(docs, "doc_id", "text", "n_candidates long, n_secrets long, max_score double, spans string", lambda: tell)
 
 
-def redact(docs: DataFrame, model: Trees | None = None, threshold: float = 0.5, mark: str = "[SECRET]") -> DataFrame:
+def redact(docs: DataFrame, model: Model | None = None, threshold: float = 0.5, mark: str = "[SECRET]", findings: DataFrame | None = None) -> DataFrame:
     """All rows and columns, with each secret in ``text`` replaced by the mark; texts without secrets, null ones too, stay as they are.
 
     Repeated rows are changed alike, an empty table stays empty, and no other column is read or renamed, whatever its name.
     """
     ship(docs.sparkSession)
-    model = model or default_model()
+    model = model or model_for(docs, findings)
 
     @F.pandas_udf("string")
     def cleaned(texts: pd.Series) -> pd.Series:
