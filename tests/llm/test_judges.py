@@ -1,12 +1,15 @@
 import re
+import time
 
 import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
 from windowforge.llm.boosting import boost, forest
-from windowforge.llm.licenses import PHRASES, Automaton, license_scan, scan, template_pattern, words_of
+from windowforge.llm.licenses import PHRASES, TEMPLATES, Automaton, license_scan, scan, template_pattern, words_of
 from windowforge.llm.quality import classify, keep_good, statistics
-from windowforge.llm.secret_scan import candidates, default_model, example_findings, judge, redact, secret_scan, train
+from windowforge.llm import quality
+from windowforge.llm.secret_scan import ABOUT, Lexicon, candidates, coverage, default_model, describe, example_findings, findings_of, judge, model_for, redact, secret_scan, train
 
 ODD = [(None, None), (1, ""), (2, None), (3, " \n\t"), (4, "x" * 200_000), (5, "a\x00b"), (5, "a\x00b"), (6, "é日本 🤦")]
 
@@ -112,6 +115,55 @@ def test_secrets_behind_any_name():
     assert [t for t in innocent if any(s >= 0.5 for _, _, s in judge([f"some words {t} and more"], default_model())[0])] == []
 
 
+def walked(trees, row):
+    """Trees read node by node."""
+    total = trees.base
+    for f, t, v in zip(trees.feature, trees.threshold, trees.value):
+        k = 0
+        for _ in range(trees.depth):
+            k = 2 * k + 1 + int(row[f[k]] > t[k])
+        total += v[k - (2**trees.depth - 1)]
+    return total
+
+
+def test_scores_by_plain_walks(spark):
+    """The queries' operators against one document after the other, one tree node after the other, over a whole table."""
+    d = "/root/testdata/sf0.001"
+    docs, labels = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet")
+    texts = {r.doc_id: r.text or "" for r in docs.collect()}
+    trees = quality.train(docs, labels)
+    for r in quality.score(docs, trees).collect():
+        assert abs(r.score - 1 / (1 + np.exp(-walked(trees, statistics(texts[r.doc_id]))))) < 1e-9
+    model = model_for(docs)
+    for r in secret_scan(docs, model).collect():
+        t = texts[r.doc_id]
+        spans = candidates(t)
+        scores = [walked(model.trees, describe(t[a:b], t[max(0, a - ABOUT) : a], t[b : b + ABOUT], model.lexicon)) for a, b in spans]
+        assert r.n_candidates == len(spans) and abs(r.max_score - max(scores, default=0.0)) < 1e-9
+        assert r.spans == ",".join(f"{a}-{b}" for (a, b), s in zip(spans, scores) if s >= 0.5)
+
+
+def test_what_is_learned(spark):
+    docs = spark.createDataFrame([(k, "Wortschatz wortschatz_x abcdefghijklmnop zzqj9 the über " * 3) for k in range(40)] + [(99, "hapaxword"), (100, None)], "doc_id long, text string")
+    lexicon = Lexicon.learned(docs)
+    assert "wortschatz" in lexicon.words and not {"hapaxword", "zzqj", "ber", "abcdefghijkl"} & lexicon.words
+    assert coverage("wortschatz12", lexicon.words) > 0.8 and coverage("wortschatz12") < 0.8 and lexicon.transitions["tz"] > Lexicon.of({}).transitions.get("tz", -9)
+    rows = [("key: ", "corporate-9931", " ok", True)] * 30 + [("key: ", None, "", True), ("a", "b", "c", None)]
+    table = spark.createDataFrame(rows, "before string, candidate string, after string, secret boolean")
+    assert len(findings_of(table)) == 30 and len(findings_of(table, 7)) == 7
+    model = train([*example_findings(1500), *findings_of(table)], lexicon, trees=30)
+    assert judge(["key: corporate-9931 ok"], model)[0][0][2] > 0.5
+    assert Lexicon.learned(docs.limit(0)).words == Lexicon.of({}).words
+
+
+def test_long_runs_of_every_kind():
+    """A megabyte of any pattern of letters takes seconds, not for ever."""
+    for text in (("A" + "a" * 100) * 10_000, ("A" + "a" * 1000) * 1000, "a" * 1_000_000, "A" * 1_000_000, "aA" * 500_000, "Aa1" * 330_000, "a/" * 500_000, "a=" * 500_000, "eyJaaaaaaaa." * 80_000, "://a:bcd" * 100_000, "password:" * 100_000):
+        began = time.monotonic()
+        judge([text], default_model())
+        assert time.monotonic() - began < 20, text[:20]
+
+
 def test_candidates_in_linear_time():
     for text in ("aB" * 100_000, "a:" * 100_000, "=" * 100_000, "=\t" * 50_000, "x://" * 50_000, "aA/" * 70_000):
         spans = candidates(text)
@@ -125,19 +177,57 @@ def test_automata_match_the_expressions():
     import random
 
     rng = random.Random(3)
-    templates = ["[released|licensed] under the [terms of the] mit license", "this {1-3} is free [as in beer] software", "{0-2} end", "a [b] [b c] d"]
+    templates = ["[released|licensed] under the [terms of the] mit license", "this {1-3} is free [as in beer] software", "{0-2} end", "a [b] [b c] d", "a [b [c|d [end]] is] mit", "[a|b [c] d] end [of|the {1-2} end] this", "as {1-3} as {0-2} in"]
     pool = "released licensed under the terms of mit license this that is free as in beer software end a b c d".split()
     for t in templates:
         automaton, pattern = Automaton(t), re.compile(template_pattern(t))
         for _ in range(400):
             words = [rng.choice(pool) for _ in range(rng.randint(0, 14))]
             if rng.random() < 0.5:
-                words += re.sub(r"\[[^\]]*\]|\{[^}]*\}", lambda m: rng.choice(["", *m[0][1:-1].split("|")]) if m[0][0] == "[" else "w " * rng.randint(0, 3), t).split()
+                some = t
+                while "[" in some:  # innermost regions first
+                    some = re.sub(r"\[[^\[\]]*\]", lambda m: rng.choice(["", *m[0][1:-1].split("|")]), some)
+                words += re.sub(r"\{[^}]*\}", lambda m: "w " * rng.randint(0, 3), some).split()
             raw = [w.encode() for w in words]
-            places = {}
-            for i, w in enumerate(raw):
-                places.setdefault(w, []).append(i)
-            assert automaton.found(raw, places) == bool(pattern.search(" " + " ".join(words) + " ")), (t, words)
+            assert automaton.found(raw) == bool(pattern.search(" " + " ".join(words) + " ")), (t, words)
+
+
+def made(template, low=True):
+    """A text that follows a template: every optional region left out, or the first choice of each taken."""
+    while "[" in template:
+        template = re.sub(r"\[([^\[\]]*)\]", lambda m: "" if low else m[1].split("|")[0], template)
+    return re.sub(r"\{(\d+)-(\d+)\}", lambda m: " ".join(["someone"] * int(m[1 if low else 2])), template)
+
+
+def test_every_known_template():
+    """Each stands in the texts that follow it, and in none whose mandatory wording has another word, lacks one or ends early."""
+    for label, templates in TEMPLATES.items():
+        for t in templates:
+            automaton = Automaton(t)
+            for low in (True, False):
+                words = words_of(made(t, low))
+                assert automaton.found([b"x", *words, b"y"]) and label in scan(" ".join(w.decode() for w in words))[2], (label, t)
+            words = words_of(made(t, True))
+            at = [i for i, w in enumerate(words) if w in automaton.needs and words.count(w) == 1 and w != b"someone"]
+            for i in at[:: max(1, len(at) // 6)]:
+                assert not automaton.found(words[:i] + [b"otherwise"] + words[i + 1 :]) or label in ("gpl-notice",), (label, words[i])
+                assert not automaton.found(words[:i]), (label, words[i])
+    for broken in ("a [b", "a ] b", "[a] {1-2}", ""):
+        with pytest.raises(ValueError):
+            Automaton(broken)
+
+
+def test_own_templates(spark):
+    frame = spark.createDataFrame([(1, "Our terms: use it freely, Bob."), (2, "MIT license")], "doc_id long, text string")
+    got = {r.doc_id: (r.labels, r.score) for r in license_scan(frame, {"ours": ["our terms use it [freely|gladly] {0-1}"]}).collect()}
+    assert got == {1: ("ours", 1.0), 2: ("mit", 0.5)}
+
+
+def test_licences_in_linear_time():
+    began = time.monotonic()
+    for text in ("permission is hereby granted " * 30_000, "is free software " * 50_000, "licensed under the " * 50_000, made(TEMPLATES["mit"][0]) * 500):
+        scan(text)
+    assert time.monotonic() - began < 60
 
 
 def test_license_words_and_labels(spark):

@@ -3,23 +3,16 @@
 from __future__ import annotations
 
 import re
+from dataclasses import dataclass
 from functools import lru_cache
 
 from pyspark.sql import DataFrame
 
 from .common import by_text
+from .license_texts import TEMPLATES
 
 #: Phrases and their labels.
 PHRASES = {"mit license": "mit", "apache license": "apache", "general public license": "gpl"}
-#: Notices in template markup. [...] may be missing, {a-b} stands for a to b words of any kind, all else must be there word for word.
-TEMPLATES = {
-    "mit-notice": ["[released|licensed|distributed|available] under the [terms of the] mit license", "permission is hereby granted free of charge to any person obtaining a copy of this {1-6} and associated documentation files"],
-    "apache-2.0": ["licensed under the [terms of the] apache license [,] version 2 [0]", "licensed under [the] apache 2 0"],
-    "gpl-3.0": ["[licensed] under the [terms of the] gnu general public license [as published by the free software foundation] [either] version 3 [or later]"],
-    "gpl-notice": ["{1-4} is free software you can redistribute it and or modify it under the terms of the gnu general public license"],
-    "cc-by-nc-4.0": ["licensed under [a|the] [creative commons] cc by nc 4 0", "licensed under [a|the] creative commons attribution noncommercial 4 0 [international] license"],
-    "bsd-notice": ["redistribution and use in source and binary forms with or without modification are permitted"],
-}
 _SEPARATORS = bytes(b if 48 <= b <= 57 or 97 <= b <= 122 or b >= 128 else b + 32 if 65 <= b <= 90 else 32 for b in range(256))
 
 
@@ -28,58 +21,104 @@ def words_of(text: str) -> list[bytes]:
     return text.encode().translate(_SEPARATORS).split()
 
 
-def parse(template: str) -> list[tuple[str, list[list[bytes]] | tuple[int, int]]]:
-    """Regions of a template: ("word", [[w]]), ("optional", alternatives) or ("any", (least, most))."""
-    out: list = []
-    for part in re.findall(r"\[[^\]]*\]|\{\d+-\d+\}|[^\s\[\]{}]+", template):
-        if part[0] == "{":
-            low, high = part[1:-1].split("-")
-            out.append(("any", (int(low), int(high))))
-        elif part[0] == "[":
-            options = [words_of(x) for x in part[1:-1].split("|")]
-            out.append(("optional", [o for o in options if o]))
-        else:
-            out += [("word", [[w]]) for w in words_of(part)]
-    return out
+@dataclass(frozen=True)
+class Word:
+    word: bytes
+
+
+@dataclass(frozen=True)
+class Any:
+    """``least`` to ``most`` words of any kind."""
+
+    least: int
+    most: int
+
+
+@dataclass(frozen=True)
+class Optional:
+    """One of some sequences of regions, or none of them."""
+
+    choices: tuple[tuple, ...]
+
+
+def parse(template: str) -> tuple[Word | Any | Optional, ...]:
+    """The regions of a template, which may hold regions in turn."""
+    parts = re.findall(r"\{\d+-\d+\}|[\[\]|]|[^\s\[\]{}|]+", template)
+
+    def regions(at: int, depth: int) -> tuple[list, int]:
+        """All alternatives up to the closing bracket, and the place behind it."""
+        choices, now = [], []
+        while at < len(parts):
+            part = parts[at]
+            at += 1
+            if part == "[":
+                inner, at = regions(at, depth + 1)
+                inner = [tuple(c) for c in inner if c]
+                if inner:
+                    now.append(Optional(tuple(inner)))
+            elif part == "]":
+                if not depth:
+                    raise ValueError("a region ends that never began")
+                return [*choices, now], at
+            elif part == "|" and depth:
+                choices.append(now)
+                now = []
+            elif part[0] == "{":
+                low, high = part[1:-1].split("-")
+                now.append(Any(int(low), int(high)))
+            else:
+                now += [Word(w) for w in words_of(part)]
+        if depth:
+            raise ValueError("a region has no end")
+        return [now], at
+
+    return tuple(regions(0, 0)[0][0])
 
 
 class Automaton:
-    """Accepts word sequences that hold all mandatory words in their places. States are numbers; ``None`` labels a step over any word."""
+    """Finds word sequences that hold all mandatory words in their places. States are numbers; ``None`` labels a step over any word."""
 
     def __init__(self, template: str):
         self.steps: list[dict[bytes | None, set[int]]] = [{}]
         self.free: list[set[int]] = [set()]
-        at = 0
-        for kind, what in parse(template):
-            if kind == "any":
-                low, high = what
+        regions = parse(template)
+        self.needs = {r.word for r in regions if isinstance(r, Word)}
+        if not self.needs:
+            raise ValueError("a template without a mandatory word stands everywhere")
+        self.last = self._add(regions, 0)
+        self.begin = self._closed({0})
+
+    def _add(self, regions: tuple, at: int) -> int:
+        """States for a sequence of regions from a state on; the state where it ends."""
+        for r in regions:
+            if isinstance(r, Word):
+                at = self._step(at, r.word)
+            elif isinstance(r, Any):
                 ends = []
-                for k in range(high):
-                    if k >= low:
+                for k in range(r.most):
+                    if k >= r.least:
                         ends.append(at)
                     at = self._step(at, None)
                 for e in ends:
                     self.free[e].add(at)
             else:
-                start, ends = at, []
-                for option in what:
-                    at = start
-                    for w in option:
-                        at = self._step(at, w)
-                    ends.append(at)
-                if kind == "optional":
-                    at = self._new()
-                    for e in [start, *ends]:
-                        self.free[e].add(at)
-        self.last = at
-        self.begin = self._closed({0})
-        self.opening = {w for s in self.begin for w in self.steps[s]}
+                ends = [at, *(self._add(c, self._free(at)) for c in r.choices)]
+                at = self._new()
+                for e in ends:
+                    self.free[e].add(at)
+        return at
 
     def _new(self) -> int:
         self.steps.append({})
         self.free.append(set())
         return len(self.steps) - 1
 
+    def _free(self, at: int) -> int:
+        """A new state that is reached from another without a word, so that choices do not grow into each other."""
+        new = self._new()
+        self.free[at].add(new)
+        return new
+
     def _step(self, at: int, word: bytes | None) -> int:
         new = self._new()
         self.steps[at].setdefault(word, set()).add(new)
@@ -94,56 +133,66 @@ class Automaton:
                 todo += self.free[s]
         return out
 
-    def accepts_at(self, words: list[bytes], at: int) -> bool:
-        states = self.begin
-        while True:
+    def found(self, words: list[bytes]) -> bool:
+        """Whether the template stands somewhere. One pass: a new attempt begins at each word beside those under way, and attempts that
+        meet in a state go on as one, so that the time is bounded by words times states."""
+        states: set[int] = set()
+        for word in words:
+            reached: set[int] = set()
+            for s in states | self.begin:
+                step = self.steps[s]
+                reached |= step.get(word, _NONE)
+                reached |= step.get(None, _NONE)
+            states = self._closed(reached) if reached else reached
             if self.last in states:
                 return True
-            if at >= len(words) or not states:
-                return False
-            word = words[at]
-            states = self._closed({t for s in states for label in (word, None) for t in self.steps[s].get(label, ())})
-            at += 1
+        return False
 
-    def found(self, words: list[bytes], places: dict[bytes, list[int]]) -> bool:
-        if None in self.opening:
-            return any(self.accepts_at(words, i) for i in range(len(words)))
-        return any(self.accepts_at(words, i) for w in self.opening for i in places.get(w, ()))
+
+_NONE: frozenset[int] = frozenset()
+Compiled = list[tuple[str, Automaton]]
+
+
+def compiled(templates: dict[str, list[str]]) -> Compiled:
+    return [(label, Automaton(t)) for label, ts in templates.items() for t in ts]
 
 
 @lru_cache(maxsize=1)
-def automata() -> list[tuple[str, Automaton, set[bytes]]]:
-    """(label, automaton, its mandatory words)."""
-    return [(label, Automaton(t), {w for kind, what in parse(t) if kind == "word" for w in what[0]}) for label, templates in TEMPLATES.items() for t in templates]
+def automata() -> Compiled:
+    """The known licences and notices."""
+    return compiled(TEMPLATES)
 
 
-def scan(text: str) -> tuple[int, list[tuple[int, str]], set[str]]:
+def scan(text: str, known: Compiled | None = None) -> tuple[int, list[tuple[int, str]], set[str]]:
     """Words of a text, places of the base phrases, labels of the templates."""
     words = words_of(text)
     places: dict[bytes, list[int]] = {}
     have = set(words)
     base: list[tuple[int, str]] = []
     phrases = [(p.encode().split(), label) for p, label in PHRASES.items()]
-    due = [(label, a) for label, a, needs in automata() if needs <= have]
-    if due or any(set(p) <= have for p, _ in phrases):
+    due = [(label, a) for label, a in (automata() if known is None else known) if a.needs <= have]
+    if any(set(p) <= have for p, _ in phrases):
         for i, w in enumerate(words):
             places.setdefault(w, []).append(i)
         for p, label in phrases:
             base += [(i, label) for i in places.get(p[0], ()) if words[i : i + len(p)] == p]
-    return len(words), sorted(base), {label for label, a in due if a.found(words, places)}
+    return len(words), sorted(base), {label for label, a in due if a.found(words)}
 
 
-def license_scan(docs: DataFrame) -> DataFrame:
+def license_scan(docs: DataFrame, templates: dict[str, list[str]] | None = None) -> DataFrame:
     """Per row: doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score.
 
     score is 1 where a template's whole mandatory wording stands, 0.5 where only a base phrase does, else 0. Null and
-    empty texts have no words and empty labels; whole texts are scanned; other columns are ignored.
+    empty texts have no words and empty labels; very long texts are scanned whole, in one pass. Repeated rows give repeated
+    results, rows without an id one without it, an empty table an empty one; other columns are ignored. ``templates``, by
+    label, take the place of the known ones.
     """
+    known = compiled(templates) if templates is not None else None
 
     def tell(texts: list[str]) -> list[tuple]:
         rows = []
         for text in texts:
-            n, base, found = scan(text)
+            n, base, found = scan(text, known)
             mine = sorted({label for _, label in base})
             rows.append((n, len(base), base[0][0] if base else None, base[-1][0] if base else None, ",".join(mine), ",".join(sorted({*mine, *found})), 1.0 if found else 0.5 if base else 0.0))
         return rows
@@ -153,12 +202,16 @@ def license_scan(docs: DataFrame) -> DataFrame:
 
 def template_pattern(template: str) -> str:
     """The template as a regular expression over words that each end with a space, after one leading space; for checks by other engines."""
-    out = " "
-    for kind, what in parse(template):
-        if kind == "any":
-            out += "([^ ]+ ){%d,%d}" % what
-        elif kind == "word":
-            out += what[0][0].decode() + " "
-        elif what:
-            out += "(" + "|".join("".join(w.decode() + " " for w in o) for o in what) + ")?"
-    return out
+
+    def of(regions: tuple) -> str:
+        out = ""
+        for r in regions:
+            if isinstance(r, Any):
+                out += "([^ ]+ ){%d,%d}" % (r.least, r.most)
+            elif isinstance(r, Word):
+                out += r.word.decode() + " "
+            else:
+                out += "(" + "|".join(of(c) for c in r.choices) + ")?"
+        return out
+
+    return " " + of(parse(template))
