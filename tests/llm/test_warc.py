@@ -74,3 +74,14 @@ def test_broken_streams_are_told(tmp_path):
     with pytest.raises(ValueError):
         list(warc.split_records(iter([b"HTTP/1.1 200 OK\r\n\r\n"])))
     assert list(warc.split_records(warc.inflated(io.BytesIO(b"")))) == []
+
+
+def test_padding_and_bombs():
+
+    member = gzip.compress(b"x" * 5_000_000)
+    for padded in (member + b"\0" * 3, b"\0" + member + b"\0" * (1 << 20) + member, member + member):
+        parts = list(warc.inflated(io.BytesIO(padded), 1 << 16))
+        assert max(map(len, parts)) <= 1 << 16 and sum(map(len, parts)) == 5_000_000 * padded.count(b"\x1f\x8b\x08")
+    for broken in (member[:-3], member + member[:50]):
+        with pytest.raises(ValueError):
+            list(warc.inflated(io.BytesIO(broken)))

@@ -183,7 +183,8 @@ def jaccard_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
 
     Two documents link when 100 * shared >= ``percent`` * joint shingles. Documents without words, null or empty, have no
     shingles and no links. Repeated rows count as one document. Rows without an id are grouped with none and get a null
-    component unless an equal set has an id. An empty table gives an empty result; further columns are ignored.
+    component unless an equal set has an id. A very long text is one set, which is held whole and compared like any other. An
+    empty table gives an empty result; further columns are ignored.
     """
     ship(docs.sparkSession)
     docs = docs.select(id_col, text_col)

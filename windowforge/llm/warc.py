@@ -42,7 +42,7 @@ def records(pages: DataFrame, dedup_bytes: int = 0) -> DataFrame:
     earlier page_id holds too become revisits.
 
     Only ids and digests meet to find the earlier page; they are folded before the shuffle. Null html is an empty
-    payload. Rows that share page_id and payload are all responses if no smaller page_id holds it, else all revisits.
+    payload; a very long one is one record, which its row holds whole. Rows that share page_id and payload are all responses if no smaller page_id holds it, else all revisits.
     A row without a page_id is a response.
     """
     payload = F.encode(F.coalesce("html", F.lit("")), "UTF-8")
@@ -78,20 +78,26 @@ def file_system(uri: str):
     return fs.FileSystem.from_uri(re.sub(r"^file:/+", "file:///", uri))
 
 
-def inflated(source) -> Iterator[bytes]:
-    """The bytes under a gzip file, block by block, through as many members as it has."""
+def inflated(source, most: int = READ) -> Iterator[bytes]:
+    """The bytes under a gzip file, at most ``most`` at once, through as many members as it has; zero bytes between and behind members are padding."""
     inflate, fed = zlib.decompressobj(31), False
     while block := source.read(READ):
-        while block:
-            if data := inflate.decompress(block):
-                yield data
+        more = True
+        while more:
+            if not fed:
+                block = block.lstrip(b"\0")
+                if not block:
+                    break
+            data = inflate.decompress(block, most)
             fed = True
-            block = inflate.unused_data
+            if data:
+                yield data
             if inflate.eof:
-                inflate, fed = zlib.decompressobj(31), False
-                block = block.lstrip(b"\0") if not block.startswith(b"\x1f\x8b") else block
+                block, inflate, fed = inflate.unused_data, zlib.decompressobj(31), False
+                more = bool(block)
             else:
-                break
+                block = inflate.unconsumed_tail
+                more = bool(block) or len(data) == most
     if fed:
         raise ValueError("the gzip stream ends early")
 
@@ -211,7 +217,9 @@ def read_back(manifest: DataFrame) -> DataFrame:
 def warc_round_trip(pages: DataFrame, dedup_bytes: int = 0) -> DataFrame:
     """Pages written to archives, normalised and read back; a row per page with what its record says.
 
-    Needs page_id, url and html; further columns are left alone. An empty table gives an empty result.
+    Needs page_id, url and html; further columns are left alone. A very long payload is held whole, a record at a time, and
+    never inflated past a block at once. Revisits keep the digest and the length that their page had when it was written. Repeated
+    rows are records each. An empty table gives an empty result.
     """
     spark = pages.sparkSession
     raw, done = fresh_path(spark, "warc-raw"), fresh_path(spark, "warc-members")
