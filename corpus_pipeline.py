@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from windowforge.llm.common import materialize, table
+from windowforge.llm.common import distilled, table
 from windowforge.llm.exact_dedup import exact_dedup
 from windowforge.llm.near_dedup import near_dedup
 from windowforge.llm.packing import pack
@@ -44,8 +44,8 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Applies the stages to ``documents``; each result is written and read again."""
+    """Applies the stages to ``documents``; each result is written and read again, and what a stage wrote beside it is removed."""
     docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES:
-        docs = materialize(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        docs = distilled(spark, f"pipeline-{name}", lambda stage=stage, docs=docs: stage(spark, docs, sf_dir))
     return docs
