@@ -1,26 +1,28 @@
 """Exact Jaccard join of documents' shingle sets in their metric space, and the groups that its links make.
 
-1 - Jaccard is a metric. Equal sets are one class from the start. The classes are joined in four moves.
+1 - Jaccard is a metric. Equal sets are one class from the start. The classes are joined in these moves.
 
 *Lone sets.* A link shares so much that it leaves out fewer than ``p = n - ceil(0.75 n) + 1`` shingles of a set of n. Counted
 over all texts, the shingles of one third of the hash range show which of them stand in one class alone; a class with p of
 these has no link to anything and is done.
 
-*Regions.* The shingles of the others have one order, rare ones first. Two linked sets share one of the first p of each, so
-the sets that have a shingle among their first ones form a region, and every link lies inside some region.
+*Pivots and regions.* Some documents are drawn as pivots. Every document within a link of pivots belongs to the Voronoi cell
+of its nearest one, which makes the cell one component from the start. Distances are computed to those pivots only that can be
+as near: sets that share so much share one of their first shingles, rare ones first.
 
-*Pivots.* In each region a pivot, the member with the smallest share of shingles of its own, is compared with all others. Those
-within the distance are its cell: they are linked to it. Cells that share a document grow together.
+*Windows.* By the triangle inequality, what is linked to a document of a cell lies within the cell's reach (its largest distance
+to the pivot) and a link's distance of the pivot. Such documents of other cells, and of none, are copied into the region, unless
+they are connected to it already, and are compared with those of the cell whose distance to the pivot differs by no more
+than a link's. So each link with an end in a cell is found, or its ends are known to be connected.
 
-*Windows.* What is left to find are links between different components of a region. Each member outside the region's largest
-component becomes a pivot in turn and is compared with the members of other components, if they can be near: the distances
-to the first pivot must not differ by more than the links' distance (triangle inequality), and the shingles that are not
-their own must suffice. Regions that have become one component are done.
+*Recursion.* Documents that no pivot is linked to are left. They join again among themselves, with eight times as many pivots: large
+groups go in the first rounds, to few pivots each, small ones later. When few are left for the number of pivots, each is its own.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pandas as pd
@@ -33,8 +35,14 @@ from .shingles import shingles
 
 #: Share of the hash range whose shingles are counted over all texts. Any share gives exact results.
 COUNTED = 1 / 3
-#: Pivots that a region gets in its second round; four times as many in each later one.
-PIVOTS = 512
+#: Pivots of the first round, drawn from all documents; eight times as many in each later one, of those that no pivot has joined.
+PIVOTS = 64
+#: Boundary documents of a region that meet its own at once; four times as many in each later step.
+LEAF = 256
+#: Sets that hold a shingle which counts as hot; more, if that many shingles would be hot.
+HOT, HOT_KEYS = 1_000, 100_000
+#: Pairs, and shingles of the pivots in them, that are broadcast at most; beyond, they are joined.
+BROADCAST_PAIRS, BROADCAST_SHINGLES = 200_000, 1_000_000
 #: Documents whose ids are broadcast at most to pick their texts; beyond, the ids are joined.
 BROADCAST_IDS = 500_000
 
@@ -100,15 +108,17 @@ def sets_of(docs: DataFrame, ids: DataFrame, id_col: str, text_col: str, size: i
 
 
 def compare(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Distances of pairs (a, b) from their whole sets: a, b, d, linked. Of the sets only those of the pairs move."""
+    """Distances of pairs (id, p) from their whole sets: id, p, d, linked. Few pairs go to where the sets lie, and few pivots' sets too;
+    many are joined, and then only the sets of the pairs move."""
     pairs = materialize(pairs, "pairs")
-    if pairs.count() <= BROADCAST_IDS:
-        wanted = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
-        sets = sets.join(F.broadcast(wanted), "id", "left_semi")
-    both = pairs.join(sets.select(F.col("id").alias("b"), F.col("set").alias("sb")), "b").join(sets.select(F.col("id").alias("a"), F.col("set").alias("sa")), "a")
-    shared = both.select("a", "b", F.size("sa").cast("long").alias("na"), F.size("sb").cast("long").alias("nb"), F.size(F.array_intersect("sa", "sb")).cast("long").alias("i"))
-    union = F.col("na") + F.col("nb") - F.col("i")
-    return shared.select("a", "b", (1 - F.col("i") / union).alias("d"), (100 * F.col("i") >= percent * union).alias("linked"))
+    few = pairs.count() <= BROADCAST_PAIRS
+    wanted = pairs.select("p").distinct()
+    pivots = sets.join(F.broadcast(wanted) if few else wanted, F.col("id") == F.col("p"), "left_semi").select(F.col("id").alias("p"), F.col("set").alias("sp"))
+    light = few and (pivots.agg(F.sum(F.size("sp"))).first()[0] or 0) <= BROADCAST_SHINGLES
+    both = sets.join(F.broadcast(pairs) if few else pairs, "id").join(F.broadcast(pivots) if light else pivots, "p")
+    shared = both.select("id", "p", F.size("set").cast("long").alias("n"), F.size("sp").cast("long").alias("pn"), F.size(F.array_intersect("set", "sp")).cast("long").alias("i"))
+    union = F.col("n") + F.col("pn") - F.col("i")
+    return shared.select("id", "p", (1 - F.col("i") / union).alias("d"), (100 * F.col("i") >= percent * union).alias("linked"))
 
 
 def components(edges: DataFrame, most: int = 60) -> DataFrame:
@@ -132,50 +142,99 @@ def components(edges: DataFrame, most: int = 60) -> DataFrame:
     return stars.select(F.col("v").alias("node"), F.col("r").alias("root"))
 
 
+def ranked(sets: DataFrame, percent: int) -> DataFrame:
+    """(id, n, m, left, key, place): of each set the shingles that a set within the widest window of it cannot all miss, rare ones first.
+
+    m counts the shingles that stand in several sets; the others come first in the order and lead to no other set. ``left`` says how
+    many places a link must look at. Shingles that very many sets hold get their frequency from a broadcast, others by a join.
+    """
+    every = sets.select("id", F.size("set").cast("long").alias("n"), F.explode("set").alias("key"))
+    often = materialize(every.groupBy("key").agg(F.count(F.lit(1)).alias("df")).filter("df > 1"), "frequencies")
+    hot = F.col("df") > max(HOT, (often.agg(F.sum("df")).first()[0] or 0) // HOT_KEYS)
+    known = every.join(F.broadcast(often.filter(hot)), "key").unionByName(every.join(F.broadcast(often.filter(hot).select("key")), "key", "left_anti").join(often.filter(~hot), "key"))
+    of_id = Window.partitionBy("id")
+    known = known.withColumn("m", F.count(F.lit(1)).over(of_id)).withColumn("left", leave(F.col("n"), percent) - (F.col("n") - F.col("m"))).filter("left > 0")
+    known = known.withColumn("place", F.row_number().over(of_id.orderBy("df", "key")))
+    return known.filter(F.col("place") <= leave(F.col("n"), max(2 * percent - 100, 0)) - (F.col("n") - F.col("m"))).select("id", "n", "m", "left", "key", "place")
+
+
+def can(share, one: str = "", two: str = "p"):
+    """Whether two sets can share so much through a shingle that both have, by their sizes n, their shingles m that are not their own,
+    and the shingle's place among these. They share ``need`` shingles, so that a common one is among the first n - need + 1 of each
+    set; and what is common lies, up to this shingle, within the shorter start, beyond it within the shorter rest."""
+    col = lambda side, name: F.col(side + name)
+    need = F.ceil(share * (col(one, "n") + col(two, "n")) / (1 + share) - 1e-9)
+    rest = F.least(col(one, "m") - col(one, "place"), col(two, "m") - col(two, "place"))
+    return (rest + 1 >= need) & (F.least(one + "place", two + "place") + rest >= need)
+
+
+def side(rows: DataFrame, prefix: str) -> DataFrame:
+    """The ranked shingles with a prefix before every name but the key's; the id is named by the prefix alone."""
+    return rows.select("key", F.col("id").alias(prefix), *[F.col(c).alias(prefix + c) for c in ("n", "m", "left", "place")])
+
+
 def links(docs: DataFrame, chosen: DataFrame, id_col: str, text_col: str, percent: int, size: int) -> DataFrame:
     """Enough of the links between the chosen documents' sets to connect all that links connect: (a, b)."""
-    near = 1 - percent / 100
+    link = F.lit(percent / 100)
+    within = 1 - percent / 100
     sets = materialize(sets_of(docs, chosen, id_col, text_col, size), "sets")
-    of_key, of_id = Window.partitionBy("key"), Window.partitionBy("id")
-    shared = sets.select("id", F.size("set").cast("long").alias("n"), F.explode("set").alias("key")).withColumn("df", F.count(F.lit(1)).over(of_key)).filter("df > 1")
-    # m: shingles that stand in several sets; the others come first in the order and make no region
-    shared = shared.withColumn("m", F.count(F.lit(1)).over(of_id)).withColumn("left", leave(F.col("n"), percent) - (F.col("n") - F.col("m"))).filter("left > 0")
-    first = shared.withColumn("place", F.row_number().over(of_id.orderBy("df", "key"))).filter(F.col("place") <= F.col("left")).select("key", "id", "n", "m", "place")
-    pivot = F.min(F.struct((1 - F.col("m") / F.col("n")).alias("own"), "id", "n", "m", "place")).over(of_key)
-    regions = first.withColumn("p", pivot).withColumn("several", F.min("id").over(of_key) < F.max("id").over(of_key)).filter("several")
-    regions = materialize(regions.select("key", "id", "n", "m", "place", F.col("p.id").alias("p"), F.col("p.n").alias("pn"), F.col("p.m").alias("pm"), F.col("p.place").alias("pp")), "regions")
-
-    def can(n: str, m: str, place: str, n2: str, m2: str, place2: str):
-        """Whether two sets can link through a shingle that both have, by their sizes n, their shingles m that are not their own, and
-        the shingle's place among these. A link shares ``need`` shingles, so that it has a common one among the first n - need + 1 of
-        each set; and what is common lies, up to this shingle, within the shorter start, beyond it within the shorter rest."""
-        need = F.ceil(F.lit(percent) * (F.col(n) + F.col(n2)) / (100 + percent))
-        start, rest, rest2 = F.least(place, place2), F.col(m) - F.col(place), F.col(m2) - F.col(place2)
-        return (F.least(rest, rest2) + 1 >= need) & (start + F.least(rest, rest2) >= need)
-
-    stars = regions.filter("id <> p").filter(can("n", "m", "place", "pn", "pm", "pp")).select(F.least("id", "p").alias("a"), F.greatest("id", "p").alias("b")).distinct()
-    known = materialize(compare(stars, sets, percent), "distances-0")
-    both = known.select("a", "b", "d").unionByName(known.select(F.col("b").alias("a"), F.col("a").alias("b"), "d"))
-    to_first = both.select(F.col("a").alias("p"), F.col("b").alias("id"), F.col("d").alias("d1"))
-    members = regions.join(to_first, ["p", "id"], "left").select("key", "id", "n", "m", "place", F.when(F.col("id") == F.col("p"), 0.0).otherwise(F.col("d1")).alias("d1"))
-    been, turn, pivots = regions.select("key", F.col("p").alias("id")).distinct(), 0, PIVOTS
+    rows = materialize(ranked(sets, percent), "ranked")
+    edges: list[DataFrame] = []
+    found = lambda: reduce(DataFrame.unionByName, edges)
+
+    def rooted(df: DataFrame, roots: DataFrame, *names: str) -> DataFrame:
+        for name in names:
+            df = df.join(roots.select(F.col("node").alias(name), F.col("root").alias(name + "root")), name, "left")
+            df = df.withColumn(name + "root", F.coalesce(name + "root", name))
+        return df
+
+    def measured(pairs: DataFrame, label: str) -> DataFrame:
+        got = materialize(compare(pairs, sets, percent), label)
+        edges.append(got.filter("linked").select(F.col("id").alias("a"), F.col("p").alias("b")))
+        return got
+
+    turn, pivots = 0, PIVOTS
     while True:
-        roots = components(known.filter("linked").select("a", "b")).select(F.col("node").alias("id"), "root")
-        rooted = members.join(roots, "id", "left").withColumn("root", F.coalesce("root", "id"))
-        rooted = rooted.withColumn("several", F.min("root").over(of_key) < F.max("root").over(of_key)).filter("several").drop("several")
-        rooted = rooted.withColumn("c", F.count(F.lit(1)).over(Window.partitionBy("key", "root")))
-        rooted = rooted.withColumn("most", F.max(F.struct("c", "root")).over(of_key)["root"])
-        rooted = materialize(rooted.select("key", "id", "n", "m", "place", "d1", "root", (F.col("root") == F.col("most")).alias("largest")), f"members-{turn}")
-        waiting = rooted.filter("not largest").join(been, ["key", "id"], "left_anti").withColumn("k", F.row_number().over(of_key.orderBy((1 - F.col("m") / F.col("n")), "id"))).filter(F.col("k") <= pivots)
-        waiting = materialize(waiting.select("key", F.col("id").alias("a"), F.col("n").alias("an"), F.col("m").alias("am"), F.col("place").alias("ap"), F.col("d1").alias("ad"), F.col("root").alias("ar")), f"pivots-{turn}")
-        if waiting.isEmpty():
-            return known.filter("linked").select("a", "b")
-        turn, pivots = turn + 1, pivots * 4
-        met = rooted.join(waiting, "key").filter("root <> ar").filter(can("n", "m", "place", "an", "am", "ap")).filter(F.coalesce(F.abs(F.col("d1") - F.col("ad")) <= near + 1e-9, F.lit(True)))
-        pairs = met.select(F.least("id", "a").alias("a"), F.greatest("id", "a").alias("b")).distinct().join(known.select("a", "b"), ["a", "b"], "left_anti")
-        known = known.unionByName(materialize(compare(pairs, sets, percent), f"distances-{turn}"))
-        been = been.unionByName(waiting.select("key", F.col("a").alias("id")))
-        members = rooted.select("key", "id", "n", "m", "place", "d1")
+        waiting = rows.agg(F.count_distinct("id")).first()[0]
+        last = 4 * pivots >= waiting
+        drawn = F.lit(True) if last else F.pmod(F.xxhash64("id", F.lit(turn)), F.lit(waiting)) < pivots
+        # distances to the pivots that can be linked, over the rarest shingles
+        centre = side(rows.filter(drawn), "p")
+        met = rows.filter("place <= left").join(centre.filter("pplace <= pleft"), "key").filter("id < p" if last else "id <> p").filter(can(link))
+        to_pivot = measured(met.select("id", "p").distinct(), f"distances-{turn}")
+        if last:
+            return found()
+        # regions: each document within a link of pivots lies in the cell of its nearest
+        own = rows.filter(drawn).select("id", F.col("id").alias("p"), F.lit(0.0).alias("d")).distinct()
+        near = own.unionByName(to_pivot.filter("linked").select("id", "p", "d")) if 2 * within < 1 else own
+        cells = near.groupBy("id").agg(F.min(F.struct("d", "p")).alias("to")).select("id", "to.p", "to.d")
+        cells = materialize(cells, f"cells-{turn}")
+        reach = cells.groupBy("p").agg(F.max("d").alias("reach")).filter("reach > 0")
+        # windows: a document linked to one of a cell is within the cell's reach and a link of its pivot
+        roots = components(found())
+        reach = materialize(rooted(reach, roots, "p"), f"reach-{turn}")
+        apart = rooted(rows, roots, "id").join(centre.join(reach, "p"), "key").filter("idroot <> proot")
+        share = F.lit(1 - within - 1e-9) - F.col("reach")
+        early = lambda x: F.col(x + "place") <= F.col(x + "m") - F.ceil(share * F.col(x + "n")) + 1
+        apart = apart.filter(early("") & early("p") & can(share)).select("id", "p").distinct().join(to_pivot.select("id", "p"), ["id", "p"], "left_anti")
+        windows = to_pivot.filter("not linked").unionByName(measured(apart, f"windows-{turn}")).join(reach.select("p", "reach"), "p")
+        windows = windows.filter(F.col("d") <= F.col("reach") + within + 1e-9).select("id", "p", "d")
+        # leaves: boundary documents meet the cell's own; a crowded region takes some of them in each step, and is done when all are joined
+        most, boundary = LEAF, materialize(windows, f"boundary-{turn}")
+        short = rows.filter("place <= left")
+        while not boundary.isEmpty():
+            boundary = rooted(boundary, components(found()), "id", "p").filter("idroot <> proot").select("id", "p", "d")
+            crowd = boundary.groupBy("p").agg(F.ceil(F.count(F.lit(1)) / most).cast("long").alias("steps"))
+            boundary = boundary.join(crowd, "p").withColumn("now", F.pmod(F.xxhash64("id"), "steps") == 0).drop("steps")
+            boundary = materialize(boundary, f"boundary-{turn}")
+            some = short.join(boundary.filter("now").select("id", F.col("p").alias("cell"), "d"), "id")
+            inside = side(short, "p").join(cells.filter("d > 0").select(F.col("id").alias("p"), F.col("p").alias("cell"), F.col("d").alias("pd")), "p")
+            meet = some.join(inside, ["cell", "key"]).filter("id <> p").filter(F.abs(F.col("d") - F.col("pd")) <= within + 1e-9).filter(can(link))
+            measured(meet.select("id", "p").distinct(), f"leaves-{turn}")
+            boundary, most = boundary.filter("not now").select("id", "p", "d"), 4 * most
+        # what no pivot is linked to joins again among itself
+        rows = materialize(rows.join(cells.select("id"), "id", "left_anti"), "ranked")
+        turn, pivots = turn + 1, 8 * pivots
 
 
 def jaccard_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = 75, size: int = 5) -> DataFrame:
