@@ -74,6 +74,22 @@ def test_chains_within_one_region(spark, monkeypatch):
         check(spark, rows)
 
 
+def test_links_across_cells_are_found_in_windows(spark, monkeypatch):
+    """Lines of texts that slide on by four words, so that each is linked to the next two alone, and cells hold several; all that is
+    bounded by a parameter is over its bound."""
+    rng, rows, labels = random.Random(6), [], []
+    for line in range(4):
+        w = ["l%d_%d" % (line, k) for k in range(60 + 4 * 14)]
+        rows += [" ".join(w[4 * k : 4 * k + 60]) for k in range(14)]
+    rng.shuffle(rows)
+    keep = jaccard.materialize
+    monkeypatch.setattr(jaccard, "materialize", lambda df, label: (labels.append(label), keep(df, label))[1])
+    for name, value in {"PIVOTS": 2, "LEAF": 1, "HOT": 2, "HOT_KEYS": 10**9, "BROADCAST_PAIRS": 0, "BROADCAST_SHINGLES": 0}.items():
+        monkeypatch.setattr(jaccard, name, value)
+    check(spark, list(enumerate(rows)))
+    assert {"windows-0", "leaves-0", "distances-1"} <= set(labels)
+
+
 def test_repeated_rows_and_empty_table(spark):
     got = jaccard_groups(spark.createDataFrame([(5, "a b c d e f"), (5, "a b c d e f"), (3, "A b c D e f"), (None, "z")], "doc_id long, text string").withColumn("id", jaccard.F.lit("clash"))).collect()
     assert sorted((r.doc_id or -1, r.n_shingles, r.component_id or -1) for r in got) == [(-1, 1, -1), (3, 2, 3), (5, 2, 3), (5, 2, 3)]
