@@ -14,7 +14,7 @@ from windowforge.functions.tokens import segment
 from windowforge.operators import assign as A
 from windowforge.operators import baselines as B
 from windowforge.operators import density as D
-from windowforge.operators import embed, isodata, materialize, mixture, objective, pack, stats
+from windowforge.operators import blocks, costs, embed, isodata, materialize, mixture, objective, pack, stats
 from windowforge.operators.prefix import running
 from windowforge.plans import organize as P
 from windowforge.plans import queries_method
@@ -278,6 +278,19 @@ def test_assigners_with_small_groups(spark, monkeypatch):
         assert sorted(B.knn_graph(docs, 4, how).collect()) == rows
 
 
+def test_near_centres_beyond_the_broadcast_are_exact(spark, monkeypatch):
+    vec = random_vectors(300, 4, 8)
+    cents = spark.createDataFrame([(i, [float(x) for x in v], 1) for i, v in vec.items()], "cluster_id string, vec array<double>, n long")
+    rows = lambda forest=False: sorted((r.a, r.b, r.cos) for r in isodata.merge_edges(cents, 0.2, forest=forest).collect())
+    roots = lambda: sorted(isodata.components(isodata.merge_edges(cents, 0.97, forest=True), cents).collect())
+    every, joined = rows(), roots()
+    monkeypatch.setattr(isodata, "MERGE_EXACT", 100)
+    monkeypatch.setattr(blocks, "BLOCK_BYTES", 4 * 8 * 40)  # eight blocks
+    beyond = rows()
+    assert [r[:2] for r in beyond] == [r[:2] for r in every] and np.allclose([r[2] for r in beyond], [r[2] for r in every])
+    assert roots() == joined
+
+
 def test_components_on_either_side_of_the_bound(spark):
     vec = random_vectors(120, 6, 8, groups=15)
     cents = spark.createDataFrame([(i, [float(x) for x in v], 1) for i, v in vec.items()], "cluster_id string, vec array<double>, n long")
@@ -360,6 +373,27 @@ def test_graph_and_paths(spark):
     assert sorted(r.seg_id for r in celled) == sorted(vec) and not any(r.exact for r in celled)
 
 
+def test_all_pairs_move_results_alone(spark):
+    vec = random_vectors(400, 64, 5) | {f"z{i:03d}": [1.0] + [0.0] * 63 for i in range(60)}  # a group of copies beside noise
+    docs = vectors(spark, list(vec.items()))
+    docs.count()
+    before = costs.counters(spark)["shuffle_written"]
+    edges = B.knn_graph(docs, 4, "exact", block=10).collect()
+    assert costs.counters(spark)["shuffle_written"] - before < 460 * 64 * 8 * 10  # 46 blocks: each vector copied to all of them is nine times that
+    for n in vec:
+        near = sorted(((-round(R.cosine(vec[n], vec[m]), 12), m) for m in vec if m != n))[:4]
+        assert [e.dst for e in sorted((e for e in edges if e.src == n), key=lambda e: (-e.w, e.dst))] == [m for _, m in near]
+
+
+def test_walks_hold_numbers(spark):
+    frame = spark.createDataFrame([(f"n{i}", f"n{i + k}", 1.0 / k) for i in range(60) for k in (1, 2, 3)], "src string, dst string, w double")
+    nodes = spark.createDataFrame([(f"n{i}",) for i in range(70)], "seg_id string")
+    got = B.traverse(frame, nodes)
+    assert got.count() == 70
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    assert "FlatMapCoGroupsInPandas" not in plan  # which would hold all edges with their names in one task
+
+
 def test_every_baseline_places_every_token(spark):
     rng = random.Random(6)
     vec = random_vectors(50, 6, 6)
