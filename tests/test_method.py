@@ -140,6 +140,17 @@ def test_windows_left_out_of_scoring_would_not_win():
             assert pack.pack_cluster(lengths, vectors, c, budget) == plain_pack(lengths, vectors, c, budget or math.ceil(lengths.sum() / 100))
 
 
+def test_few_windows_are_scored_exactly(monkeypatch):
+    rng = np.random.default_rng(3)
+    lengths, vectors, scored = np.sort(rng.integers(10, 101, 3000))[::-1], rng.random((3000, 32)) ** 4, []
+    monkeypatch.setattr(pack.Bins, "scores", lambda self, *a, real=pack.Bins.scores: (scored.append(len(self.size)), real(self, *a))[1])
+    got = pack.pack_cluster(lengths, vectors, Config(window=100))
+    assert sum(scored) < 20 * len(lengths)  # not each window that its room alone might let win
+    assert got == plain_pack(lengths, vectors, Config(window=100), math.ceil(lengths.sum() / 100))
+    for scale in (1e-20, 1e20):  # beyond 32 bits
+        assert [r[:4] for r in pack.pack_cluster(lengths[:600], vectors[:600] * scale, Config(window=100))] == [r[:4] for r in pack.pack_cluster(lengths[:600], vectors[:600], Config(window=100))]
+
+
 def test_greedy_against_the_optimum():
     rng = random.Random(2)
     vec = random_vectors(6, 4, 8)
