@@ -289,6 +289,34 @@ def test_assigners_with_small_groups(spark, monkeypatch):
         assert sorted(B.knn_graph(docs, 4, how).collect()) == rows
 
 
+def test_nearest_of_many_centres_in_blocks(monkeypatch):
+    rng = np.random.default_rng(5)
+    x, c = A.unit(rng.normal(size=(300, 12))), rng.normal(size=(400, 12)).astype(np.float32)
+    c[37], c[5], x[7], x[8] = c[300], 0, 0, A.unit(c[300:301].astype(float))[0]  # equal centres, a zero centre, a zero vector, a hit
+    cos = np.round(x @ A.unit(c.astype(np.float64)).T, 12)
+    rank = np.argsort(-cos, axis=1, kind="stable")[:, :2]
+    want = rank[:, 0], *np.take_along_axis(cos, rank, 1).T
+    monkeypatch.setattr(A, "PRODUCT_BYTES", 4 * 400 * 50)  # six blocks
+    sizes, inside = [], A.Nearest._two
+    monkeypatch.setattr(A.Nearest, "_two", lambda self, part: sizes.append(len(part)) or inside(self, part))
+    for got, wanted in zip(A.top_two(x, A.unit(c.astype(np.float64))), want):
+        assert np.allclose(got, wanted, atol=1e-12)
+    assert max(sizes) == 50 and (A.Nearest(c).two(x)[0] == want[0]).all()
+    assert A.choose(20_000, 1024, 55_000) == "exact" and A.choose(20_000, 1024, 10**7) == "hnsw"
+    assert [len(v) for v in A.Nearest(c[:1]).two(x[:3])] == [3, 3, 3] and [len(v) for v in A.Nearest(c).two(x[:0])] == [0, 0, 0]
+
+
+def test_mutual_mergers_form_no_pairs(spark, monkeypatch):
+    """A row per centre is enough, and gives what all links give; equal centres too."""
+    vec = random_vectors(120, 6, 8, groups=5)
+    rows = [(i, [float(x) for x in v], 1) for i, v in vec.items()]
+    cents = spark.createDataFrame([*rows, ("twin", rows[0][1], 1), ("zwin", rows[0][1], 1)], "cluster_id string, vec array<double>, n long")
+    for delta in (0.2, 0.9):
+        assert isodata.best_edges(cents, delta).count() <= 122
+        whole = sorted(isodata.mutual_best(isodata.merge_edges(cents, delta), cents).collect())
+        assert sorted(isodata.merge(cents, delta, "mutual_best").collect()) == whole
+
+
 def test_near_centres_beyond_the_broadcast_are_exact(spark, monkeypatch):
     vec = random_vectors(300, 4, 8)
     cents = spark.createDataFrame([(i, [float(x) for x in v], 1) for i, v in vec.items()], "cluster_id string, vec array<double>, n long")
