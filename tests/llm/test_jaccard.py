@@ -90,6 +90,15 @@ def test_links_across_cells_are_found_in_windows(spark, monkeypatch):
     assert {"windows-0", "leaves-0", "distances-1"} <= set(labels)
 
 
+def test_a_large_group_keeps_few_links(spark, monkeypatch):
+    """Near copies that are all linked with each other: what is kept to connect them grows with the documents, not with pairs."""
+    w, counts, inside = ["g%d" % k for k in range(60)], [], jaccard.components
+    monkeypatch.setattr(jaccard, "PIVOTS", 8)
+    monkeypatch.setattr(jaccard, "components", lambda edges, *more: (counts.append(edges.count()), inside(edges, *more))[1])
+    got = jaccard_groups(spark.createDataFrame([(i, " ".join([*w, "end%d" % i])) for i in range(80)], "doc_id long, text string")).collect()
+    assert {r.component_id for r in got} == {0} and max(counts) <= 2 * 80
+
+
 def test_repeated_rows_and_empty_table(spark):
     got = jaccard_groups(spark.createDataFrame([(5, "a b c d e f"), (5, "a b c d e f"), (3, "A b c D e f"), (None, "z")], "doc_id long, text string").withColumn("id", jaccard.F.lit("clash"))).collect()
     assert sorted((r.doc_id or -1, r.n_shingles, r.component_id or -1) for r in got) == [(-1, 1, -1), (3, 2, 3), (5, 2, 3), (5, 2, 3)]

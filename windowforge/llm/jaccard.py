@@ -13,7 +13,9 @@ as near: sets that share so much share one of their first shingles, rare ones fi
 *Windows.* By the triangle inequality, what is linked to a document of a cell lies within the cell's reach (its largest distance
 to the pivot) and a link's distance of the pivot. Such documents of other cells, and of none, are copied into the region, unless
 they are connected to it already, and are compared with those of the cell whose distance to the pivot differs by no more
-than a link's. So each link with an end in a cell is found, or its ends are known to be connected.
+than a link's: with a few of them first, and with eight times as many in each later step, as long as they are not connected to the
+cell. So each link with an end in a cell is found, or its ends are known to be connected. Of links between what lies in cells, only that
+the cells are connected is kept.
 
 *Recursion.* Documents that no pivot is linked to are left. They join again among themselves, with eight times as many pivots: large
 groups go in the first rounds, to few pivots each, small ones later. When few are left for the number of pivots, each is its own.
@@ -37,8 +39,8 @@ from .shingles import shingles
 COUNTED = 1 / 3
 #: Pivots of the first round, drawn from all documents; eight times as many in each later one, of those that no pivot has joined.
 PIVOTS = 64
-#: Boundary documents of a region that meet its own at once; four times as many in each later step.
-LEAF = 256
+#: Documents of a cell that its region's boundary meets first; eight times as many in each later step, until all are met.
+LEAF = 16
 #: Sets that hold a shingle which counts as hot; more, if that many shingles would be hot.
 HOT, HOT_KEYS = 1_000, 100_000
 #: Pairs, and shingles of the pivots in them, that are broadcast at most; beyond, they are joined.
@@ -175,24 +177,36 @@ def side(rows: DataFrame, prefix: str) -> DataFrame:
 
 def links(docs: DataFrame, chosen: DataFrame, id_col: str, text_col: str, percent: int, size: int) -> DataFrame:
     """Enough of the links between the chosen documents' sets to connect all that links connect: (a, b)."""
-    link = F.lit(percent / 100)
+    share_of_link = F.lit(percent / 100)
     within = 1 - percent / 100
     sets = materialize(sets_of(docs, chosen, id_col, text_col, size), "sets")
     rows = materialize(ranked(sets, percent), "ranked")
-    edges: list[DataFrame] = []
+    edges: list[DataFrame] = []  # what is connected, as stars, and the links that have come since
     found = lambda: reduce(DataFrame.unionByName, edges)
 
+    def connected() -> DataFrame:
+        roots = components(found())
+        edges[:] = [roots.select(F.col("node").alias("a"), F.col("root").alias("b"))]
+        return roots
+
     def rooted(df: DataFrame, roots: DataFrame, *names: str) -> DataFrame:
         for name in names:
             df = df.join(roots.select(F.col("node").alias(name), F.col("root").alias(name + "root")), name, "left")
             df = df.withColumn(name + "root", F.coalesce(name + "root", name))
         return df
 
-    def measured(pairs: DataFrame, label: str) -> DataFrame:
+    def measured(pairs: DataFrame, label: str, cells: DataFrame | None = None) -> DataFrame:
         got = materialize(compare(pairs, sets, percent), label)
-        edges.append(got.filter("linked").select(F.col("id").alias("a"), F.col("p").alias("b")))
+        link(got, cells)
         return got
 
+    def link(got: DataFrame, cells: DataFrame | None = None) -> None:
+        """Keeps the links; what lies in a cell stands there for the cell's pivot, with which it is connected."""
+        some = got.filter("linked").select(F.col("id").alias("a"), F.col("p").alias("b"))
+        for end in ("a", "b") if cells is not None else ():
+            some = some.join(cells.select(F.col("id").alias(end), F.col("p").alias("_cell")), end, "left").withColumn(end, F.coalesce("_cell", end)).drop("_cell")
+        edges.append(some if cells is None else materialize(some.select("a", "b").filter("a <> b").distinct(), "links"))
+
     turn, pivots = 0, PIVOTS
     while True:
         waiting = rows.agg(F.count_distinct("id")).first()[0]
@@ -200,18 +214,21 @@ def links(docs: DataFrame, chosen: DataFrame, id_col: str, text_col: str, percen
         drawn = F.lit(True) if last else F.pmod(F.xxhash64("id", F.lit(turn)), F.lit(waiting)) < pivots
         # distances to the pivots that can be linked, over the rarest shingles
         centre = side(rows.filter(drawn), "p")
-        met = rows.filter("place <= left").join(centre.filter("pplace <= pleft"), "key").filter("id < p" if last else "id <> p").filter(can(link))
-        to_pivot = measured(met.select("id", "p").distinct(), f"distances-{turn}")
+        met = rows.filter("place <= left").join(centre.filter("pplace <= pleft"), "key").filter("id < p" if last else "id <> p").filter(can(share_of_link))
+        to_pivot = materialize(compare(met.select("id", "p").distinct(), sets, percent), f"distances-{turn}")
         if last:
+            link(to_pivot)
             return found()
         # regions: each document within a link of pivots lies in the cell of its nearest
         own = rows.filter(drawn).select("id", F.col("id").alias("p"), F.lit(0.0).alias("d")).distinct()
         near = own.unionByName(to_pivot.filter("linked").select("id", "p", "d")) if 2 * within < 1 else own
         cells = near.groupBy("id").agg(F.min(F.struct("d", "p")).alias("to")).select("id", "to.p", "to.d")
         cells = materialize(cells, f"cells-{turn}")
+        edges.append(cells.filter("d > 0").select(F.col("id").alias("a"), F.col("p").alias("b")))
+        link(to_pivot, cells)
         reach = cells.groupBy("p").agg(F.max("d").alias("reach")).filter("reach > 0")
         # windows: a document linked to one of a cell is within the cell's reach and a link of its pivot
-        roots = components(found())
+        roots = connected()
         reach = materialize(rooted(reach, roots, "p"), f"reach-{turn}")
         apart = rooted(rows, roots, "id").join(centre.join(reach, "p"), "key").filter("idroot <> proot")
         share = F.lit(1 - within - 1e-9) - F.col("reach")
@@ -219,19 +236,23 @@ def links(docs: DataFrame, chosen: DataFrame, id_col: str, text_col: str, percen
         apart = apart.filter(early("") & early("p") & can(share)).select("id", "p").distinct().join(to_pivot.select("id", "p"), ["id", "p"], "left_anti")
         windows = to_pivot.filter("not linked").unionByName(measured(apart, f"windows-{turn}")).join(reach.select("p", "reach"), "p")
         windows = windows.filter(F.col("d") <= F.col("reach") + within + 1e-9).select("id", "p", "d")
-        # leaves: boundary documents meet the cell's own; a crowded region takes some of them in each step, and is done when all are joined
-        most, boundary = LEAF, materialize(windows, f"boundary-{turn}")
+        # leaves: boundary documents meet some of the cell's own, and more of them in each step as long as they are not connected to the cell
         short = rows.filter("place <= left")
-        while not boundary.isEmpty():
-            boundary = rooted(boundary, components(found()), "id", "p").filter("idroot <> proot").select("id", "p", "d")
-            crowd = boundary.groupBy("p").agg(F.ceil(F.count(F.lit(1)) / most).cast("long").alias("steps"))
-            boundary = boundary.join(crowd, "p").withColumn("now", F.pmod(F.xxhash64("id"), "steps") == 0).drop("steps")
+        own = cells.filter("d > 0").withColumnRenamed("d", "pd")
+        sizes = own.groupBy("p").agg(F.count(F.lit(1)).alias("size"))
+        own = own.join(sizes, "p").select(F.col("id").alias("_p"), F.col("p").alias("cell"), "pd", "size", (F.pmod(F.xxhash64("id"), F.lit(1 << 30)) / (1 << 30)).alias("turn"))
+        own = materialize(own.withColumnRenamed("_p", "p"), f"own-{turn}")
+        met, most, largest = 0, LEAF, own.agg(F.max("size")).first()[0] or 0
+        boundary = materialize(windows, f"boundary-{turn}")
+        while met < largest and not boundary.isEmpty():
+            boundary = rooted(boundary, connected(), "id", "p").filter("idroot <> proot").select("id", "p", "d")
             boundary = materialize(boundary, f"boundary-{turn}")
-            some = short.join(boundary.filter("now").select("id", F.col("p").alias("cell"), "d"), "id")
-            inside = side(short, "p").join(cells.filter("d > 0").select(F.col("id").alias("p"), F.col("p").alias("cell"), F.col("d").alias("pd")), "p")
-            meet = some.join(inside, ["cell", "key"]).filter("id <> p").filter(F.abs(F.col("d") - F.col("pd")) <= within + 1e-9).filter(can(link))
-            measured(meet.select("id", "p").distinct(), f"leaves-{turn}")
-            boundary, most = boundary.filter("not now").select("id", "p", "d"), 4 * most
+            now = own.filter((F.col("turn") >= met / F.col("size")) & (F.col("turn") < most / F.col("size")))
+            some = short.join(boundary.select("id", F.col("p").alias("cell"), "d"), "id")
+            inside = side(short, "p").join(now.select("p", "cell", "pd"), "p")
+            meet = some.join(inside, ["cell", "key"]).filter("id <> p").filter(F.abs(F.col("d") - F.col("pd")) <= within + 1e-9).filter(can(share_of_link))
+            measured(meet.select("id", "p").distinct(), f"leaves-{turn}", cells)
+            met, most = most, 8 * most
         # what no pivot is linked to joins again among itself
         rows = materialize(rows.join(cells.select("id"), "id", "left_anti"), "ranked")
         turn, pivots = turn + 1, 8 * pivots
