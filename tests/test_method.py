@@ -176,6 +176,20 @@ def test_density_modes(spark):
     assert one.raw < 0 and one.n_clusters == 1
 
 
+def test_density_from_pairs_of_blocks(spark, monkeypatch):
+    """No row for a pair of vectors: blocks meet. Null vectors and zero ones count as documents, whose cosines are 0."""
+    vec = random_vectors(90, 4, 8)
+    rows = [(i, [float(x) for x in v], k % 3) for k, (i, v) in enumerate(vec.items())] + [("z", [0.0] * 4, 0), ("n", None, 0), ("m", [1.0, None, 0.0, 0.0], 1), ("one", [1.0] * 4, 9)]
+    df, labels, keep = spark.createDataFrame(rows, "seg_id string, vec array<double>, subset_id int"), [], D.settled
+    monkeypatch.setattr(D, "settled", lambda df, label: labels.append(held := keep(df, label)) or held)
+    monkeypatch.setattr(D, "PAIR_BYTES", 4 * 8 * 4)  # blocks of four
+    got = {r.subset_id: (r.m, r.rho) for r in D.subset_density_pairs(df.repartition(3)).collect()}
+    for k, m in ((0, 32), (1, 31), (2, 30), (9, 1)):
+        x = A.unit(np.array([v for _, v, s in rows if s == k and v and None not in v]))
+        assert got[k][0] == m and got[k][1] == pytest.approx(((x @ x.T).sum() - (x != 0).any(axis=1).sum()) / (m * (m - 1)) if m > 1 else 0)
+    assert len(labels) == 1 and 20 <= labels[0].count() < 90
+
+
 def test_zero_vectors_and_single_rows(spark):
     df = vectors(spark, [("a", [0.0, 0.0]), ("b", [1.0, 0.0]), ("c", [1.0, 0.0])]).withColumn("subset_id", F.lit(0))
     assert D.subset_density(df).first().rho == pytest.approx(D.subset_density_pairs(df).first().rho)
