@@ -303,6 +303,22 @@ def test_assigners_with_small_groups(spark, monkeypatch):
         assert sorted(B.knn_graph(docs, 4, how).collect()) == rows
 
 
+def test_groups_are_looked_up_without_copies(spark, monkeypatch):
+    """Cells and buckets of broadcast centres give what those give that move by key, and write nothing down."""
+    vec = random_vectors(120, 8, 6, groups=10)
+    docs, labels, keep = vectors(spark, [*vec.items(), ("none", [0.0] * 8)]), [], A.settled
+    cents = isodata.seed(docs, 20, 2)
+    monkeypatch.setattr(A, "settled", lambda df, label: labels.append(label) or keep(df, label))
+    ways = {"cells": {}, "lsh": {"tables": 3, "bits": 5}}
+    rows = lambda how: sorted(A.assign(docs, cents, how, **ways[how]).select("seg_id", "cluster_id", "cos", "evals").collect())
+    here = {how: rows(how) for how in ways}
+    assert not labels and all(len(r) == 121 for r in here.values())
+    monkeypatch.setattr(A, "IN_PLACE_BYTES", 0)
+    monkeypatch.setattr(A, "GROUP_ROWS", 7)  # dealt over parts
+    for how in ways:
+        assert rows(how) == here[how]
+
+
 def test_nearest_of_many_centres_in_blocks(monkeypatch):
     rng = np.random.default_rng(5)
     x, c = A.unit(rng.normal(size=(300, 12))), rng.normal(size=(400, 12)).astype(np.float32)
