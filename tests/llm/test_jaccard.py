@@ -3,7 +3,7 @@ import re
 
 from windowforge.llm import jaccard
 from windowforge.llm.jaccard import components, jaccard_groups
-from windowforge.llm.shingles import shingles
+from windowforge.llm.shingles import shingles, word_hashes
 
 
 def brute(rows):
@@ -99,6 +99,28 @@ def test_a_large_group_keeps_few_links(spark, monkeypatch):
     assert {r.component_id for r in got} == {0} and max(counts) <= 2 * 80
 
 
+def test_boundary_documents_bring_their_shingles_once(spark, monkeypatch):
+    """However many cells a document is a boundary of, each of its shingles is one row when it meets what lies in them."""
+    rng, rows = random.Random(6), []
+    for line in range(4):
+        w = ["l%d_%d" % (line, k) for k in range(60 + 4 * 24)]
+        rows += [" ".join(w[4 * k : 4 * k + 60]) for k in range(24)]
+    rng.shuffle(rows)
+    monkeypatch.setattr(jaccard, "PIVOTS", 16)
+    frame = type(spark.range(1))
+    join, counts = frame.join, []
+
+    def counted(self, other, on=None, how=None):
+        out = join(self, other, on, how)
+        if isinstance(on, str) and on == "id" and how is None and {"key", "place"} <= set(self.columns):
+            counts.append((out.count(), out.select("id", "key").distinct().count()))
+        return out
+
+    monkeypatch.setattr(frame, "join", counted)
+    check(spark, list(enumerate(rows)))
+    assert any(n for n, _ in counts) and all(n == distinct for n, distinct in counts)
+
+
 def test_repeated_rows_and_empty_table(spark):
     got = jaccard_groups(spark.createDataFrame([(5, "a b c d e f"), (5, "a b c d e f"), (3, "A b c D e f"), (None, "z")], "doc_id long, text string").withColumn("id", jaccard.F.lit("clash"))).collect()
     assert sorted((r.doc_id or -1, r.n_shingles, r.component_id or -1) for r in got) == [(-1, 1, -1), (3, 2, 3), (5, 2, 3), (5, 2, 3)]
@@ -118,3 +140,10 @@ def test_shingles_follow_the_words():
     assert len(shingles("a b c d")) == 1 and len(shingles("a b c d e")) == 1 and len(shingles("a a a a a a a")) == 1
     assert (shingles("A b\tC\x0bd e f") == shingles("a B c d\r\nE f")).all()
     assert len(shingles("a b c d e f")) == 1
+
+
+def test_word_hashes_tell_words_apart():
+    words = ["a", "a\x00", "\x00a", "ab", "é", "12345678", "12345678\x00", "123456789", "x" * 16, "x" * 17, "y" * 256, "y" * 257, "y" * 300]
+    h = word_hashes(" \t".join([*words, *words[::-1]]).encode())
+    assert list(h[: len(words)]) == list(h[len(words) :][::-1]) and len(set(h)) == len(words)
+    assert len(word_hashes(b"")) == 0 and len(word_hashes(b" \n\x0b\x0c\r\t")) == 0

@@ -13,7 +13,7 @@ as near: sets that share so much share one of their first shingles, rare ones fi
 *Windows.* By the triangle inequality, what is linked to a document of a cell lies within the cell's reach (its largest distance
 to the pivot) and a link's distance of the pivot. Such documents of other cells, and of none, are copied into the region, unless
 they are connected to it already, and are compared with those of the cell whose distance to the pivot differs by no more
-than a link's: with a few of them first, and with eight times as many in each later step, as long as they are not connected to the
+than a link's: with a few of them first, and with many times as many in each later step, as long as they are not connected to the
 cell. So each link with an end in a cell is found, or its ends are known to be connected. Of links between what lies in cells, only that
 the cells are connected is kept.
 
@@ -39,8 +39,8 @@ from .shingles import shingles
 COUNTED = 1 / 3
 #: Pivots of the first round, drawn from all documents; eight times as many in each later one, of those that no pivot has joined.
 PIVOTS = 64
-#: Documents of a cell that its region's boundary meets first; eight times as many in each later step, until all are met.
-LEAF = 16
+#: Documents of a cell that its region's boundary meets first, and how many times as many in each later step, until all are met.
+LEAF, STEP = 16, 32
 #: Sets that hold a shingle which counts as hot; more, if that many shingles would be hot.
 HOT, HOT_KEYS = 1_000, 100_000
 #: Pairs, and shingles of the pivots in them, that are broadcast at most; beyond, they are joined.
@@ -245,14 +245,17 @@ def links(docs: DataFrame, chosen: DataFrame, id_col: str, text_col: str, percen
         met, most, largest = 0, LEAF, own.agg(F.max("size")).first()[0] or 0
         boundary = materialize(windows, f"boundary-{turn}")
         while met < largest and not boundary.isEmpty():
-            boundary = rooted(boundary, connected(), "id", "p").filter("idroot <> proot").select("id", "p", "d")
-            boundary = materialize(boundary, f"boundary-{turn}")
+            boundary = rooted(boundary.select("id", "p", "d"), connected(), "id", "p").filter("idroot <> proot")
+            boundary = materialize(boundary, f"boundary-{turn}").withColumnRenamed("p", "cell")
             now = own.filter((F.col("turn") >= met / F.col("size")) & (F.col("turn") < most / F.col("size")))
-            some = short.join(boundary.select("id", F.col("p").alias("cell"), "d"), "id")
-            inside = side(short, "p").join(now.select("p", "cell", "pd"), "p")
-            meet = some.join(inside, ["cell", "key"]).filter("id <> p").filter(F.abs(F.col("d") - F.col("pd")) <= within + 1e-9).filter(can(share_of_link))
-            measured(meet.select("id", "p").distinct(), f"leaves-{turn}", cells)
-            met, most = most, 8 * most
+            # shingles once for each document, however many cells it is a boundary of
+            some = short.join(boundary.select("id", "idroot").distinct(), "id")
+            inside = side(short, "p").join(now.join(boundary.select("cell", "proot").distinct(), "cell").select("p", "cell", "pd", "proot"), "p")
+            meet = some.join(inside, "key").filter("id <> p").filter("idroot <> proot").filter(can(share_of_link)).select("id", "p", "cell", "pd").distinct()
+            meet = meet.join(boundary.select("id", "cell", "d"), ["id", "cell"]).filter(F.abs(F.col("d") - F.col("pd")) <= within + 1e-9)
+            measured(meet.select("id", "p"), f"leaves-{turn}", cells)
+            boundary = boundary.withColumnRenamed("cell", "p")
+            met, most = most, STEP * most
         # what no pivot is linked to joins again among itself
         rows = materialize(rows.join(cells.select("id"), "id", "left_anti"), "ranked")
         turn, pivots = turn + 1, 8 * pivots
