@@ -543,3 +543,57 @@ def test_config_is_checked():
     for bad in ({"merge": "x"}, {"alpha": -1.0}, {"rounds": 0}):
         with pytest.raises(ValueError):
             Config(**bad)
+
+
+def test_connected_rows_are_not_compared_again(spark, monkeypatch):
+    """Blocks connect what all links connect, with fewer links than rows; cosines at the threshold, equal, zero and infinite vectors too."""
+    rng = np.random.default_rng(4)
+    x = np.concatenate([rng.normal(size=(300, 16)), np.eye(16)[:1] * 0.6 + np.eye(16)[1:2] * 0.8, np.eye(16)[:2], np.zeros((2, 16)), np.full((1, 16), np.inf)])
+    x = np.concatenate([x, x[:20]])
+    with np.errstate(invalid="ignore"):
+        u = blocks.unit(x)
+        for delta in (0.6, 0.4, 0.8):
+            near = np.round(u @ u.T, 12) > delta
+            want = isodata.connected([(str(i), str(j)) for i, j in zip(*np.nonzero(near)) if i != j], [str(i) for i in range(len(x))])
+            joined, links = blocks.Joined(delta), []
+            cuts = [*range(0, len(x), 100), len(x)]
+            for p, a in enumerate(cuts[:-1]):
+                for b, end in zip(cuts[p:], cuts[p + 1 :]):
+                    i, j, cos = joined.see(a, u[a : cuts[p + 1]], u[a : cuts[p + 1]].astype(np.float32), b, u[b:end])
+                    assert (cos > delta).all() and near[a + i, b + j].all()
+                    links += [(str(a + s), str(b + t)) for s, t in zip(i, j)]
+            assert len(links) < len(x) and isodata.connected(links, list(want)) == want
+    rows = spark.createDataFrame([(f"c{i:03d}", v.tolist(), 1) for i, v in enumerate(x[:300])], "cluster_id string, vec array<double>, n long")
+    whole = sorted(isodata.merge(rows, 0.6).collect())
+    monkeypatch.setattr(isodata, "FOREST_NUMBERS", 0)
+    monkeypatch.setattr(blocks, "BLOCK_BYTES", 16 * 8 * 40)
+    assert sorted(isodata.merge(rows, 0.6).collect()) == whole
+
+
+def test_text_is_read_once_for_vectors(spark):
+    df = spark.createDataFrame([("a", ["x", "Y", "y"]), ("b", []), ("c", ["x"] * 3)], "seg_id string, tokens array<string>")
+    for signed in (False, True):
+        found = embed.hash_embed(df, 32, signed=signed)
+        assert "tokens" not in found._jdf.queryExecution().optimizedPlan().toString()
+        v = {r.seg_id: np.array(r.vec) for r in found.collect()}
+        assert not v["b"].any() and np.isclose(np.linalg.norm(v["a"]), 1) and np.isclose(abs(v["c"]).max(), 1)
+    assert {r.b: r.df for r in embed.document_frequency(df, 32).collect()} == {r.b: r["count"] for r in embed.hash_sparse(df, 32).groupBy("b").count().collect()}
+
+
+def test_sums_beyond_what_a_task_holds(spark, monkeypatch):
+    df = spark.createDataFrame([(f"g{i % 7}" if i % 11 else None, [float(i), 1.0, 0.0]) for i in range(200)], "g string, vec array<float>").coalesce(2)
+    want = {f"g{k}": [float(sum(i for i in range(200) if i % 11 and i % 7 == k)), float(sum(1 for i in range(200) if i % 11 and i % 7 == k)), 0.0] for k in range(7)}
+    whole = D.vector_sums(df, "g", unit=False).collect()
+    monkeypatch.setattr(D, "SUM_BYTES", 24)
+    for rows in (whole, D.vector_sums(df, "g", unit=False).collect()):
+        assert {r.g: list(r.vec) for r in rows} == want and {r.g: r.n for r in rows} == {g: v[1] for g, v in want.items()}
+    with pytest.raises(Exception, match="another length"):
+        D.vector_sums(spark.createDataFrame([("a", [1.0]), ("a", [1.0, 2.0])], "g string, vec array<float>").coalesce(1), "g").collect()
+
+
+def test_large_products_are_shared(monkeypatch):
+    rng = np.random.default_rng(6)
+    lengths, vectors = np.sort(rng.integers(1, 101, 700))[::-1], rng.random((700, 8))
+    alone = pack.pack_cluster(lengths, vectors, Config(window=100))
+    monkeypatch.setattr(pack, "SHARED_PRODUCT", 1)
+    assert pack.pack_cluster(lengths, vectors, Config(window=100)) == alone == plain_pack(lengths, vectors, Config(window=100), math.ceil(lengths.sum() / 100))
