@@ -597,3 +597,12 @@ def test_large_products_are_shared(monkeypatch):
     alone = pack.pack_cluster(lengths, vectors, Config(window=100))
     monkeypatch.setattr(pack, "SHARED_PRODUCT", 1)
     assert pack.pack_cluster(lengths, vectors, Config(window=100)) == alone == plain_pack(lengths, vectors, Config(window=100), math.ceil(lengths.sum() / 100))
+
+
+def test_vectors_are_written_once(spark, monkeypatch):
+    made = []
+    for module in (P, isodata):
+        monkeypatch.setattr(module, "settled", lambda df, label: (made.append(label), session.settled(df, label))[1])
+    docs = spark.createDataFrame([(i, f"a{i % 3} b{i % 5} c") for i in range(20)], "doc_id long, text string")
+    done = P.organize(docs, Config(window=8, dim=16, n_clusters=2, rounds=1))
+    assert made.count("vectors") == 1 and done.manifest.count() == 20
