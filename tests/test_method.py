@@ -336,6 +336,30 @@ def test_nearest_of_many_centres_in_blocks(monkeypatch):
     assert [len(v) for v in A.Nearest(c[:1]).two(x[:3])] == [3, 3, 3] and [len(v) for v in A.Nearest(c).two(x[:0])] == [0, 0, 0]
 
 
+def test_exact_and_cohesion_beyond_a_broadcast(spark, monkeypatch):
+    """Centres that are too many for a broadcast give the same rows and measures, bit for bit."""
+    vec = random_vectors(200, 8, 6, groups=10)
+    docs = vectors(spark, [*vec.items(), ("copy-a", next(iter(vec.values()))), ("copy-b", next(iter(vec.values()))), ("none", [0.0] * 8)])
+    cents = isodata.seed(docs, 150, 2)
+    rows, keep, files = lambda: sorted(A.assign(docs, cents, "exact").collect()), A.blocks, []
+    whole, measures = rows(), stats.cohesion(docs, cents).first()
+    monkeypatch.setattr(A, "BROADCAST_BYTES", 64)
+    monkeypatch.setattr(A, "blocks", lambda df, key, block, label: files.append(label) or keep(df, key, 9, label))  # many small blocks
+    assert len(whole) == 203 and rows() == whole and files
+    assert stats.cohesion(docs, cents).first().asDict() == pytest.approx(measures.asDict(), abs=1e-12)
+    one = isodata.seed(docs, 1, 2)
+    assert {(r.second, r.evals) for r in A.exact(docs, one).collect()} == {(-1.0, 1)} and A.exact(docs.limit(0), one).count() == 0
+
+
+def test_cohesion_ignores_what_the_number_of_centres_calls_for(spark, monkeypatch):
+    docs = vectors(spark, list(random_vectors(120, 8, 3, groups=10).items()))
+    cents = isodata.seed(docs, 60, 2)
+    measures = stats.cohesion(docs, cents).first()
+    monkeypatch.setattr(A, "choose", lambda *size: "cells")
+    monkeypatch.setattr(A, "cells_for", lambda k, dim: 20)
+    assert stats.cohesion(docs, cents).first() == measures
+
+
 def test_mutual_mergers_form_no_pairs(spark, monkeypatch):
     """A row per centre is enough, and gives what all links give; equal centres too."""
     vec = random_vectors(120, 6, 8, groups=5)
